@@ -33,8 +33,8 @@ def _powers(size: int) -> tuple[np.ndarray, np.ndarray]:
     return out[0], out[1]
 
 
-def word_hashes(data: bytes) -> np.ndarray:
-    """A 64-bit hash for each run of non-space bytes, in order."""
+def word_hashes(data: bytes, prefixes: tuple[int, ...] = ()) -> np.ndarray:
+    """A 64-bit hash for each run of non-space bytes, in order; after them those of longer words' first bytes."""
     a = np.frombuffer(data, np.uint8)
     if not a.size:
         return np.zeros(0, _U)
@@ -48,7 +48,11 @@ def word_hashes(data: bytes) -> np.ndarray:
     power, inverse = _powers(1 << max(12, int(a.size).bit_length()))
     total = np.zeros(a.size + 1, _U)
     np.cumsum((a.astype(_U) + _U(1)) * power[: a.size], out=total[1:])
-    return mix((total[ends] - total[starts]) * inverse[starts] + (ends - starts).astype(_U))
+    out = [mix((total[ends] - total[starts]) * inverse[starts] + (ends - starts).astype(_U))]
+    for k in prefixes:
+        first = starts[ends - starts > k]
+        out.append(mix((total[first + k] - total[first]) * inverse[first] - _U(k)))
+    return out[0] if len(out) == 1 else np.concatenate(out)
 
 
 def shingle_set(text: str | None, k: int) -> np.ndarray:

@@ -19,14 +19,18 @@ from .hashing import word_hashes
 from .shared import plain
 
 #: Hashed word features; labelled rows the chain is fitted on at most; folds; rows a feature needs in the sample.
-FEATURES, SAMPLE, FOLDS, LEAST_ROWS = 1 << 18, 12_000, 4, 4
+FEATURES, SAMPLE, FOLDS, LEAST_ROWS = 1 << 18, 12_000, 4, 3
+#: Least chi-square of a feature with a category for it to get a weight: most words of a small sample tell nothing.
+LEAST_CHI = 12.0
+#: Bytes of the word beginnings that are features beside the words, for words with endings.
+BEGINNINGS = (4, 5, 6)
 #: A-Z to a-z, every other ASCII character that is no letter or digit to a blank.
 _FOLD = bytes(i + 32 if 65 <= i <= 90 else i if i >= 128 or chr(i).isalnum() else 32 for i in range(256))
 
 
 def features(text: str | None) -> np.ndarray:
-    """Sorted distinct feature numbers of a text's words, without case and punctuation."""
-    h = word_hashes((text or "").encode("utf-8", "surrogatepass").translate(_FOLD))
+    """Sorted distinct feature numbers of a text's words and their beginnings, without case and punctuation."""
+    h = word_hashes((text or "").encode("utf-8", "surrogatepass").translate(_FOLD), BEGINNINGS)
     return np.unique(h >> np.uint64(46)).astype(np.int32)
 
 
@@ -39,9 +43,23 @@ def _logit(p):
     return np.log(p / (1 - p))
 
 
-def fit_linear(at: np.ndarray, col: np.ndarray, size: int, extra: np.ndarray, y: np.ndarray, l2: float = 1e-3, steps: int = 150, rate: float = 0.08):
-    """Logistic regression on binary sparse rows (row of each entry, its column) and dense extra columns: (w, v, bias)."""
+def telling(at: np.ndarray, col: np.ndarray, size: int, y: np.ndarray) -> np.ndarray:
+    """Which features go with the label by more than chance."""
+    n, positive = len(y), y.sum()
+    have = np.bincount(col, minlength=size).astype(float)
+    both = np.bincount(col, y[at], size)
+    miss = both * n - have * positive
+    return n * miss**2 / np.maximum(have * (n - have) * positive * (n - positive), 1e-9) >= LEAST_CHI
+
+
+def fit_linear(at: np.ndarray, col: np.ndarray, size: int, extra: np.ndarray, y: np.ndarray, l2: float = 2e-4, steps: int = 300, rate: float = 0.08):
+    """Logistic regression on binary sparse rows (row of each entry, its column) and dense extra columns: (w, v, bias).
+
+    Only features that tell by themselves get a weight.
+    """
     n = len(y)
+    keep = telling(at, col, size, y)[col]
+    at, col = at[keep], col[keep]
     w, v, bias = np.zeros(size), np.zeros(extra.shape[1]), float(_logit(y.mean() if n else 0.5))
     moments = [np.zeros(size + len(v) + 1), np.zeros(size + len(v) + 1)]
     for t in range(1, steps + 1):
