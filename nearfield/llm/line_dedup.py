@@ -10,7 +10,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import ASCII_SPACE, LEAST_LONG
+from .shared import ASCII_SPACE, LEAST_LONG, cut
 
 _WS = ASCII_SPACE.encode()
 
@@ -58,7 +58,8 @@ def dedup_lines(docs: DataFrame, least: int = 20, documents: int = 3) -> DataFra
     line of a third of all documents is no hot key for the count, and one that the join may split.
     """
     counts = line_digests(docs, least).groupBy("h1", "h2").agg(F.count(F.lit(1)).alias("n"), F.max("doc").alias("keeper"))
-    shared = counts.where(F.col("n") >= documents).select(F.col("h1").alias("s1"), F.col("h2").alias("s2"), "keeper")
+    # cut, so that the join below deals both sides out anew and Spark may split a common line's rows
+    shared = cut(counts.where(F.col("n") >= documents).select(F.col("h1").alias("s1"), F.col("h2").alias("s2"), "keeper"))
     lines = line_digests(docs, least)
     lost = lines.join(shared, (F.col("h1") == F.col("s1")) & (F.col("h2") == F.col("s2"))).where(F.col("doc") != F.col("keeper"))
     lost = lost.groupBy("doc").agg(F.collect_set(F.struct("h1", "h2")).alias("_nf_lost"))
