@@ -8,6 +8,7 @@ if the vocabulary needs them. Files are named by partition and number, so their
 from __future__ import annotations
 
 import os
+import re
 import struct
 import uuid
 import zlib
@@ -29,38 +30,71 @@ _HEAD = struct.Struct("<8sIIQQQq")
 #: Ids in a file, but for one larger document.
 FILE_IDS = 1 << 23
 #: Words whose ids a worker remembers before it starts anew.
-MEMO_WORDS = 600_000
+MEMO_WORDS = 800_000
+
+
+#: UTF-8 bytes of ASCII and of U+00C0 to U+00FF; its letters are all of the latter but U+00D7 and U+00F7.
+_LATIN = bytes(range(128)) + b"\xc3" + bytes(range(0x80, 0xC0))
 
 
 class WordEncoder:
     """The tokenizers library over whole texts, with a memo of words.
 
-    For a tokenizer whose normaliser and pre-tokenizer never look across ASCII white space and drop it, a text's ids
-    are those of its words in order; ``tests/llm`` holds that against encoding whole texts.
+    For a tokenizer that drops white space, lower-cases, and takes contractions, runs of letters, single digits and
+    runs of other characters apart: a text's ids are those of its words in order. Texts of ASCII and Latin letters
+    are taken apart here by the same rule, and new words go to the library many at a time, where the ids that end a
+    word show which are whose; all other texts go to it whole. ``tests/llm`` holds both against
+    encoding whole texts.
     """
 
+    WORDS = re.compile(rb"'s|'t|'re|'ve|'m|'ll|'d|(?:[a-z]+|(?:\xc3[\x80-\x96\x98-\xb6\xb8-\xbf])+)+|[0-9]|[^\sa-z0-9\xc3\x80-\xbf]+")
+
     def __init__(self, path: str):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
-        self.kind = np.dtype("<u2" if self.tokenizer.get_vocab_size() <= 1 << 16 else "<u4")
+        size = self.tokenizer.get_vocab_size()
+        suffix = getattr(self.tokenizer.model, "end_of_word_suffix", None)
+        self.ends = np.zeros(size, bool)
+        if suffix:
+            self.ends[[i for t, i in self.tokenizer.get_vocab().items() if t.endswith(suffix)]] = True
+        self.kind = np.dtype("<u4" if size > 1 << 16 else "<u2")
         self.memo: dict[bytes, bytes] = {}
 
+    def _ids(self, text: str) -> np.ndarray:
+        return np.asarray(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, self.kind)
+
+    def latin(self, text: bytes) -> bool:
+        return not text.translate(None, _LATIN) and b"\xc3\x97" not in text and b"\xc3\xb7" not in text
+
+    def _learn(self, words: list[bytes]) -> None:
+        """Put the ids of new words that are one word each into the memo."""
+        width = self.kind.itemsize
+        for at in range(0, len(words), 4096):
+            some = words[at : at + 4096]
+            ids = self._ids(b" ".join(some).decode())
+            ends = (np.flatnonzero(self.ends[ids]) + 1) * width
+            if len(ends) == len(some):
+                data, ends = ids.tobytes(), ends.tolist()
+                self.memo.update(zip(some, [data[a:b] for a, b in zip([0, *ends[:-1]], ends, strict=True)], strict=True))
+            else:  # a tokenizer without ends of words
+                self.memo.update((w, self._ids(w.decode()).tobytes()) for w in some)
+
     def encode(self, texts: list[bytes]) -> Iterator[bytes]:
         """The packed ids of each text."""
         memo = self.memo
-        for at in range(0, len(texts), 64):
-            words = [t.split() for t in texts[at : at + 64]]
-            if new := list({w for ws in words for w in ws if w not in memo}):
-                if len(memo) > MEMO_WORDS:
-                    memo.clear()
-                    new = list({w for ws in words for w in ws})
-                found = self.tokenizer.encode_batch_fast([w.decode("utf-8", "replace") for w in new], add_special_tokens=False)
-                memo.update((w, np.asarray(e.ids, self.kind).tobytes()) for w, e in zip(new, found, strict=True))
-            for ws in words:
-                yield b"".join(map(memo.__getitem__, ws))
+        for at in range(0, len(texts), 128):
+            split = [self.WORDS.findall(t.lower()) if self.latin(t) else None for t in texts[at : at + 128]]
+            new = {w for words in split if words for w in words if w not in memo}
+            if len(memo) + len(new) > MEMO_WORDS:
+                memo.clear()
+                new = {w for words in split if words for w in words}
+            if new:
+                self._learn(list(new))
+            for words, t in zip(split, texts[at : at + 128], strict=True):
+                yield b"".join(map(memo.__getitem__, words) if words is not None else [self._ids(t.decode("utf-8", "replace")).tobytes()])
 
 
 _encoders: dict[str, WordEncoder] = {}

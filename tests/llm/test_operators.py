@@ -91,6 +91,15 @@ def test_token_files_hold_what_the_library_gives(spark):
     assert got == expected_tokens(rows)
 
 
+@settings(max_examples=150, deadline=None)
+@given(st.lists(st.one_of(st.text(max_size=6), st.sampled_from(["H\u0331", "I\u0307s", "É,", "é.", "a.", "A..", "x,y", "<|endoftext|>", "<|", "it's.", "9.", "\x00", "\xa0", "Σας.", "．", "e\u0301."])), max_size=12))
+def test_words_have_the_ids_that_they_have_in_a_text(words):
+    text = " ".join(words).encode("utf-8", "ignore").decode()
+    own = token_files.encoder(tokenizer_path("word_bpe_49k.json"))
+    got = np.frombuffer(next(own.encode([text.encode()])), own.kind).tolist()
+    assert [(0, 0, len(got) + 1, zlib.crc32(struct.pack(f"<{len(got) + 1}I", *got, 2)))] == expected_tokens([(0, text)])
+
+
 def test_token_files_of_odd_documents(spark):
     docs = odd_docs(spark)
     rows = [(r.doc_id, r.text) for r in docs.collect()]
