@@ -116,7 +116,8 @@ def noise_report(series: DataFrame, max_lag: int = 5) -> DataFrame:
     """
     order = W.partitionBy("id").orderBy("t")
     lags = [F.struct(F.lit(k).alias("lag"), (F.col("v") * (F.lag("v", k).over(order) if k else F.col("v"))).alias("p")) for k in range(max_lag + 1)]
-    long = series.select(F.explode(F.array(*lags)).alias("x"), "v").select("x.lag", "x.p", "v").where("p is not null")
+    each = series.select(F.array(*lags).alias("lags"), "v")
+    long = each.select(F.explode("lags").alias("x"), "v").select("x.lag", "x.p", "v").where("p is not null")
     c = long.groupBy("lag").agg(F.avg("p").alias("cov"), F.count(F.lit(1)).alias("n"), F.avg("v").alias("mean"))
     zero = F.max(F.when(F.col("lag") == 0, F.col("cov"))).over(W.partitionBy())
     corr = F.col("cov") / zero

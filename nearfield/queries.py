@@ -229,7 +229,7 @@ def energy_weighted_blk(spark: SparkSession, sf_dir: str) -> DataFrame:
     return entries_of(_clique_density(spark, sf_dir), "w").select("row", "col", r6("val").alias("val"))
 
 
-@query("SELECT round(-0.4 * sum(m - 1), 6) AS energy, sum(m - 1)::DOUBLE AS electrons FROM (SELECT count(*) AS m FROM customer GROUP BY c_nationkey, c_mktsegment)")
+@query("SELECT round(-0.4::DOUBLE * sum(m - 1), 6) AS energy, sum(m - 1)::DOUBLE AS electrons FROM (SELECT count(*) AS m FROM customer GROUP BY c_nationkey, c_mktsegment)")
 def energy_blk(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Electronic energy and electron count, unscaled, as element sums."""
     sums = observables.sums_by(_clique_density(spark, sf_dir), workloads.clique_pair(spark, sf_dir))
@@ -494,7 +494,7 @@ def kmeans_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 _CUTOFF = "CASE WHEN a.species = 'X' OR b.species = 'X' THEN 7.5 ELSE 4.5 END"
 _HET = f"""WITH {_LATTICE}, {_near_sql('mixed', _CUTOFF)}, lists AS (SELECT DISTINCT i AS g, j AS x FROM close UNION SELECT atom_id, atom_id FROM mixed),
-weighed AS (SELECT g, sum(CASE species WHEN 'H' THEN 2 WHEN 'S' THEN 9 ELSE 4 END)::BIGINT AS n FROM lists JOIN mixed ON x = atom_id GROUP BY g),
+weighed AS (SELECT g, sum(CASE species WHEN 'H' THEN 2 WHEN 'S' THEN 9 ELSE 4 END)::BIGINT AS n FROM lists JOIN mixed ON lists.x = atom_id GROUP BY g),
 sized AS (SELECT g, n, species FROM weighed JOIN mixed ON g = atom_id)"""
 
 
@@ -754,13 +754,13 @@ def temperature_sliding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("""WITH s AS (SELECT user_id, ts, value, CASE WHEN ts - lag(ts) OVER w < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
 g AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM s)
-SELECT user_id, min(ts) AS start, count(*)::BIGINT AS n, round(avg(value * value), 4) AS temperature FROM g GROUP BY user_id, k""")
+SELECT user_id, min(ts) AS start, count(*)::BIGINT AS n, round(avg(value * value), 7) AS temperature FROM g GROUP BY user_id, k""")
 def temperature_session(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Temperature of stretches of a user's readings without a gap of six hours."""
     from .streaming import thermo
 
     t = thermo.sessions(thermo.readings(spark, sf_dir, stream=False))
-    return t.select("user_id", F.col("start").cast("timestamp_ntz").alias("start"), "n", F.round("temperature", 4).alias("temperature"))
+    return t.select("user_id", F.col("start").cast("timestamp_ntz").alias("start"), "n", F.round("temperature", 7).alias("temperature"))
 
 
 @query("""WITH marks AS (SELECT user_id, ts, event_id, value FROM events WHERE event_type = 'purchase')
