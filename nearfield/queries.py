@@ -457,9 +457,11 @@ def _combined_row(before: DataFrame, after: DataFrame) -> DataFrame:
 
 @query()
 def combine_water(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Combining by rounds on the homogeneous lattice: groups and work before and after."""
-    gp = cut(_water_lists(spark, sf_dir))
-    return _combined_row(gp, combine.combine(gp, growth=3.0)[0])
+    """Combining within cells of the homogeneous lattice, with a second pass at borders: groups and work before and after."""
+    a, box = workloads.water(spark, sf_dir)
+    p = workloads.atom_places(a, box, reach=4.5)
+    gp = cut(patterns.group_pattern(p, patterns.single_groups(p)))
+    return _combined_row(gp, combine.combine_subcells(gp, a.select(F.col("atom_id").alias("group_id"), F.col("cell_id").alias("cell"))))
 
 
 @query()
