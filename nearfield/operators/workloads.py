@@ -108,16 +108,31 @@ def gram(spark: SparkSession, sf_dir: str, k: int = 8) -> DataFrame:
     return dominant(both, e.select(F.col("vec_id").alias("row")))
 
 
-def duplicates(spark: SparkSession, sf_dir: str, words: int = 5, common: int = 50) -> DataFrame:
-    """Documents that share word sequences: val is the number of shared hashed sequences that at most ``common``
-    documents have; symmetric, without a diagonal."""
+def sequences(spark: SparkSession, sf_dir: str, words: int = 5) -> DataFrame:
+    """(doc_id, h): the distinct hashed word sequences of each document, whatever the number of documents that have them."""
     d = table(spark, sf_dir, "documents").select("doc_id", F.split(F.trim(F.regexp_replace("text", r"[ \t\n\x0B\f\r]+", " ")), " ").alias("w"))
     at = F.explode(F.sequence(F.lit(1), F.greatest(F.size("w") - (words - 1), F.lit(1))))
-    s = d.select("doc_id", at.alias("i"), "w").select("doc_id", F.md5(F.array_join(F.slice("w", F.col("i"), words), " ")).alias("h")).distinct()
-    rare = s.groupBy("h").agg(F.count(F.lit(1)).alias("n")).where((F.col("n") > 1) & (F.col("n") <= common)).select("h")
-    s = s.join(rare, "h", "left_semi")
-    other = s.select("h", F.col("doc_id").alias("col"))
-    return s.join(other, "h").where("doc_id <> col").groupBy(F.col("doc_id").alias("row"), "col").agg(F.count(F.lit(1)).cast("double").alias("val"))
+    s = d.select("doc_id", at.alias("i"), "w").select("doc_id", F.md5(F.array_join(F.slice("w", F.col("i"), words), " ")).alias("h"))
+    return s.where("doc_id is not null and h is not null").distinct()
+
+
+def shared_sequences(s: DataFrame) -> DataFrame:
+    """Rows (doc_id, h) whose sequence another document has too: the others make no entry of the near-duplicate graph."""
+    return s.join(s.groupBy("h").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("h"), "h", "left_semi")
+
+
+def times_shared(s: DataFrame, v: DataFrame) -> DataFrame:
+    """A v as rows (doc_id, v), A the near-duplicate graph: entries are the numbers of sequences that two documents share.
+
+    ``s``: distinct (doc_id, h); ``v``: (doc_id, v), rows of one document are added. Each sequence sums v once, and each
+    of its documents takes that sum without its own term, so no pairs are made and a sequence may have any number of
+    documents. A document is in the result if it shares a sequence with another one that v names.
+    """
+    v = v.where("v is not null").groupBy("doc_id").agg(F.sum("v").alias("v"))
+    own = s.join(v, "doc_id", "left")
+    sums = own.groupBy("h").agg(F.sum("v").alias("total"), F.count("v").alias("n")).where("n > 0")
+    others = own.join(sums, "h").where(F.col("n") > F.col("v").isNotNull().cast("int"))
+    return others.groupBy("doc_id").agg(F.sum(F.col("total") - F.coalesce("v", F.lit(0.0))).alias("v"))
 
 
 def page_tree(spark: SparkSession, sf_dir: str) -> DataFrame:

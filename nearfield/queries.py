@@ -633,10 +633,11 @@ two AS (SELECT "row" AS doc_id, sum(val * v) AS v FROM dup JOIN one ON col = one
 SELECT doc_id, (coalesce(two.v, 0) + 2 * coalesce(one.v, 0))::DOUBLE AS filtered FROM two FULL JOIN one USING (doc_id)""")
 def dup_graph_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(A^2 + 2 A) y on the near-duplicate graph of documents, y the quality labels: a polynomial graph filter."""
-    a = cut(workloads.duplicates(spark, sf_dir))
-    y = table(spark, sf_dir, "labels").where("quality is not null").select(F.col("doc_id").alias("row"), F.lit(0).cast("long").alias("col"), F.col("quality").cast("double").alias("val"))
-    one = cut(matrix.multiply(a, y))
-    return matrix.axpy(2.0, one, 1.0, matrix.multiply(a, one)).select(F.col("row").alias("doc_id"), F.col("val").alias("filtered"))
+    s = cut(workloads.shared_sequences(workloads.sequences(spark, sf_dir)))
+    y = table(spark, sf_dir, "labels").where("quality is not null").select("doc_id", F.col("quality").cast("double").alias("v"))
+    one = cut(workloads.times_shared(s, y))
+    both = workloads.times_shared(s, one).unionByName(one.select("doc_id", (2 * F.col("v")).alias("v")))
+    return both.groupBy("doc_id").agg(F.sum("v").alias("filtered"))
 
 
 @query("SELECT (count(*) * count(*))::BIGINT AS places, 0.0::DOUBLE AS max_abs FROM supplier")

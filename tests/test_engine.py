@@ -482,3 +482,20 @@ def test_averages_have_errors(spark):
     t = spark.range(1000).select(F.col("id").alias("step"), (F.col("id") % 2).cast("double").alias("v"))
     r = dynamics.ensemble_average(t, "v").first()
     assert r["mean"] == 0.5 and r["error"] == 0 and r["blocks"] == 10
+
+
+def test_the_duplicate_graph_holds_large_families(spark, tmp_path):
+    from nearfield.queries import QUERIES
+
+    texts = {d: f"a b c d e f {'g' if d % 2 else 'h'}" for d in range(70)} | {100: "a b c d e", 101: "k l m n o p", 102: "k l m n o q", 103: "alone with these own few words", 104: None}
+    y = {d: d % 3 % 2 for d in texts if d % 4 < 2 and d != 102}
+    spark.createDataFrame(list(texts.items()), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame(list(y.items()) + [(2, None)], "doc_id long, quality int").write.parquet(f"{tmp_path}/labels.parquet")
+    sets = {d: {tuple(t.split()[i : i + 5]) for i in range(max(1, len(t.split()) - 4))} for d, t in texts.items() if t}
+    a = {d: {e: n for e in sets if e != d and (n := len(sets[d] & sets[e]))} for d in sets}
+    times = lambda v: {d: sum(n * v[e] for e, n in near.items() if e in v) for d, near in a.items() if any(e in v for e in near)}
+    one = times(y)
+    two = times(one)
+    want = {d: two.get(d, 0) + 2 * one.get(d, 0) for d in two | one}
+    got = QUERIES["dup_graph_filter"](spark, str(tmp_path)).collect()
+    assert len(got) == len(want) and {r.doc_id: r.filtered for r in got} == want and set(range(70)) <= set(want)
