@@ -8,7 +8,7 @@ by their exact sets. Links are followed from document to document until each par
 
 from __future__ import annotations
 
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 from math import ceil
 
 import numpy as np
@@ -66,40 +66,46 @@ class TokenGroupMatrix:
 
     def reach(self, i: int, only: np.ndarray | None = None) -> list[int]:
         """Open documents that link with document i; of ``only`` (a mask), if given."""
+        found = self.linked(i)[0]
+        found = found[self.open[found]]
+        return (found if only is None else found[only[found]]).tolist()
+
+    def linked(self, i: int) -> tuple[np.ndarray, np.ndarray]:
+        """Every laid out document that links with document i, and how many shingles each shares with it."""
+        none = np.zeros(0, np.int64), np.zeros(0, np.int64)
         s, n, p = self.sets[i], int(self.sizes[i]), self.percent
         if not n or not len(self.members):
-            return []
+            return none
         place = np.searchsorted(self.tokens, s)
         place[place == len(self.tokens)] = 0
         place = place[self.tokens[place] == s]
         if not place.size:
-            return []
+            return none
         need = (self.most * 0 + -(-n * p // 100)).astype(np.int64)  # at least p percent of the larger set is common
         need = np.maximum(need, -(-self.least * p // 100)).astype(np.int64)
         spans = self.union_at[place + 1] - self.union_at[place]
         rare = np.argsort(spans, kind="stable")
         miss = n - int(need.min()) + 1 + (place.size - n)  # tokens found nowhere count as missed
         if miss <= 0:
-            return []
+            return none
         some = _ranges(self.union_at[place[rare[:miss]]], spans[rare[:miss]])
         seen = np.zeros(self.n_groups, bool)
         seen[self.union[some]] = True  # a group without any of the rarest cannot have enough of the rest
         if not seen.any():
-            return []
+            return none
         bound = np.bincount(self.union[_ranges(self.union_at[place], spans)], minlength=self.n_groups)
         wide = (self.most * 100 >= n * p) & (self.least * p <= n * 100)
         opened = seen & wide & (bound >= need)
         if not opened.any():
-            return []
+            return none
         spans = self.at[place + 1] - self.at[place]
         who = self.who[_ranges(self.at[place], spans)]
         who = who[opened[self.group_of[who]]]
         common = np.bincount(who, minlength=len(self.members))
         sizes = self.sizes[self.members]
         good = (100 * common >= p * (n + sizes - common)) & (common > 0)
-        found = self.members[good]
-        found = found[self.open[found] & (found != i)]
-        return (found if only is None else found[only[found]]).tolist()
+        good &= self.members != i
+        return self.members[good], common[good]
 
 
 def _ranges(starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
@@ -135,6 +141,19 @@ def spanning_links(sets: list[np.ndarray], percent: int, side: np.ndarray | None
     return out
 
 
+def all_links(sets: list[np.ndarray], percent: int, side: np.ndarray | None = None) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """(i, linked documents, shingles shared with each): every link once, at the document that comes first.
+
+    With ``side`` links between the sides only, each at the document of side 0.
+    """
+    matrix = TokenGroupMatrix(sets, percent)
+    for i in range(len(sets)) if side is None else np.flatnonzero(side == 0).tolist():
+        found, common = matrix.linked(i)
+        mine = found > i if side is None else side[found] == 1
+        if mine.any():
+            yield i, found[mine], common[mine]
+
+
 def bands_for(percent: int) -> tuple[int, int]:
     """(rows, bands) with which a pair at the threshold shares no band once in 10^9 pairs."""
     rows = 6 if percent >= 88 else 5
@@ -142,6 +161,38 @@ def bands_for(percent: int) -> tuple[int, int]:
     return rows, ceil(np.log(1e-9) / np.log1p(-(t**rows)))
 
 
+def deal(bands: DataFrame, block: int = BLOCK) -> DataFrame:
+    """(node, part, x, y, side) from (doc_id, band): parts are what bands connect, and tasks (part, x, y) pairs of its blocks.
+
+    Of a part of up to ``block`` documents x = y = 0. Larger ones fall into blocks by hash; task x < y holds both blocks
+    as sides 0 and 1, task x = y one block.
+    """
+    first = bands.groupBy("band").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).where("first < last").select(F.col("band").alias("k"), "first")
+    near = bands.join(first, F.col("band") == F.col("k")).select(F.col("first").alias("a"), F.col("doc_id").alias("b"))
+    parts = cut(connected_components(near))
+    counts = parts.groupBy("component").agg(F.count(F.lit(1)).alias("n")).select(F.col("component").alias("part"), F.ceil(F.col("n") / block).cast("long").alias("blocks"))
+    dealt = parts.join(counts, F.col("component") == F.col("part")).withColumn("own", F.pmod(F.xxhash64("node"), F.col("blocks")))
+    other = F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1))
+    dealt = dealt.select("node", "part", "own", other.alias("other"))
+    return dealt.select("node", "part", F.least("own", "other").alias("x"), F.greatest("own", "other").alias("y"), (F.col("own") > F.col("other")).cast("int").alias("side"))
+
+
+def by_task(work: DataFrame, search: Callable[[list[tuple]], Iterator[pa.RecordBatch]], schema: str) -> DataFrame:
+    """``search`` over the rows (side, doc_id, text, whether sides matter, what else ``work`` has) of each task (part, x, y)."""
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, rows = None, []
+        for b in batches:
+            for part, x, y, side, d, text, *more in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                if (part, x, y) != now:
+                    yield from search(rows)
+                    now, rows = (part, x, y), []
+                rows.append((side, d, text, x != y, *more))
+        yield from search(rows)
+
+    return work.repartition("part", "x", "y").sortWithinPartitions("part", "x", "y").mapInArrow(run, schema)
+
+
 def jaccard_components(docs: DataFrame, words: int, percent: int, block: int = BLOCK) -> DataFrame:
     """(doc_id, n_shingles, component_id, n_links) of a self-join by Jaccard similarity of word shingles.
 
@@ -160,39 +211,18 @@ def jaccard_components(docs: DataFrame, words: int, percent: int, block: int = B
     least = some.groupBy("s1", "s2").agg(F.min("doc_id").alias("class_id"))
     keys = some.join(least.withColumnsRenamed({"s1": "t1", "s2": "t2"}), (F.col("s1") == F.col("t1")) & (F.col("s2") == F.col("t2")))
     members = keys.select("doc_id", "class_id")
-    bands = keys.where(F.col("doc_id") == F.col("class_id")).select("doc_id", F.explode("bands").alias("band"))
-    first = bands.groupBy("band").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).where("first < last").select(F.col("band").alias("k"), "first")
-    near = bands.join(first, F.col("band") == F.col("k")).select(F.col("first").alias("a"), F.col("doc_id").alias("b"))
-    parts = cut(connected_components(near))
-    counts = parts.groupBy("component").agg(F.count(F.lit(1)).alias("n")).select(F.col("component").alias("part"), F.ceil(F.col("n") / block).cast("long").alias("blocks"))
-    dealt = parts.join(counts, F.col("component") == F.col("part")).withColumn("own", F.pmod(F.xxhash64("node"), F.col("blocks")))
-    other = F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1))
-    dealt = dealt.select("node", "part", "own", other.alias("other"))
-    dealt = dealt.select("node", "part", F.least("own", "other").alias("x"), F.greatest("own", "other").alias("y"), (F.col("own") > F.col("other")).cast("int").alias("side"))
+    dealt = deal(keys.where(F.col("doc_id") == F.col("class_id")).select("doc_id", F.explode("bands").alias("band")), block)
     texts = docs.where(F.col("doc_id").isNotNull()).select("doc_id", plain("text").alias("text"))
     work = texts.join(dealt, F.col("doc_id") == F.col("node")).select("part", "x", "y", "side", "doc_id", "text")
 
-    def search(rows: list[tuple]) -> list[tuple[int, int]]:
+    def search(rows: list[tuple]) -> Iterator[pa.RecordBatch]:
         rows.sort(key=lambda r: (r[1], r[2]))
         sets = [shingle_set(r[2], words) for r in rows]
         side = np.array([r[0] for r in rows]) if rows and rows[0][3] else None
-        return [(rows[i][1], rows[j][1]) for i, j in spanning_links(sets, percent, side)]
-
-    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        now, rows = None, []
-        found: list[tuple[int, int]] = []
-        for b in batches:
-            for part, x, y, side, d, text in zip(*(b.column(i).to_pylist() for i in range(6)), strict=True):
-                if (part, x, y) != now:
-                    found += search(rows)
-                    now, rows = (part, x, y), []
-                rows.append((side, d, text, x != y))
-            if len(found) > 10_000:
-                yield _links(found)
-                found = []
-        yield _links(found + search(rows))
+        found = [(rows[i][1], rows[j][1]) for i, j in spanning_links(sets, percent, side)]
+        yield _links(found)
 
-    links = work.repartition("part", "x", "y").sortWithinPartitions("part", "x", "y").mapInArrow(run, "a long, b long")
+    links = by_task(work, search, "a long, b long")
     links = cut(links.where("a <> b").distinct())
     linked = connected_components(links)
     ends = links.select(F.explode(F.array("a", "b")).alias("end")).groupBy("end").agg(F.count(F.lit(1)).alias("n_links"))

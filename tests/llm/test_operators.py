@@ -413,6 +413,18 @@ def test_bands_find_near_pairs(spark):
         assert r.jaccard == pytest.approx(jaccard(sets[r.a], sets[r.b])) and r.jaccard >= 0.8
 
 
+@pytest.mark.parametrize("block", [6000, 9])
+def test_bands_find_all_near_pairs(spark, block):
+    rows = list(enumerate(families(block)))
+    sets = {d: shingles(t, 5) for d, t in rows}
+    first = {d: min(e for e in sets if sets[e] == s) for d, s in sets.items()}
+    reps = [d for d in sets if first[d] == d]
+    want = {(a, b): jaccard(sets[a], sets[b]) for a in reps for b in reps if a < b and jaccard(sets[a], sets[b]) >= 0.8}
+    got = fingerprints.near_pairs(spark.createDataFrame(rows, "doc_id long, text string"), block=block).collect()
+    assert len(got) == len(want) and {(r.a, r.b): r.jaccard for r in got} == pytest.approx(want)
+    assert len(want) > len({b for _, b in want})  # more than one partner each
+
+
 # ---- Jaccard join and components
 
 
