@@ -117,28 +117,44 @@ def _ranges(starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
     return np.arange(total) - np.repeat(ends - lengths - starts, lengths)
 
 
-def spanning_links(sets: list[np.ndarray], percent: int, side: np.ndarray | None = None) -> list[tuple[int, int]]:
-    """Links that connect all that links connect: each document reached is linked to the one that reached it.
+def spanning_links(sets: list[np.ndarray], percent: int, side: np.ndarray | None = None, weights: np.ndarray | None = None) -> tuple[list[tuple[int, int]], np.ndarray]:
+    """(links that connect all that links connect, number of links of each document).
 
-    ``side`` (0 or 1): only links between the sides are sought; those within a side are other tasks'.
+    Each document reached is linked to the one that reached it. With ``weights`` every document's links are counted too,
+    a link to a document as often as its weight; without, the numbers are zeros and what is reached is no longer
+    searched. ``side`` (0 or 1): only links between the sides are sought; those within a side are other tasks'.
     """
     matrix = TokenGroupMatrix(sets, percent)
     out: list[tuple[int, int]] = []
+    counts = np.zeros(len(sets), np.int64)
     if side is not None and (side == side[:1]).all():
-        return out
+        return out, counts
+
+    def close(documents: list[int]) -> None:
+        if weights is None:
+            matrix.close(documents)
+        else:
+            matrix.open[documents] = False  # but stay laid out
+
     for root in range(len(sets)):
         if not matrix.open[root]:
             continue
-        matrix.close([root])
+        close([root])
         front = [root]
         while front:
             i = front.pop()
-            found = matrix.reach(i, None if side is None else side != side[i])
+            if weights is None:
+                found = matrix.reach(i, None if side is None else side != side[i])
+            else:
+                near = matrix.linked(i)[0]
+                near = near if side is None else near[side[near] != side[i]]
+                counts[i] = weights[near].sum()
+                found = near[matrix.open[near]].tolist()
             if found:
-                matrix.close(found)
+                close(found)
                 out.extend((i, j) for j in found)
                 front.extend(found)
-    return out
+    return out, counts
 
 
 def all_links(sets: list[np.ndarray], percent: int, side: np.ndarray | None = None) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
@@ -193,53 +209,69 @@ def by_task(work: DataFrame, search: Callable[[list[tuple]], Iterator[pa.RecordB
     return work.repartition("part", "x", "y").sortWithinPartitions("part", "x", "y").mapInArrow(run, schema)
 
 
-def jaccard_components(docs: DataFrame, words: int, percent: int, block: int = BLOCK) -> DataFrame:
+def jaccard_components(docs: DataFrame, words: int, percent: int, block: int = BLOCK, links: bool = True) -> DataFrame:
     """(doc_id, n_shingles, component_id, n_links) of a self-join by Jaccard similarity of word shingles.
 
     Documents link when 100 * intersection >= percent * union of their distinct shingles (A-Z lower-cased words; with
     fewer words the whole sequence is one shingle). component_id is the least doc_id reachable by links; n_links is
-    the number of links by which the document was reached or reached others. Documents without words, or null text,
+    the number of links of the document with others, equal sets among them; ``links=False`` leaves it out, which is
+    cheaper: components need a spanning forest only. Documents without words, or null text,
     link with nothing. Rows without doc_id are left out; rows that share a doc_id are one document that has the links of
-    all its texts, and the least component of them. Other columns are ignored.
+    all its texts (added up in n_links), and the least component of them. Other columns are ignored.
 
     Equal sets are one class before anything is compared, however many copies there are. A pair of sets at the
     threshold meets in no band once in 10^9 pairs (as rare as a collision of the 64-bit shingle hashes); above it
     more seldom. Parts over ``block`` documents are dealt in pairs of blocks, so no task holds more than two.
     """
+    import xxhash
+
     table = cut(set_table(docs, words, *bands_for(percent)))
     some = table.where("n_shingles > 0")
-    least = some.groupBy("s1", "s2").agg(F.min("doc_id").alias("class_id"))
+    least = some.groupBy("s1", "s2").agg(F.min("doc_id").alias("class_id"), F.count(F.lit(1)).alias("copies"))
     keys = some.join(least.withColumnsRenamed({"s1": "t1", "s2": "t2"}), (F.col("s1") == F.col("t1")) & (F.col("s2") == F.col("t2")))
-    members = keys.select("doc_id", "class_id")
+    members = keys.select("doc_id", "class_id", "s1", "s2", "copies")
     dealt = deal(keys.where(F.col("doc_id") == F.col("class_id")).select("doc_id", F.explode("bands").alias("band")), block)
     texts = docs.where(F.col("doc_id").isNotNull()).select("doc_id", plain("text").alias("text"))
     work = texts.join(dealt, F.col("doc_id") == F.col("node")).select("part", "x", "y", "side", "doc_id", "text")
+    if links:
+        own = least.groupBy("class_id").agg(F.collect_list(F.struct("s1", "s2", "copies")).alias("classes"))  # one, or as many as a doc_id has texts
+        work = work.join(own, F.col("doc_id") == F.col("class_id")).select(*work.columns, "classes")
 
     def search(rows: list[tuple]) -> Iterator[pa.RecordBatch]:
         rows.sort(key=lambda r: (r[1], r[2]))
         sets = [shingle_set(r[2], words) for r in rows]
         side = np.array([r[0] for r in rows]) if rows and rows[0][3] else None
-        found = [(rows[i][1], rows[j][1]) for i, j in spanning_links(sets, percent, side)]
-        yield _links(found)
-
-    links = by_task(work, search, "a long, b long")
-    links = cut(links.where("a <> b").distinct())
-    linked = connected_components(links)
-    ends = links.select(F.explode(F.array("a", "b")).alias("end")).groupBy("end").agg(F.count(F.lit(1)).alias("n_links"))
-    linked = linked.join(ends, F.col("node") == F.col("end")).select("node", "component", "n_links")
+        keys, weights = [], None
+        if links:
+            left = {(r[1], c["s1"], c["s2"]): c["copies"] for r in rows for c in r[4]}
+            keys = [tuple(np.frombuffer(xxhash.xxh3_128_digest(x), np.int64).tolist()) for x in sets]
+            weights = np.array([left.pop((r[1], *k), 0) for r, k in zip(rows, keys, strict=True)], np.int64)  # each class once
+        found, counts = spanning_links(sets, percent, side, weights)
+        yield _links([(rows[i][1], rows[j][1], None, None, None) for i, j in found])
+        if links:
+            yield _links([(None, None, *keys[i], int(counts[i])) for i in np.flatnonzero((counts > 0) & (weights > 0))])
+
+    found = cut(by_task(work, search, "a long, b long, s1 long, s2 long, n long"))
+    linked = connected_components(found.where("a <> b").select("a", "b"))
     component = members.join(linked, F.col("class_id") == F.col("node"), "left")
-    component = component.groupBy("doc_id").agg(F.min(F.coalesce("component", "class_id")).alias("component_id"), F.max(F.coalesce("n_links", F.lit(0))).alias("n_links"))
+    columns = [F.min(F.coalesce("component", "class_id")).alias("component_id")]
+    if links:
+        counts = found.where("n is not null").groupBy(F.col("s1").alias("t1"), F.col("s2").alias("t2")).agg(F.sum("n").alias("n"))
+        component = component.join(counts, (F.col("s1") == F.col("t1")) & (F.col("s2") == F.col("t2")), "left")
+        columns.append(F.sum(F.coalesce("n", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
+    component = component.groupBy("doc_id").agg(*columns)
     sizes = table.groupBy("doc_id").agg(F.max("n_shingles").alias("n_shingles")).withColumnRenamed("doc_id", "_id")
     out = sizes.join(component, F.col("_id") == F.col("doc_id"), "left")
-    return out.select(F.col("_id").alias("doc_id"), "n_shingles", F.coalesce("component_id", "_id").alias("component_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
+    out = out.select(F.col("_id").alias("doc_id"), "n_shingles", F.coalesce("component_id", "_id").alias("component_id"), *["n_links"] * links)
+    return out.withColumn("n_links", F.coalesce("n_links", F.lit(0)).cast("long")) if links else out
 
 
-def _links(found: list[tuple[int, int]]) -> pa.RecordBatch:
-    a, b = zip(*found, strict=True) if found else ((), ())
-    return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+def _links(found: list[tuple]) -> pa.RecordBatch:
+    columns = list(zip(*found, strict=True)) or [()] * 5
+    return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], ["a", "b", "s1", "s2", "n"])
 
 
 def drop_near_copies(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
     """``docs`` with one document of each linked group left: that with the least doc_id. Rows without doc_id stay."""
-    gone = jaccard_components(docs, words, percent).where("component_id <> doc_id").select(F.col("doc_id").alias("_nf_gone"))
+    gone = jaccard_components(docs, words, percent, links=False).where("component_id <> doc_id").select(F.col("doc_id").alias("_nf_gone"))
     return docs.join(gone, F.col("doc_id") == F.col("_nf_gone"), "left_anti")

@@ -472,6 +472,19 @@ def test_jaccard_components_are_exact(spark, words, percent, block):
     assert {r.doc_id: r.component_id for r in got} == plain_components(sets, percent)
 
 
+@pytest.mark.parametrize("block", [6000, 9])
+def test_the_jaccard_join_counts_every_link(spark, block):
+    texts = families(3 + block)
+    rows = list(enumerate(texts + texts[:9])) + [(9000, None), (9001, ""), (9003, "one"), (9004, "ONE")]
+    sets = {d: shingles(t, 3) for d, t in rows}
+    want = {d: sum(e != d and 100 * len(s & t) >= 90 * len(s | t) > 0 for e, t in sets.items()) for d, s in sets.items()}
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = jaccard_groups.jaccard_components(df, 3, 90, block).collect()
+    assert {r.doc_id: r.n_links for r in got} == want and max(want.values()) > 2
+    bare = jaccard_groups.jaccard_components(df, 3, 90, block, links=False).collect()
+    assert {tuple(r) for r in bare} == {(r.doc_id, r.n_shingles, r.component_id) for r in got}
+
+
 def test_jaccard_of_odd_documents(spark):
     got = {r.doc_id: r for r in jaccard_groups.jaccard_components(odd_docs(spark), 3, 90).collect()}
     assert set(got) == {-4, 1, 2, 3, 4, 5, 7, 8, 9, 10}
