@@ -554,6 +554,98 @@ def test_language_of_odd_documents(spark):
     assert {r.lang_pred for r in language.identify(odd_docs(spark), none).collect()} == {"und"}
 
 
+def plain_ngrams(text):
+    """Counts of hashed n-grams, one character at a time."""
+    if text is None or not any(ch.isalpha() for ch in text.lower()):
+        return None
+    c, full = " ", 2**32 - 1
+    for ch in text.lower():
+        if ch.isalpha():
+            c += ch
+        elif len(c) > 1 and c[-1] != " ":
+            c += " "
+    c += " "
+    out = Counter()
+    for i in range(len(c)):
+        for n in (1, 2, 3):
+            if i + n > len(c):
+                continue
+            o = [ord(x) * 0x9E3779B1 & full for x in c[i : i + n]]
+            h = o[0]
+            if n > 1:
+                h = ((o[0] ^ o[0] >> 15) * 0x85EBCA77 + o[1]) & full
+            if n == 3:
+                h = ((h ^ h >> 13) * 0xC2B2AE3D + o[2]) & full
+            h = h * {1: 1, 2: 0x27D4EB2F, 3: 0x165667B1}[n] & full
+            out[(h ^ h >> 16) * 0x9E3779B1 & full] += 1
+    counts = Counter()
+    for h, m in out.items():
+        counts[h >> 19] += m
+    return counts
+
+
+@pytest.mark.parametrize("piece", [1, 2, 3, 7, 1 << 19])
+def test_ngrams_are_those_of_a_plain_count(monkeypatch, piece):
+    monkeypatch.setattr(language, "PIECE", piece)
+    for text in ("", None, "7 !", "a", "Ab", " ab  C-d\n\n", "Où est l'Été ?", "x1y", "ΑΣ 日本 σ", "a" * 50 + "!!"):
+        got, want = language.ngram_counts(text), plain_ngrams(text)
+        assert (got is None) == (want is None)
+        if want:
+            assert {i: int(got[i]) for i in np.flatnonzero(got)} == dict(want)
+
+
+def plain_language(rows, texts, k=4, seed=5):
+    """Dense TF-IDF vectors, k-means and the nearest centroid, as a plain program has them."""
+    counts = [(lang, np.array([c.get(i, 0) for i in range(language.FEATURES)], float)) for lang, text in rows if (c := plain_ngrams(text))]
+    seen = sum((n > 0).astype(int) for _, n in counts)
+    idf = np.log((1 + len(counts)) / (1 + seen)) + 1
+
+    def unit(x):
+        return x / max(np.sqrt((x * x).sum()), 1e-12)
+
+    draw = np.random.default_rng(seed)
+    centres = []
+    for lang in sorted({n for n, _ in counts}):
+        x = [unit(np.log1p(n) * idf) for own, n in counts if own == lang]
+        c = [x[i] for i in draw.choice(len(x), min(k, len(x)), replace=False)]
+        for _ in range(12):
+            own = [max(range(len(c)), key=lambda j: v @ c[j]) for v in x]
+            c = [unit(sum(v for v, o in zip(x, own, strict=True) if o == j)) if j in own else c[j] for j in range(len(c))]
+        own = [max(range(len(c)), key=lambda j: v @ c[j]) for v in x]
+        centres += [(lang, c[j]) for j in range(len(c)) if j in own]
+    out = []
+    for text in texts:
+        c = plain_ngrams(text)
+        if not c:
+            out.append(("und", 0.0))
+            continue
+        v = unit(np.log1p(np.array([c.get(i, 0) for i in range(language.FEATURES)])) * idf)
+        lang, centre = max(centres, key=lambda x: v @ x[1])
+        out.append((lang, min(1.0, max(0.0, float(v @ centre)))))
+    return out
+
+
+def test_the_language_query_is_a_plain_nearest_centroid(spark):
+    from nearfield.llm.queries import op8_language_centroids
+
+    got = {r.doc_id: r for r in op8_language_centroids(spark, SMALL).collect()}
+    rows = spark.read.parquet(f"{SMALL}/documents.parquet").selectExpr("doc_id", "text", "lang", "xxhash64(doc_id, 11) AS o").collect()
+    held = {r.doc_id: zlib.crc32(str(r.doc_id).encode()) % 5 == 0 for r in rows}
+    assert {d: r.held_out for d, r in got.items()} == held
+    # few rows: all are drawn; the order of the draw is that of the hash
+    fit = [(r.lang, r.text) for r in sorted(rows, key=lambda r: r.o) if not held[r.doc_id] and r.lang is not None and r.text is not None]
+    want = plain_language(fit, [r.text for r in rows])
+    same = [got[r.doc_id].lang_pred == lang for r, (lang, _) in zip(rows, want, strict=True)]
+    near = [abs(got[r.doc_id].score - score) < 1e-4 for r, (_, score) in zip(rows, want, strict=True)]
+    assert np.mean(same) >= 0.99 and np.mean(near) >= 0.97  # single precision may settle a close call otherwise
+
+
+def test_counts_of_very_common_ngrams_do_not_wrap():
+    at, n = np.array([3, 9]), np.array([65_536, 1], np.uint32)
+    m = language.fit([("x", at, n), ("y", np.array([9]), np.array([1]))], centroids=1)
+    assert m.langs == ["x", "y"] and m.centroids[0][3] > 0.9
+
+
 # ---- WARC
 
 
