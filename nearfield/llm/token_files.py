@@ -29,12 +29,16 @@ MAGIC = b"NFTOKEF1"
 _HEAD = struct.Struct("<8sIIQQQq")
 #: Ids in a file, but for one larger document.
 FILE_IDS = 1 << 23
-#: Words whose ids a worker remembers before it starts anew.
-MEMO_WORDS = 800_000
+#: Bytes of words and ids that a worker remembers before it starts anew, and of the longest word it remembers.
+MEMO_BYTES, LONG_WORD = 192 << 20, 64
+#: Bytes of texts that are taken apart at a time.
+STEP = 1 << 20
 
 
 #: UTF-8 bytes of ASCII and of U+00C0 to U+00FF; its letters are all of the latter but U+00D7 and U+00F7.
 _LATIN = bytes(range(128)) + b"\xc3" + bytes(range(0x80, 0xC0))
+#: What a remembered entry takes beside its bytes, about.
+_ENTRY = 160
 
 
 class WordEncoder:
@@ -42,9 +46,9 @@ class WordEncoder:
 
     For a tokenizer that drops white space, lower-cases, and takes contractions, runs of letters, single digits and
     runs of other characters apart: a text's ids are those of its words in order. Texts of ASCII and Latin letters
-    are taken apart here by the same rule, and new words go to the library many at a time, where the ids that end a
-    word show which are whose; all other texts go to it whole. ``tests/llm`` holds both against
-    encoding whole texts.
+    are cut at white space, then taken apart here by the same rule, and new words go to the library many at a time,
+    where the ids that end a word show which are whose; all other texts, and those that hold the string of an added
+    token, go to it whole. ``tests/llm`` holds both against encoding whole texts.
     """
 
     WORDS = re.compile(rb"'s|'t|'re|'ve|'m|'ll|'d|(?:[a-z]+|(?:\xc3[\x80-\x96\x98-\xb6\xb8-\xbf])+)+|[0-9]|[^\sa-z0-9\xc3\x80-\xbf]+")
@@ -54,47 +58,104 @@ class WordEncoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
         size = self.tokenizer.get_vocab_size()
         suffix = getattr(self.tokenizer.model, "end_of_word_suffix", None)
         self.ends = np.zeros(size, bool)
         if suffix:
             self.ends[[i for t, i in self.tokenizer.get_vocab().items() if t.endswith(suffix)]] = True
+        self.added = [t.content.encode().lower() for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.kind = np.dtype("<u4" if size > 1 << 16 else "<u2")
+        #: Ids of single words and of what white space sets apart ("word," and the like).
         self.memo: dict[bytes, bytes] = {}
+        self.held = 0
 
     def _ids(self, text: str) -> np.ndarray:
         return np.asarray(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, self.kind)
 
-    def latin(self, text: bytes) -> bool:
-        return not text.translate(None, _LATIN) and b"\xc3\x97" not in text and b"\xc3\xb7" not in text
+    def plain(self, lower: bytes) -> bool:
+        """Whether the words of a lower-cased text are those of ``WORDS``."""
+        return not lower.translate(None, _LATIN) and b"\xc3\x97" not in lower and b"\xc3\xb7" not in lower and not any(t in lower for t in self.added)
 
-    def _learn(self, words: list[bytes]) -> None:
-        """Put the ids of new words that are one word each into the memo."""
-        width = self.kind.itemsize
+    def _words(self, words: list[bytes]) -> dict[bytes, bytes]:
+        """The ids of words that are one word each."""
+        width, found = self.kind.itemsize, {}
         for at in range(0, len(words), 4096):
             some = words[at : at + 4096]
             ids = self._ids(b" ".join(some).decode())
             ends = (np.flatnonzero(self.ends[ids]) + 1) * width
             if len(ends) == len(some):
                 data, ends = ids.tobytes(), ends.tolist()
-                self.memo.update(zip(some, [data[a:b] for a, b in zip([0, *ends[:-1]], ends, strict=True)], strict=True))
+                found.update(zip(some, [data[a:b] for a, b in zip([0, *ends[:-1]], ends, strict=True)], strict=True))
             else:  # a tokenizer without ends of words
-                self.memo.update((w, self._ids(w.decode()).tobytes()) for w in some)
+                found.update((w, self._ids(w.decode()).tobytes()) for w in some)
+        return found
+
+    def _keep(self, found: dict[bytes, bytes]) -> None:
+        short = found if len(max(found, key=len, default=b"")) <= LONG_WORD else {w: ids for w, ids in found.items() if len(w) <= LONG_WORD}
+        self.memo.update(short)
+        self.held += sum(map(len, short)) + sum(map(len, short.values())) + _ENTRY * len(short)
+
+    def _look_up(self, chunks: list[list[bytes]]) -> dict[bytes, bytes]:
+        """The ids of all chunks; long ones are not remembered."""
+        if self.held > MEMO_BYTES:
+            self.memo, self.held = {}, 0
+        new = set().union(*chunks).difference(self.memo)
+        if not new:
+            return self.memo
+        split = {c: w for c in new if len(w := self.WORDS.findall(c)) != 1}
+        single = new.difference(split)
+        found = self._words(list(single.union(*split.values()).difference(self.memo)))
+        self._keep(found)
+        found = _Both(found, self.memo)
+        joined = {c: b"".join([found[x] for x in w]) for c, w in split.items()}
+        self._keep(joined)
+        found.update(joined)
+        return self.memo if len(max(new, key=len)) <= LONG_WORD else found
 
     def encode(self, texts: list[bytes]) -> Iterator[bytes]:
         """The packed ids of each text."""
-        memo = self.memo
-        for at in range(0, len(texts), 128):
-            split = [self.WORDS.findall(t.lower()) if self.latin(t) else None for t in texts[at : at + 128]]
-            new = {w for words in split if words for w in words if w not in memo}
-            if len(memo) + len(new) > MEMO_WORDS:
-                memo.clear()
-                new = {w for words in split if words for w in words}
-            if new:
-                self._learn(list(new))
-            for words, t in zip(split, texts[at : at + 128], strict=True):
-                yield b"".join(map(memo.__getitem__, words) if words is not None else [self._ids(t.decode("utf-8", "replace")).tobytes()])
+        at = 0
+        while at < len(texts):
+            some, size = [], 0
+            while at < len(texts) and (not some or len(some) < 256 and size + len(texts[at]) <= STEP):
+                size += len(texts[at])
+                some.append(texts[at])
+                at += 1
+            if size > STEP:  # one long text, a stretch at a time
+                yield self._long(some[0])
+                continue
+            lower = [t.lower() for t in some]
+            chunks = [t.split() if self.plain(t) else None for t in lower]
+            ids = self._look_up([c for c in chunks if c])
+            for c, t in zip(chunks, some, strict=True):
+                yield b"".join(map(ids.__getitem__, c)) if c is not None else self._ids(t.decode("utf-8", "replace")).tobytes()
+
+    def _long(self, text: bytes) -> bytes:
+        lower = text.lower()
+        if not self.plain(lower):
+            return self._ids(text.decode("utf-8", "replace")).tobytes()
+        out, at = [], 0
+        while at < len(lower):
+            space = _SPACE.search(lower, at + STEP)
+            end = space.start() if space else len(lower)
+            chunks = lower[at:end].split()
+            out.extend(map(self._look_up([chunks]).__getitem__, chunks))
+            at = end
+        return b"".join(out)
+
+
+_SPACE = re.compile(rb"[ \t\n\r\x0b\x0c]")
+
+
+class _Both(dict):
+    """A small mapping before a large one."""
+
+    def __init__(self, few: dict, many: dict):
+        super().__init__(few)
+        self.many = many
+
+    def __missing__(self, key):
+        return self.many[key]
 
 
 _encoders: dict[str, WordEncoder] = {}

@@ -75,7 +75,6 @@ def expected_tokens(rows):
     from tokenizers import Tokenizer
 
     t = Tokenizer.from_file(tokenizer_path("word_bpe_49k.json"))
-    t.encode_special_tokens = True
     at, out = 0, []
     for d, text in rows:
         ids = [*t.encode(text or "", add_special_tokens=False).ids, 2]
@@ -92,7 +91,7 @@ def test_token_files_hold_what_the_library_gives(spark):
 
 
 @settings(max_examples=150, deadline=None)
-@given(st.lists(st.one_of(st.text(max_size=6), st.sampled_from(["H\u0331", "I\u0307s", "É,", "é.", "a.", "A..", "x,y", "<|endoftext|>", "<|", "it's.", "9.", "\x00", "\xa0", "Σας.", "．", "e\u0301."])), max_size=12))
+@given(st.lists(st.one_of(st.text(max_size=6), st.sampled_from(["H\u0331", "I\u0307s", "É,", "é.", "a.", "A..", "x,y", "<|endoftext|>", "a<|startoftext|>b", "<|ENDOFTEXT|>", "<|", "it's.", "'S'", "x" * 70, "ab" * 40 + "!", "it's.", "9.", "\x00", "\xa0", "Σας.", "．", "e\u0301."])), max_size=12))
 def test_words_have_the_ids_that_they_have_in_a_text(words):
     text = " ".join(words).encode("utf-8", "ignore").decode()
     own = token_files.encoder(tokenizer_path("word_bpe_49k.json"))
@@ -100,6 +99,17 @@ def test_words_have_the_ids_that_they_have_in_a_text(words):
     assert [(0, 0, len(got) + 1, zlib.crc32(struct.pack(f"<{len(got) + 1}I", *got, 2)))] == expected_tokens([(0, text)])
 
 
+@pytest.mark.parametrize(("step", "memo"), [(1, 0), (50, 2000), (1 << 20, 1 << 20)])
+def test_long_texts_and_a_small_memo_give_the_same_ids(monkeypatch, step, memo):
+    monkeypatch.setattr(token_files, "STEP", step)
+    monkeypatch.setattr(token_files, "MEMO_BYTES", memo)
+    own = token_files.WordEncoder(tokenizer_path("word_bpe_49k.json"))
+    texts = ["", "one two, three's", "a <|endoftext|> b <|startoftext|>", "w" * 300 + " " + "Zoë! " * 40, "日本 end", " ".join(f"n{i}" for i in range(500)), " \n"]
+    got = [np.frombuffer(x, own.kind).tolist() for x in own.encode([t.encode() for t in texts])]
+    assert [(0, 0, len(g) + 1, zlib.crc32(struct.pack(f"<{len(g) + 1}I", *g, 2))) for g in got] == [expected_tokens([(0, t)])[0] for t in texts]
+    assert 49407 in got[2] and own.held < memo + 200_000 and max(map(len, own.memo), default=0) <= token_files.LONG_WORD
+
+
 def test_token_files_of_odd_documents(spark):
     docs = odd_docs(spark)
     rows = [(r.doc_id, r.text) for r in docs.collect()]
