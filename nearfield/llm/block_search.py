@@ -28,28 +28,51 @@ def usable(column: str) -> Column:
 
 def quantise(x: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """int8 codes, the scale of each row, the norm of what the codes stand for, and of what they miss."""
-    scale = np.abs(x).max(axis=1) / 127.0
+    scale = np.maximum(np.abs(x).max(axis=1) / 127.0, 1e-300)
     codes = np.rint(x / scale[:, None]).astype(np.int8)
     stands = codes * scale[:, None]
     return codes, scale, np.sqrt((stands**2).sum(axis=1)), np.sqrt(((x - stands) ** 2).sum(axis=1))
 
 
 def distances(x: np.ndarray, y: np.ndarray) -> np.ndarray:
-    """Euclidean distance of each row pair, in double precision, components added in order."""
-    total = np.zeros(len(x))
-    for i in range(x.shape[1]):
-        d = x[:, i] - y[:, i]
-        total += d * d
-    return np.sqrt(total)
+    """Euclidean distance of each row pair, in double precision, components added in order.
+
+    Rows whose squares leave the range of doubles are scaled by a power of two, which is exact; a distance above the
+    largest double is infinite.
+    """
+    with np.errstate(over="ignore", under="ignore", invalid="ignore"):
+        total = np.zeros(len(x))
+        for i in range(x.shape[1]):
+            d = x[:, i] - y[:, i]
+            total += d * d
+        out = np.sqrt(total)
+        odd = np.flatnonzero(~(total < 1e300) | (total < 1e-280))
+        if len(odd):
+            a, b = x[odd] * 0.25, y[odd] * 0.25  # so that a difference stays finite
+            d = a - b
+            e = np.frexp(np.abs(d).max(axis=1))[1]
+            d = np.ldexp(d, -e[:, None])
+            total = np.zeros(len(odd))
+            for i in range(d.shape[1]):
+                total += d[:, i] * d[:, i]
+            out[odd] = np.ldexp(np.sqrt(total), e + 2)
+    return out
 
 
 def tile(queries: np.ndarray, q_ids: np.ndarray, rows: np.ndarray, r_ids: np.ndarray, k: int) -> list[tuple[int, int, float]]:
     """(query id, row id, distance) of each query's k nearest rows of other ids; ties to the smaller id.
 
     Integer products are exact in the float type that multiplies them; with the codes' errors, a distance's square
-    lies within ``slack`` of its estimate, so a row whose lower bound exceeds the k-th least upper bound is out.
+    lies within ``slack`` of its estimate, so a row whose lower bound exceeds the k-th least upper bound is out. Vectors
+    whose squares would leave the range of doubles are scaled for the estimate, all by one power of two; what then
+    vanishes is within the bound, and the distances returned are those of the vectors given.
     """
     kind = np.float32 if 127 * 127 * rows.shape[1] < 1 << 24 else np.float64
+    given_queries, given_rows = queries, rows
+    most = max(np.abs(queries).max(), np.abs(rows).max())
+    if not 1e-100 < most < 1e100:
+        shift = -int(np.frexp(most)[1])
+        queries, rows = np.ldexp(queries, shift), np.ldexp(rows, shift)
     q8, qs, qn, qe = quantise(queries)
     r8, rs, rn, re = quantise(rows)
     q2, r2 = (queries**2).sum(axis=1), (rows**2).sum(axis=1)
@@ -59,7 +82,7 @@ def tile(queries: np.ndarray, q_ids: np.ndarray, rows: np.ndarray, r_ids: np.nda
     for at in range(0, len(queries), step):
         s = slice(at, at + step)
         estimate = q2[s, None] + r2 - 2 * (qs[s, None] * rs) * (q8[s].astype(kind) @ r8t)
-        slack = 2 * (qn[s, None] * re + qe[s, None] * (rn + re)) + 1e-12 * (q2[s, None] + r2)
+        slack = 2 * (qn[s, None] * re + qe[s, None] * (rn + re)) + 1e-12 * (q2[s, None] + r2) + 1e-290
         own = q_ids[s, None] == r_ids
         estimate[own] = np.inf
         upper = estimate + slack
@@ -69,7 +92,7 @@ def tile(queries: np.ndarray, q_ids: np.ndarray, rows: np.ndarray, r_ids: np.nda
         else:
             left = ~own
         i, j = np.nonzero(left)
-        score = np.concatenate([distances(queries[s][i[a : a + 65536]], rows[j[a : a + 65536]]) for a in range(0, len(i), 65536)] or [np.zeros(0)])
+        score = np.concatenate([distances(given_queries[s][i[a : a + 65536]], given_rows[j[a : a + 65536]]) for a in range(0, len(i), 65536)] or [np.zeros(0)])
         ends = np.searchsorted(i, np.arange(len(estimate) + 1))
         for q, (a, b) in enumerate(zip(ends[:-1], ends[1:], strict=True)):
             best = heapq.nsmallest(k, zip(score[a:b].tolist(), r_ids[j[a:b]].tolist(), strict=True))
