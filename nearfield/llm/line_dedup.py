@@ -49,15 +49,17 @@ def dedup_lines(docs: DataFrame, least: int = 20, documents: int = 3) -> DataFra
     """``docs`` with repeated lines gone from ``text``, and n_lines (before), n_dropped.
 
     A line's key is the line stripped of ASCII white space with A-Z lower-cased. Keys of at least ``least`` code
-    points in at least ``documents`` rows lose all their lines but those of the rows with the largest doc_id holding
-    it; lines without such a key stay, joined by newlines. Each row counts as a document, also where doc_ids repeat;
-    null doc_ids are below all others. Null text stays null and counts as one empty line. Columns of the input named
+    points in at least ``documents`` documents lose all their lines but those of the rows with the largest doc_id
+    holding it; lines without such a key stay, joined by newlines. Rows that share a doc_id are one document, and so
+    are those without one, which come below all others. Null text stays null and counts as one empty line. Columns of the input named
     n_lines or n_dropped are replaced; all others are kept.
 
-    Counts are combined before they are shuffled, and each row of a line's documents finds the line's one count, so a
-    line of a third of all documents is no hot key for the count, and one that the join may split.
+    Distinct documents are counted in two steps (a line's documents, then their number, combined before it is
+    shuffled), and each row of a line's documents finds the line's one count, so a line of a third of all documents is
+    no hot key for the count, and one that the join may split.
     """
-    counts = line_digests(docs, least).groupBy("h1", "h2").agg(F.count(F.lit(1)).alias("n"), F.max("doc").alias("keeper"))
+    once = line_digests(docs, least).distinct()
+    counts = once.groupBy("h1", "h2").agg(F.count(F.lit(1)).alias("n"), F.max("doc").alias("keeper"))
     # cut, so that the join below deals both sides out anew and Spark may split a common line's rows
     shared = cut(counts.where(F.col("n") >= documents).select(F.col("h1").alias("s1"), F.col("h2").alias("s2"), "keeper"))
     lines = line_digests(docs, least)
