@@ -16,12 +16,14 @@ LEAST_LONG = -(2**63)
 
 
 def shared_root(spark: SparkSession) -> str:
-    """The folder of spark.checkpoint.dir; a temporary one only where it is unset (tests, local mode)."""
+    """The folder of spark.checkpoint.dir; a temporary one only where it is unset and the master is local."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     context = spark.sparkContext
     if root is None:
         root = context.getCheckpointDir()
         if root is None:
+            if not context.master.startswith("local"):
+                raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
             root = "file://" + tempfile.mkdtemp(prefix="nearfield-")
             context.setCheckpointDir(root)
     elif context.getCheckpointDir() is None:
@@ -34,6 +36,12 @@ def shared_folder(spark: SparkSession, label: str) -> str:
     return f"{shared_root(spark)}/{label}-{uuid.uuid4().hex}"
 
 
+def remove_folder(spark: SparkSession, folder: str) -> None:
+    """Delete a run's files, wherever Spark's file systems reach."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(folder)
+    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def cut(df: DataFrame) -> DataFrame:
     """Compute ``df`` once into the shared folder: later uses read it, also after the loss of executors.
 

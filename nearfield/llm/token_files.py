@@ -23,7 +23,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .elias_fano import EliasFano
-from .shared import cut, plain, shared_folder
+from .shared import cut, plain, remove_folder, shared_folder
 
 MAGIC = b"NFTOKEF1"
 _HEAD = struct.Struct("<8sIIQQQq")
@@ -278,10 +278,17 @@ def read_token_files(spark, folder: str, files: DataFrame) -> DataFrame:
 
 
 def token_table(docs: DataFrame, tokenizer: str, end_id: int | None = 2, folder: str | None = None) -> DataFrame:
-    """Write the documents' ids to files and read them back; see ``write_token_files`` and ``read_token_files``."""
+    """Write the documents' ids to files and read them back; see ``write_token_files`` and ``read_token_files``.
+
+    Without ``folder`` the files are a passing step: the rows read are cut and the files removed.
+    """
     spark = docs.sparkSession
-    folder = folder or shared_folder(spark, "token-files")
-    files = write_token_files(docs, tokenizer, folder, end_id)
+    own = folder or shared_folder(spark, "token-files")
+    files = write_token_files(docs, tokenizer, own, end_id)
     if files.isEmpty():
         return spark.createDataFrame([], "doc_id long, start long, n_tokens long, ids_crc32 long")
-    return read_token_files(spark, folder, files)
+    found = read_token_files(spark, own, files)
+    if folder is None:
+        found = cut(found)
+        remove_folder(spark, own)
+    return found

@@ -5,6 +5,7 @@ assembling the records of each transaction through their concurrent-to identifie
 from __future__ import annotations
 
 import hashlib
+import uuid
 import zlib
 from collections.abc import Iterable, Iterator
 
@@ -13,7 +14,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .shared import cut, plain, shared_folder
+from .shared import cut, plain, remove_folder, shared_folder
 from .token_files import put
 
 #: Compressed bytes of an archive, about; one larger capture makes a larger one.
@@ -65,6 +66,9 @@ def write_archives(pages: DataFrame, folder: str, least: int = 1000) -> DataFram
     Of rows with equal payloads of at least ``least`` bytes, those with the largest page_id are responses and the
     others revisits of it; smaller ones are all responses. Null html is an empty payload; null page_ids are below all
     others. Rows that share page_id and payload are captures each. Other columns are ignored.
+
+    A file's name holds the attempt that wrote it, and the rows returned name the files of the attempts that Spark
+    took: files of a lost or repeated attempt may be left in the folder and are no part of the archive.
     """
     rows = pages.select("page_id", "url", plain("html").alias("html"))
     payload = F.encode("html", "UTF-8")
@@ -76,22 +80,22 @@ def write_archives(pages: DataFrame, folder: str, least: int = 1000) -> DataFram
     revisits = F.when(F.col("page_id").isNull() | (F.col("page_id") < F.col("original")), F.col("original"))
 
     def write(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        part, number, at = TaskContext.get().partitionId(), 0, 0
+        part, attempt, number, at, size = TaskContext.get().partitionId(), uuid.uuid4().hex[:12], 0, 0, 0
         held: list[bytes] = []
         files: list[tuple[str, int]] = []
 
         def flush() -> None:
-            nonlocal number
-            put(folder, name := f"part-{part:06d}-{number:06d}.warc.gz", b"".join(held))
+            nonlocal number, size
+            put(folder, name := f"part-{part:06d}-{number:06d}-{attempt}.warc.gz", b"".join(held))
             files.append((name, len(held)))
             held.clear()
-            number += 1
+            number, size = number + 1, 0
 
         for b in batches:
             for page, url, html, refers in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).cast(pa.binary()).to_pylist(), b.column(3).to_pylist(), strict=True):
                 held.append(capture_records(page, url, html, refers, f"{part}-{at}"))
-                at += 1
-                if sum(map(len, held[-1:])) and at % 64 == 0 and sum(map(len, held)) >= FILE_BYTES:
+                at, size = at + 1, size + len(held[-1])
+                if size >= FILE_BYTES:
                     flush()
         if held:
             flush()
@@ -136,9 +140,12 @@ def _bare(v: str | None) -> str | None:
     return v.strip("<>") if v else None
 
 
-def read_records(spark: SparkSession, folder: str) -> DataFrame:
+def read_records(spark: SparkSession, folder: str, files: DataFrame | None = None) -> DataFrame:
     """A row per record: ids and links, target, payload digest and length, other fields, file and offset.
 
+    ``files``: only records of the files that its column ``file`` names, as ``write_archives`` returns them; without
+    it, of all archives of the folder.
+
     The digest of a response is computed from the payload read and must equal its header; a revisit has no payload,
     so its digest is the header's and its length that of its HTTP header.
     """
@@ -166,7 +173,8 @@ def read_records(spark: SparkSession, folder: str) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names)
 
     content = spark.read.format("binaryFile").option("pathGlobFilter", "*.warc.gz").load(folder).select("path", "content")
-    return content.mapInArrow(read, _RECORD)
+    found = content.mapInArrow(read, _RECORD)
+    return found if files is None else found.join(files.select("file"), "file", "left_semi").select(*found.columns)
 
 
 def assemble(records: DataFrame) -> DataFrame:
@@ -183,13 +191,20 @@ def assemble(records: DataFrame) -> DataFrame:
 
 
 def captures(pages: DataFrame, folder: str | None = None, least: int = 1000) -> DataFrame:
-    """Write the pages' archives, read them back and assemble: see ``write_archives``, ``read_records``, ``assemble``."""
+    """Write the pages' archives, read them back and assemble: see ``write_archives``, ``read_records``, ``assemble``.
+
+    Without ``folder`` the archives are a passing step: the captures are cut and the archives removed.
+    """
     spark = pages.sparkSession
-    folder = folder or shared_folder(spark, "warc")
-    files = write_archives(pages, folder, least)
+    own = folder or shared_folder(spark, "warc")
+    files = write_archives(pages, own, least)
     if files.isEmpty():
         return assemble(spark.createDataFrame([], _RECORD))
-    return assemble(read_records(spark, folder))
+    found = assemble(read_records(spark, own, files))
+    if folder is None:
+        found = cut(found)
+        remove_folder(spark, own)
+    return found
 
 
 def digest_rows(nested: DataFrame) -> DataFrame:
