@@ -23,7 +23,11 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> _U(29))
 
 
-@lru_cache(maxsize=4)
+#: Bytes that are hashed at a time, and how far before that a place to cut is sought.
+PIECE, BACK = 1 << 20, 1 << 16
+
+
+@lru_cache(maxsize=8)
 def _powers(size: int) -> tuple[np.ndarray, np.ndarray]:
     out = []
     for base in (_BASE, _INVERSE):
@@ -33,26 +37,58 @@ def _powers(size: int) -> tuple[np.ndarray, np.ndarray]:
     return out[0], out[1]
 
 
+def _cuts(a: np.ndarray) -> list[int]:
+    """Ends of the pieces: behind white space where there is some near, so that only long words are cut."""
+    ends, at = [], 0
+    while at < len(a):
+        end = min(at + PIECE, len(a))
+        if end < len(a):
+            space = np.flatnonzero(_SPACE[a[max(at, end - BACK) : end]])
+            end = max(at, end - BACK) + int(space[-1]) + 1 if space.size else end
+        ends.append(end)
+        at = end
+    return ends
+
+
 def word_hashes(data: bytes, prefixes: tuple[int, ...] = ()) -> np.ndarray:
-    """A 64-bit hash for each run of non-space bytes, in order; after them those of longer words' first bytes."""
+    """A 64-bit hash for each run of non-space bytes, in order; after them those of longer words' first bytes.
+
+    A long text is taken in pieces, so what is held beside it does not grow with it but for the hashes.
+    """
     a = np.frombuffer(data, np.uint8)
-    if not a.size:
-        return np.zeros(0, _U)
-    inside = np.empty(a.size + 2, np.int8)
-    inside[0] = inside[-1] = 0
-    inside[1:-1] = ~_SPACE[a]
-    turns = np.flatnonzero(np.diff(inside))
-    starts, ends = turns[::2], turns[1::2]
-    if not starts.size:
-        return np.zeros(0, _U)
-    power, inverse = _powers(1 << max(12, int(a.size).bit_length()))
-    total = np.zeros(a.size + 1, _U)
-    np.cumsum((a.astype(_U) + _U(1)) * power[: a.size], out=total[1:])
-    out = [mix((total[ends] - total[starts]) * inverse[starts] + (ends - starts).astype(_U))]
-    for k in prefixes:
-        first = starts[ends - starts > k]
-        out.append(mix((total[first + k] - total[first]) * inverse[first] - _U(k)))
-    return out[0] if len(out) == 1 else np.concatenate(out)
+    words: list[np.ndarray] = []
+    firsts: list[list[np.ndarray]] = [[] for _ in prefixes]
+    value, length = 0, 0  # of a word that the last piece did not end
+    at = 0
+    for end in _cuts(a):
+        piece = a[at:end]
+        inside = np.zeros(piece.size + 2, np.int8)
+        inside[1:-1] = ~_SPACE[piece]
+        turns = np.flatnonzero(np.diff(inside))
+        starts, ends = turns[::2], turns[1::2]
+        power, inverse = _powers(1 << max(12, int(piece.size).bit_length()))
+        total = np.zeros(piece.size + 1, _U)
+        np.cumsum((piece.astype(_U) + _U(1)) * power[: piece.size], out=total[1:])
+        sums, lengths = (total[ends] - total[starts]) * inverse[starts], (ends - starts).astype(_U)
+        fresh = np.ones(starts.size, bool)
+        if length:
+            if starts.size and starts[0] == 0:
+                sums[0] = _U((value + int(sums[0]) * pow(_BASE, length, 2**64)) % 2**64)
+                lengths[0] += _U(length)
+                fresh[0] = False
+            else:
+                words.append(mix(np.array([(value + length) % 2**64], _U)))
+        for found, k in zip(firsts, prefixes, strict=True):
+            first = starts[fresh & (ends - starts > k)]
+            found.append(mix((total[first + k] - total[first]) * inverse[first] - _U(k)))
+        value, length = 0, 0
+        if end < len(a) and ends.size and ends[-1] == piece.size:  # goes on in the next piece
+            value, length = int(sums[-1]), int(lengths[-1])
+            sums, lengths = sums[:-1], lengths[:-1]
+        words.append(mix(sums + lengths))
+        at = end
+    out = words + [x for found in firsts for x in found]
+    return np.concatenate(out) if len(out) > 1 else out[0] if out else np.zeros(0, _U)
 
 
 def shingle_set(text: str | None, k: int) -> np.ndarray:

@@ -18,7 +18,12 @@ from pyspark.sql import DataFrame
 from .shared import plain
 
 MARK = "▁".encode()
-MEMO = 600_000
+#: Bytes of stretches and ids that a worker remembers, and of the longest stretch it remembers.
+MEMO_BYTES, LONG = 160 << 20, 64
+#: What a remembered entry takes beside its bytes, about.
+_ENTRY = 160
+#: Texts, and bytes of texts, that are solved at a time.
+TEXTS, STEP = 256, 1 << 20
 #: What a character without a piece scores below the worst piece.
 UNKNOWN_PENALTY = 10.0
 #: Stretches of at most so many bytes are laid out in arrays and solved together.
@@ -109,9 +114,10 @@ class PieceModel:
         self.is_byte = np.zeros(n, bool)
         self.is_byte[self.byte_id[self.byte_id != self.unk]] = True
         self.memo: dict[bytes, bytes] = {}
+        self.held = 0
 
     def __getstate__(self):
-        return self.__dict__ | {"memo": {}, "lists": None}
+        return self.__dict__ | {"memo": {}, "held": 0, "lists": None}
 
     def _one(self, s: bytes) -> list[int]:
         """Best path of one stretch, state by state."""
@@ -200,15 +206,27 @@ class PieceModel:
 
     def encode_packed(self, texts: list[bytes]) -> Iterator[bytes]:
         """The ids of each UTF-8 text, packed; nothing for an empty text."""
-        memo = self.memo
-        for a in range(0, len(texts), 256):
-            split = [self.stretch.findall(MARK + t.replace(b" ", MARK)) if t else [] for t in texts[a : a + 256]]
-            new = list({s for ss in split for s in ss if s not in memo})
-            if len(memo) + len(new) > MEMO:
-                memo.clear()
-                new = list({s for ss in split for s in ss})
+        at = 0
+        while at < len(texts):
+            some, size = [], 0
+            while at < len(texts) and (not some or len(some) < TEXTS and size + len(texts[at]) <= STEP):
+                size += len(texts[at])
+                some.append(texts[at])
+                at += 1
+            split = [self.stretch.findall(MARK + t.replace(b" ", MARK)) if t else [] for t in some]
+            if self.held > MEMO_BYTES:
+                self.memo, self.held = {}, 0
+            memo = self.memo
+            new = list(set().union(*split).difference(memo))
             if new:
-                memo.update((s, np.array(ids, self.kind).tobytes()) for s, ids in zip(new, self.solve(new), strict=True))
+                found = dict(zip(new, (np.array(ids, self.kind).tobytes() for ids in self.solve(new)), strict=True))
+                short = found if len(max(new, key=len)) <= LONG else {s: ids for s, ids in found.items() if len(s) <= LONG}
+                memo.update(short)
+                self.held += sum(map(len, short)) + sum(map(len, short.values())) + _ENTRY * len(short)
+                if len(short) < len(found):  # long stretches are not remembered
+                    for ss in split:
+                        yield b"".join([found[s] if s in found else memo[s] for s in ss])
+                    continue
             for ss in split:
                 yield b"".join(map(memo.__getitem__, ss))
 
