@@ -43,34 +43,76 @@ def _logit(p):
     return np.log(p / (1 - p))
 
 
-def telling(at: np.ndarray, col: np.ndarray, size: int, y: np.ndarray) -> np.ndarray:
-    """Which features go with the label by more than chance."""
-    n, positive = len(y), y.sum()
-    have = np.bincount(col, minlength=size).astype(float)
-    both = np.bincount(col, y[at], size)
+class WordRows:
+    """The distinct features of each row end to end, without those of too few rows, numbered anew."""
+
+    def __init__(self, rows: list[np.ndarray]):
+        have = np.zeros(FEATURES, np.int32)
+        for r in rows:
+            have[r] += 1
+        self.held = np.flatnonzero(have >= LEAST_ROWS)
+        place = np.full(FEATURES, -1, np.int32)
+        place[self.held] = np.arange(len(self.held))
+        self.ends = np.cumsum([0, *(int((place[r] >= 0).sum()) for r in rows)])
+        self.col = np.empty(self.ends[-1], np.int32)
+        for r, start, end in zip(rows, self.ends[:-1], self.ends[1:], strict=True):
+            new = place[r]
+            self.col[start:end] = new[new >= 0]
+
+    def spans(self, step: int = 1024) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """(row, feature) of each entry, some rows at a time."""
+        n = len(self.ends) - 1
+        for lo in range(0, n, step):
+            hi = min(n, lo + step)
+            yield np.repeat(np.arange(lo, hi), np.diff(self.ends[lo : hi + 1])), self.col[self.ends[lo] : self.ends[hi]]
+
+
+def telling(rows: WordRows, use: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """Which features go with the label by more than chance, over the rows in use."""
+    size, n, positive = len(rows.held), use.sum(), y[use].sum()
+    have, both = np.zeros(size), np.zeros(size)
+    for at, col in rows.spans():
+        have += np.bincount(col[use[at]], minlength=size)
+        both += np.bincount(col[(use & (y == 1))[at]], minlength=size)
     miss = both * n - have * positive
     return n * miss**2 / np.maximum(have * (n - have) * positive * (n - positive), 1e-9) >= LEAST_CHI
 
 
-def fit_linear(at: np.ndarray, col: np.ndarray, size: int, extra: np.ndarray, y: np.ndarray, l2: float = 2e-4, steps: int = 300, rate: float = 0.08):
-    """Logistic regression on binary sparse rows (row of each entry, its column) and dense extra columns: (w, v, bias).
+def fit_linear(rows: WordRows, use: np.ndarray, extra: np.ndarray, y: np.ndarray, l2: float = 2e-4, steps: int = 300, rate: float = 0.08):
+    """Logistic regression on the rows in use, on their features and dense extra columns: (w, v, bias, z of all rows).
 
     Only features that tell by themselves get a weight.
     """
-    n = len(y)
-    keep = telling(at, col, size, y)[col]
-    at, col = at[keep], col[keep]
-    w, v, bias = np.zeros(size), np.zeros(extra.shape[1]), float(_logit(y.mean() if n else 0.5))
+    own = telling(rows, use, y)
+    place = np.cumsum(own) - 1
+    size, total, n = int(own.sum()), len(y), use.sum()
+    kept = [(at[k := own[col]], place[col[k]]) for at, col in rows.spans()]
+    at, col = (np.concatenate([x[i] for x in kept] or [np.zeros(0)]).astype(np.intp) for i in (0, 1))
+    del kept
+    some, firsts = np.unique(at, return_index=True)
+    order = np.argsort(col, kind="stable")
+    down, starts = at[order], np.searchsorted(col[order], np.arange(size))  # every kept feature has an entry
+
+    def scores(w: np.ndarray) -> np.ndarray:
+        out = np.zeros(total)
+        if size:
+            out[some] = np.add.reduceat(w[col], firsts)
+        return out
+
+    w, v, bias = np.zeros(size), np.zeros(extra.shape[1]), float(_logit(y[use].mean()))
     moments = [np.zeros(size + len(v) + 1), np.zeros(size + len(v) + 1)]
     for t in range(1, steps + 1):
-        z = np.bincount(at, w[col], n) + extra @ v + bias
-        g = (_sigmoid(z) - y) / n
-        gradient = np.concatenate([np.bincount(col, g[at], size) + l2 * w, extra.T @ g + l2 * v, [g.sum()]])
+        z = scores(w) + extra @ v + bias
+        g = np.where(use, _sigmoid(z) - y, 0) / n
+        found = np.add.reduceat(g[down], starts) if size else w
+        gradient = np.concatenate([found + l2 * w, extra.T @ g + l2 * v, [g.sum()]])
         moments[0] = 0.9 * moments[0] + 0.1 * gradient
         moments[1] = 0.999 * moments[1] + 0.001 * gradient**2
         step = rate * (moments[0] / (1 - 0.9**t)) / (np.sqrt(moments[1] / (1 - 0.999**t)) + 1e-9)
         w, v, bias = w - step[:size], v - step[size:-1], bias - step[-1]
-    return w, v, bias
+    whole = np.zeros(len(rows.held))
+    whole[own] = w
+    return whole, v, bias, scores(w) + extra @ v + bias
 
 
 @dataclass
@@ -95,19 +137,13 @@ class Chain:
 
 
 def fit_chain(rows: list[np.ndarray], labels: np.ndarray, categories: list[str], fold: np.ndarray, folds: int = FOLDS) -> Chain:
-    """``rows``: feature numbers; ``labels``: rows x categories of 0 or 1; ``fold``: each row's fold.
+    """``rows``: distinct feature numbers of each; ``labels``: rows x categories of 0 or 1; ``fold``: each row's fold.
 
     A category without both labels gets a constant. The threshold of each is the one of best F1 on out-of-fold
     probabilities.
     """
     n = len(rows)
-    at = np.repeat(np.arange(n), [len(r) for r in rows])
-    col = np.concatenate(rows) if n else np.zeros(0, np.int32)
-    held = np.flatnonzero(np.bincount(col, minlength=FEATURES) >= LEAST_ROWS)
-    place = np.full(FEATURES, -1, np.int64)
-    place[held] = np.arange(len(held))
-    keep = place[col] >= 0
-    at, col = at[keep], place[col[keep]]
+    words = WordRows(rows)
     chain = Chain(categories, np.zeros((len(categories), FEATURES), np.float32), [], [], [])
     outside = np.zeros((n, 0))
     for k in range(len(categories)):
@@ -123,13 +159,10 @@ def fit_chain(rows: list[np.ndarray], labels: np.ndarray, categories: list[str],
             test = fold == f
             if not test.any() or y[~test].min() == y[~test].max():
                 continue
-            number = np.cumsum(~test) - 1
-            own = ~test[at]
-            w, v, bias = fit_linear(number[at[own]], col[own], len(held), _logit(outside[~test]), y[~test])
-            z = np.bincount(at[~own], w[col[~own]], n) + _logit(outside) @ v + bias
+            z = fit_linear(words, ~test, _logit(outside), y)[3]
             p[test] = _sigmoid(z)[test]
-        w, v, bias = fit_linear(at, col, len(held), _logit(outside), y)
-        chain.words[k, held] = w
+        w, v, bias, _ = fit_linear(words, np.ones(n, bool), _logit(outside), y)
+        chain.words[k, words.held] = w
         chain.earlier.append(v)
         chain.bias.append(float(bias))
         order = np.argsort(-p, kind="stable")
@@ -164,10 +197,12 @@ def learn(docs: DataFrame, labels: DataFrame, categories: dict[str, tuple[str, i
 
     ys = [f"_y{i}" for i in range(width)]
     found = rows.select(spot.alias("spot"), "text", *ys).mapInArrow(run, "spot long, f binary, " + ", ".join(f"{y} int" for y in ys))
-    got = sorted(found.toLocalIterator())
-    x = [np.frombuffer(r.f, np.int32) for r in got]
-    y = np.array([[r[2 + i] for i in range(width)] for r in got], np.int8).reshape(len(got), width)
-    fold = np.array([(r.spot >> 24) % FOLDS for r in got])
+    got = [(r.spot, bytes(r.f), *r[2:]) for r in found.toLocalIterator()]
+    got.sort()
+    y = np.array([r[2:] for r in got], np.int8).reshape(len(got), width)
+    fold = np.array([(r[0] >> 24) % FOLDS for r in got])
+    x = [np.frombuffer(r[1], np.int32) for r in got]
+    del got
     return fit_chain(x, y, names, fold)
 
 
