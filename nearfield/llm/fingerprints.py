@@ -132,19 +132,19 @@ def edited_fingerprints(docs: DataFrame, words: int = WORDS, size: int = SIZE) -
     )
 
 
-def near_pairs(docs: DataFrame, at_least: float = 0.8, words: int = WORDS, rows: int = 5, bands: int = 52, block: int = 6000) -> DataFrame:
+def near_pairs(docs: DataFrame, at_least: float = 0.8, words: int = WORDS, rows: int = 5, bands: int = 52, block: int = 128) -> DataFrame:
     """Near-duplicate pairs (a, b, jaccard) between class representatives: bands joined in Spark, Jaccard verified.
 
     Equal shingle sets are one class, named by its least doc_id; ``near_classes`` gives the membership. Of documents that
     bands connect, all pairs over ``at_least`` by exact Jaccard are returned with a < b, each once: a token-group matrix
-    finds them in blocks, so no task holds more than two blocks however large a family is. A pair that shares no band and
+    finds them in pairs of blocks, see ``jaccard_groups.deal``, however large a family is. A pair that shares no band and
     that no chain of bands connects is missed; at 0.8 that is one in 10^9 with the 52 bands of 5.
     """
     from .jaccard_groups import all_links, by_task, deal
 
     classes = near_classes(docs, words, rows, bands)
     reps = classes.where(F.col("doc_id") == F.col("class_id"))
-    dealt = deal(reps.select("doc_id", F.explode("bands").alias("band")), block)
+    dealt = deal(reps.select("doc_id", "n_shingles", "bands"), block)
     work = docs.where(F.col("doc_id").isNotNull()).select("doc_id", plain("text").alias("text")).join(dealt, F.col("doc_id") == F.col("node"))
     percent = max(0, int(100 * at_least - 1e-9))  # not above at_least, which decides
 
@@ -166,7 +166,7 @@ def near_pairs(docs: DataFrame, at_least: float = 0.8, words: int = WORDS, rows:
 
 def near_classes(docs: DataFrame, words: int, rows: int, bands: int) -> DataFrame:
     """(doc_id, class_id, n_shingles, bands): class_id is the least doc_id with an equal shingle set; see ``set_table``."""
-    table = cut(set_table(docs, words, rows, bands))
+    table = cut(set_table(docs.where(F.col("doc_id").isNotNull()), words, rows, bands))
     least = table.groupBy("s1", "s2").agg(F.min("doc_id").alias("class_id"))
     return table.join(least.withColumnsRenamed({"s1": "t1", "s2": "t2"}), (F.col("s1") == F.col("t1")) & (F.col("s2") == F.col("t2"))).select("doc_id", "class_id", "n_shingles", "bands")
 
@@ -174,7 +174,7 @@ def near_classes(docs: DataFrame, words: int, rows: int, bands: int) -> DataFram
 def set_table(docs: DataFrame, words: int, rows: int, bands: int) -> DataFrame:
     """(doc_id, n_shingles, s1, s2, bands): size and 128-bit hash of each row's shingle set, and its signature's band keys.
 
-    Rows without words have no bands and a set hash of their own null kind. Null doc_ids are dropped.
+    Rows without words have no bands and a set hash of their own null kind.
     """
     import xxhash
 
@@ -194,7 +194,7 @@ def set_table(docs: DataFrame, words: int, rows: int, bands: int) -> DataFrame:
             h = np.frombuffer(b"".join(h), np.int64).reshape(-1, 2)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(h[:, 0]), pa.array(h[:, 1]), pa.ListArray.from_arrays(ends, flat)], ["doc_id", "n_shingles", "s1", "s2", "bands"])
 
-    return docs.where(F.col("doc_id").isNotNull()).select("doc_id", plain("text").alias("text")).mapInArrow(run, "doc_id long, n_shingles long, s1 long, s2 long, bands array<long>")
+    return docs.select("doc_id", plain("text").alias("text")).mapInArrow(run, "doc_id long, n_shingles long, s1 long, s2 long, bands array<long>")
 
 
 __all__ = ["add_fingerprints", "edited_fingerprints", "fingerprint", "likeness", "near_classes", "near_pairs", "set_table", "with_next"]

@@ -21,8 +21,11 @@ from .fingerprints import set_table
 from .hashing import shingle_set
 from .shared import cut, plain
 
-#: Documents in a group of the matrix; documents that one task searches at most (larger parts are dealt in pairs of blocks).
-GROUP, BLOCK = 32, 6000
+#: Documents in a group of the matrix.
+GROUP = 32
+#: A part is dealt in pairs of blocks of so many documents, but in so many blocks at most; yet no block has more than
+#: MOST_DOCUMENTS documents or about MOST_SHINGLES shingles.
+BLOCK, BLOCKS, MOST_DOCUMENTS, MOST_SHINGLES = 128, 64, 6000, 1 << 22
 
 
 class TokenGroupMatrix:
@@ -177,17 +180,23 @@ def bands_for(percent: int) -> tuple[int, int]:
     return rows, ceil(np.log(1e-9) / np.log1p(-(t**rows)))
 
 
-def deal(bands: DataFrame, block: int = BLOCK) -> DataFrame:
-    """(node, part, x, y, side) from (doc_id, band): parts are what bands connect, and tasks (part, x, y) pairs of its blocks.
+def deal(sets: DataFrame, block: int = BLOCK) -> DataFrame:
+    """(node, part, x, y, side) from (doc_id, n_shingles, bands): parts are what bands connect, and tasks (part, x, y)
+    pairs of its blocks.
 
     Of a part of up to ``block`` documents x = y = 0. Larger ones fall into blocks by hash; task x < y holds both blocks
-    as sides 0 and 1, task x = y one block.
+    as sides 0 and 1, task x = y one block. A family of many copies so becomes many small tasks; that each document
+    lies in as many tasks as there are blocks is bounded by BLOCKS for all but the largest families.
     """
+    bands = sets.select("doc_id", F.explode("bands").alias("band"))
     first = bands.groupBy("band").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).where("first < last").select(F.col("band").alias("k"), "first")
     near = bands.join(first, F.col("band") == F.col("k")).select(F.col("first").alias("a"), F.col("doc_id").alias("b"))
-    parts = cut(connected_components(near))
-    counts = parts.groupBy("component").agg(F.count(F.lit(1)).alias("n")).select(F.col("component").alias("part"), F.ceil(F.col("n") / block).cast("long").alias("blocks"))
-    dealt = parts.join(counts, F.col("component") == F.col("part")).withColumn("own", F.pmod(F.xxhash64("node"), F.col("blocks")))
+    parts = connected_components(near)
+    sized = cut(parts.join(sets.select("doc_id", "n_shingles"), F.col("node") == F.col("doc_id")).select("node", "component", "n_shingles"))
+    counts = sized.groupBy("component").agg(F.count(F.lit(1)).alias("n"), F.sum("n_shingles").alias("s")).withColumnRenamed("component", "part")
+    blocks = F.greatest(F.least(F.ceil(F.col("n") / block), F.lit(BLOCKS)), F.ceil(F.col("n") / MOST_DOCUMENTS), F.ceil(F.col("s") / MOST_SHINGLES))
+    counts = counts.select("part", blocks.cast("long").alias("blocks"))
+    dealt = sized.join(counts, F.col("component") == F.col("part")).withColumn("own", F.pmod(F.xxhash64("node"), F.col("blocks")))
     other = F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1))
     dealt = dealt.select("node", "part", "own", other.alias("other"))
     return dealt.select("node", "part", F.least("own", "other").alias("x"), F.greatest("own", "other").alias("y"), (F.col("own") > F.col("other")).cast("int").alias("side"))
@@ -216,21 +225,23 @@ def jaccard_components(docs: DataFrame, words: int, percent: int, block: int = B
     fewer words the whole sequence is one shingle). component_id is the least doc_id reachable by links; n_links is
     the number of links of the document with others, equal sets among them; ``links=False`` leaves it out, which is
     cheaper: components need a spanning forest only. Documents without words, or null text,
-    link with nothing. Rows without doc_id are left out; rows that share a doc_id are one document that has the links of
+    link with nothing. Rows without doc_id link with nothing either and come back one by one, with a null
+    component_id; rows that share a doc_id are one document that has the links of
     all its texts (added up in n_links), and the least component of them. Other columns are ignored.
 
     Equal sets are one class before anything is compared, however many copies there are. A pair of sets at the
     threshold meets in no band once in 10^9 pairs (as rare as a collision of the 64-bit shingle hashes); above it
-    more seldom. Parts over ``block`` documents are dealt in pairs of blocks, so no task holds more than two.
+    more seldom. Parts over ``block`` documents are dealt in pairs of blocks, see ``deal``.
     """
     import xxhash
 
-    table = cut(set_table(docs, words, *bands_for(percent)))
+    every = cut(set_table(docs, words, *bands_for(percent)))
+    table = every.where("doc_id is not null")
     some = table.where("n_shingles > 0")
     least = some.groupBy("s1", "s2").agg(F.min("doc_id").alias("class_id"), F.count(F.lit(1)).alias("copies"))
     keys = some.join(least.withColumnsRenamed({"s1": "t1", "s2": "t2"}), (F.col("s1") == F.col("t1")) & (F.col("s2") == F.col("t2")))
     members = keys.select("doc_id", "class_id", "s1", "s2", "copies")
-    dealt = deal(keys.where(F.col("doc_id") == F.col("class_id")).select("doc_id", F.explode("bands").alias("band")), block)
+    dealt = deal(keys.where(F.col("doc_id") == F.col("class_id")).select("doc_id", "n_shingles", "bands"), block)
     texts = docs.where(F.col("doc_id").isNotNull()).select("doc_id", plain("text").alias("text"))
     work = texts.join(dealt, F.col("doc_id") == F.col("node")).select("part", "x", "y", "side", "doc_id", "text")
     if links:
@@ -263,7 +274,10 @@ def jaccard_components(docs: DataFrame, words: int, percent: int, block: int = B
     sizes = table.groupBy("doc_id").agg(F.max("n_shingles").alias("n_shingles")).withColumnRenamed("doc_id", "_id")
     out = sizes.join(component, F.col("_id") == F.col("doc_id"), "left")
     out = out.select(F.col("_id").alias("doc_id"), "n_shingles", F.coalesce("component_id", "_id").alias("component_id"), *["n_links"] * links)
-    return out.withColumn("n_links", F.coalesce("n_links", F.lit(0)).cast("long")) if links else out
+    if links:
+        out = out.withColumn("n_links", F.coalesce("n_links", F.lit(0)).cast("long"))
+    lone = every.where("doc_id is null").select("doc_id", "n_shingles", F.lit(None).cast("long").alias("component_id"), *[F.lit(0).cast("long").alias("n_links")] * links)
+    return out.union(lone)
 
 
 def _links(found: list[tuple]) -> pa.RecordBatch:

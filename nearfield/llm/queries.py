@@ -66,7 +66,7 @@ def op9_warc_transactions(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_jaccard_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return jaccard_groups.jaccard_components(table(spark, sf_dir, "documents"), words=3, percent=90).select("doc_id", "n_shingles", "component_id")
+    return jaccard_groups.jaccard_components(table(spark, sf_dir, "documents"), words=3, percent=90).select("doc_id", "n_shingles", "component_id", "n_links")
 
 
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -186,7 +186,8 @@ reach AS (
   SELECT doc_id AS node, doc_id AS r FROM documents
   UNION
   SELECT reach.node, links.b FROM reach JOIN links ON reach.r = links.a)
-SELECT node AS doc_id, coalesce(n, 0)::BIGINT AS n_shingles, min(r) AS component_id
+SELECT node AS doc_id, coalesce(n, 0)::BIGINT AS n_shingles, min(r) AS component_id,
+       (SELECT count(*) FROM links WHERE a = node)::BIGINT AS n_links
 FROM reach LEFT JOIN sizes ON node = sizes.doc_id GROUP BY 1, 2
 """
 

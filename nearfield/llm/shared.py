@@ -51,6 +51,16 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def settle(df: DataFrame) -> DataFrame:
+    """``cut`` for the rows that a loop carries on, without Spark's estimate of their size.
+
+    A checkpoint keeps the estimate, and that of a join is the product of its sides': over the rounds of a loop it
+    becomes a number so long that planning takes longer than the work.
+    """
+    done, spark = cut(df)._jdf, df.sparkSession
+    return DataFrame(spark._jsparkSession.internalCreateDataFrame(done.queryExecution().toRdd(), done.schema(), False), spark)
+
+
 def plain(column: str):
     """The column's text, null as empty."""
     return F.coalesce(F.col(column), F.lit(""))

@@ -1,6 +1,7 @@
 """Each operator against a plain version on small fixtures, with nulls, empty and long texts, ties and repeated rows."""
 
 import hashlib
+import os
 import random
 import re
 import struct
@@ -13,7 +14,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
-from nearfield.llm import block_search, components, fingerprints, hashing, jaccard_groups, language, line_dedup, mixing, pieces, token_files, toxicity, warc
+from nearfield.llm import block_search, components, fingerprints, hashing, jaccard_groups, language, line_dedup, mixing, pieces, shared, token_files, toxicity, warc
 from nearfield.llm.elias_fano import EliasFano
 from nearfield.llm.queries import CATEGORIES, tokenizer_path
 from nearfield.llm.shared import shared_folder
@@ -234,6 +235,20 @@ def test_nearest_is_exact(spark, block):
     assert block_search.nearest(twice, twice.vec_id % 100 == 0, block=block).count() == len(got)
 
 
+@pytest.mark.parametrize("size", [1e200, 1e-200, 3e307])
+def test_nearest_of_very_large_and_small_components(spark, size):
+    draw = np.random.default_rng(4)
+    x = draw.normal(size=(60, 5)) / 4
+    rows = [(i * 10, (x[i] * size).tolist()) for i in range(50)] + [(i * 10, x[i].tolist()) for i in range(50, 60)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = {(r.query_id, r.rank): (r.vec_id, r.score) for r in block_search.nearest(df, df.vec_id % 100 == 0, block=17).collect()}
+    exact = {i: np.array(v, np.longdouble) for i, v in rows}
+    for q in (i for i in exact if i % 100 == 0):
+        best = sorted((float(np.sqrt(((exact[q] - exact[c]) ** 2).sum())), c) for c in exact if c != q)[:10]
+        assert [got[q, n + 1][1] for n in range(10)] == pytest.approx([d for d, _ in best], rel=1e-12)
+        assert {got[q, n + 1][0] for n in range(10)} == {c for _, c in best} or q >= 500
+
+
 def test_quantisation_bounds_hold():
     draw = np.random.default_rng(3)
     x, y = draw.normal(size=(50, 64)), draw.normal(size=(80, 64)) * 100
@@ -247,15 +262,15 @@ def test_quantisation_bounds_hold():
 
 def plain_dedup(rows, least=20, documents=3):
     key = lambda s: s.strip(" \t\n\x0b\x0c\r").translate({c: c + 32 for c in range(65, 91)})
-    held = defaultdict(list)
-    for n, (d, text) in enumerate(rows):
+    held = defaultdict(set)
+    for d, text in rows:
         for k in {key(x) for x in (text or "").split("\n")}:
-            held[k].append((d if d is not None else -(2**63), n))
+            held[k].add(d if d is not None else -(2**63))
     out = []
     for d, text in rows:
         own = d if d is not None else -(2**63)
         lines = (text or "").split("\n")
-        kept = [x for x in lines if len(key(x)) < least or len(held[key(x)]) < documents or max(held[key(x)])[0] == own]
+        kept = [x for x in lines if len(key(x)) < least or len(held[key(x)]) < documents or max(held[key(x)]) == own]
         out.append((d, len(lines), len(lines) - len(kept), hashlib.sha256("\n".join(kept).encode()).hexdigest()))
     return Counter(out)
 
@@ -271,6 +286,22 @@ def test_line_dedup_against_a_plain_version(spark, which):
     assert line_dedup.dedup_lines(empty(spark)).count() == 0
 
 
+def test_rows_that_share_a_doc_id_are_one_document_as_in_the_sql(spark):
+    import duckdb
+
+    from nearfield.llm.queries import ORACLES
+
+    line, other = "a line that is long enough to count", "another line that is long enough"
+    rows = [(1, f"{line}\n{other}"), (2, line), (2, line + " "), (3, other), (4, f"x\n{other.upper()}")]
+    got = line_dedup.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert sorted((r.doc_id, r.n_dropped) for r in got) == [(1, 1), (2, 0), (2, 0), (3, 1), (4, 0)]
+    with duckdb.connect() as db:
+        db.execute("CREATE TABLE documents (doc_id BIGINT, text VARCHAR)")
+        db.executemany("INSERT INTO documents VALUES (?, ?)", rows)
+        want = db.execute(f"SELECT doc_id, n_dropped FROM ({ORACLES['op5_line_dedup']}) ORDER BY 1").fetchall()
+    assert want == [(1, 1), (2, 0), (3, 1), (4, 0)]
+
+
 # ---- pieces
 
 
@@ -497,7 +528,7 @@ def test_the_jaccard_join_counts_every_link(spark, block):
 
 def test_jaccard_of_odd_documents(spark):
     got = {r.doc_id: r for r in jaccard_groups.jaccard_components(odd_docs(spark), 3, 90).collect()}
-    assert set(got) == {-4, 1, 2, 3, 4, 5, 7, 8, 9, 10}
+    assert set(got) == {None, -4, 1, 2, 3, 4, 5, 7, 8, 9, 10} and got[None].component_id is None and got[None].n_shingles == 6
     assert got[8].component_id == 7 and got[5].component_id == 5 and got[5].n_shingles == 0
     assert jaccard_groups.jaccard_components(empty(spark), 3, 90).count() == 0
     left = jaccard_groups.drop_near_copies(odd_docs(spark)).collect()
@@ -533,6 +564,55 @@ def test_components_of_a_long_path(spark):
     assert len(got) == 301 and {r.component for r in got} == {0}
 
 
+@pytest.mark.parametrize("salted", [True, False])
+def test_components_of_a_star_and_its_rim(spark, monkeypatch, salted):
+    monkeypatch.setattr(components, "PARTS", 5 if salted else 1)
+    monkeypatch.setattr(components, "PART_EDGES", 50)
+    edges = spark.range(1, 400).selectExpr("id as a", "1000 as b").union(spark.range(500, 560).selectExpr("500 as a", "id as b"))
+    got = components.connected_components(edges.union(spark.createDataFrame([(399, 530)], "a long, b long"))).collect()
+    assert len(got) == 399 + 1 + 60 and {r.component for r in got} == {1}
+
+
+def test_a_part_is_dealt_in_bounded_blocks(spark, monkeypatch):
+    monkeypatch.setattr(jaccard_groups, "MOST_SHINGLES", 500)
+    sets = spark.range(60).selectExpr("id as doc_id", "100L as n_shingles", "array(7L) as bands").union(spark.range(90, 92).selectExpr("id", "1L", "array(8L)"))
+    tasks = defaultdict(list)
+    for r in jaccard_groups.deal(sets, 30).collect():
+        tasks[r.part, r.x, r.y].append((r.node, r.side))
+    blocks = max(y for p, _, y in tasks if p == 0) + 1
+    assert blocks >= 12 and set(tasks) >= {(0, a, b) for a in range(blocks) for b in range(a, blocks) if (0, a, b) in tasks}
+    home = {n: x for (p, x, y), own in tasks.items() if x == y for n, _ in own}
+    for a in range(60):
+        for b in range(a):
+            x, y = sorted((home[a], home[b]))
+            assert {a, b} <= {n for n, _ in tasks[0, x, y]}
+    assert sorted(tasks[90, 0, 0]) == [(90, 0), (91, 0)]
+
+
+@pytest.mark.parametrize("percent", [80, 90])
+def test_pairs_at_the_threshold_share_a_band(percent):
+    draw = np.random.default_rng(percent)
+    rows, bands = jaccard_groups.bands_for(percent)
+    own, missed = fingerprints.hasher(rows * bands), 0
+    for _ in range(3000):
+        pool = draw.integers(0, 2**63, 100).astype(np.uint64)
+        k = (100 - percent) // 2
+        a, b = np.unique(pool[: 100 - k]), np.unique(np.concatenate([pool[: 100 - 2 * k], pool[100 - k :]]))
+        assert 100 * np.intersect1d(a, b).size >= percent * np.union1d(a, b).size
+        missed += not np.intersect1d(hashing.band_keys(own.signature(a), rows), hashing.band_keys(own.signature(b), rows)).size
+    assert missed == 0
+
+
+@pytest.mark.parametrize(("piece", "back"), [(7, 7), (16, 8), (1 << 20, 1 << 16)])
+def test_word_hashes_do_not_depend_on_pieces(monkeypatch, piece, back):
+    draw = random.Random(piece)
+    texts = [bytes(draw.choice(b"abc  \n\xc3z") for _ in range(n)) for n in (0, 1, 6, 7, 8, 40, 300)] + [b"x" * 99, b" " * 50, b"ab " + b"y" * 90 + b" c"]
+    want = [hashing.word_hashes(t, (4, 5, 6)).tolist() for t in texts]
+    monkeypatch.setattr(hashing, "PIECE", piece)
+    monkeypatch.setattr(hashing, "BACK", back)
+    assert [hashing.word_hashes(t, (4, 5, 6)).tolist() for t in texts] == want
+
+
 def test_word_hashes_tell_words_apart():
     data = "Some words, some MORE words\x0b\x0cand\x1cone  é 日本 ".encode().lower()
     words = data.split()
@@ -673,6 +753,39 @@ def test_warc_round_trip_of_odd_pages(spark):
     assert warc.captures(pages.limit(0)).count() == 0
 
 
+def test_files_of_a_lost_attempt_are_no_part_of_the_archive(spark):
+    folder = shared_folder(spark, "w")
+    pages = spark.createDataFrame([(1, "http://a", "x"), (2, "http://b", "y")], "page_id long, url string, html string")
+    files = warc.write_archives(pages, folder)
+    token_files.put(folder, "part-000000-000007-0123456789ab.warc.gz", warc.capture_records(1, "http://a", b"x", None, "0-0"))
+    got = warc.digest_rows(warc.assemble(warc.read_records(spark, folder, files))).collect()
+    assert sorted(r.page_id for r in got) == [1, 2]
+    assert warc.read_records(spark, folder).count() == 9
+
+
+def test_passing_files_are_removed(spark, monkeypatch):
+    made = []
+    for module in (warc, token_files):
+        monkeypatch.setattr(module, "shared_folder", lambda s, label: made.append(shared_folder(s, label)) or made[-1])
+    docs = spark.createDataFrame([(1, "http://a", "x")], "page_id long, url string, html string")
+    assert warc.captures(docs).count() == 1
+    assert token_files.token_table(docs.selectExpr("page_id as doc_id", "html as text"), tokenizer_path("word_bpe_49k.json")).count() == 1
+    assert len(made) == 2 and not any(os.path.exists(f.removeprefix("file:").replace("///", "/")) for f in made)
+
+
+def test_a_cluster_needs_a_shared_folder():
+    class Session:
+        class conf:
+            get = staticmethod(lambda k, d=None: d)
+
+        class sparkContext:
+            master = "spark://host:7077"
+            getCheckpointDir = staticmethod(lambda: None)
+
+    with pytest.raises(ValueError, match="spark.checkpoint.dir"):
+        shared.shared_root(Session)
+
+
 def test_transactions_without_all_records(spark):
     folder = shared_folder(spark, "w")
     capture = warc.capture_records(5, "http://a/b", b"body", None, "0-0")
@@ -699,6 +812,84 @@ def test_toxic_documents_are_found(spark):
     assert sum(b for a, b in held if a) >= 0.9 * sum(a for a, _ in held)
 
 
+def plain_features(text):
+    """Numbers of a text's words and of longer words' beginnings, by arithmetic on Python's integers."""
+    full, base, out = 2**64 - 1, 0xD6E8FEB86659FD93, set()
+
+    def spread(x):
+        x = (x ^ x >> 32) * 0xD6E8FEB86659FD93 & full
+        x = (x ^ x >> 32) * 0xC2B2AE3D27D4EB4F & full
+        return x ^ x >> 29
+
+    for word in re.findall(rb"(?:[^\x00-\x7f]|[0-9A-Za-z])+", (text or "").encode()):
+        word = word.lower()
+        value = lambda w: sum((c + 1) * pow(base, i, 2**64) for i, c in enumerate(w)) & full
+        out.add(spread((value(word) + len(word)) & full) >> 46)
+        out |= {spread((value(word[:k]) - k) & full) >> 46 for k in (4, 5, 6) if len(word) > k}
+    return out
+
+
+def plain_chain(x, labels, fold):
+    """Two logistic regressions on dense rows, the second with the first's out-of-fold probabilities: (p of all rows, thresholds)."""
+    n, outside, inside, thresholds = len(x), np.zeros((len(x), 0)), np.zeros((len(x), 0)), []
+    sigmoid = lambda z: 1 / (1 + np.exp(-np.clip(z, -35, 35)))
+    logit = lambda p: np.log(np.clip(p, 1e-4, 1 - 1e-4) / (1 - np.clip(p, 1e-4, 1 - 1e-4)))
+
+    def train(rows, extra, y):
+        have, both, m, pos = rows.sum(0), rows[y == 1].sum(0), len(y), y.sum()
+        chi = m * (both * m - have * pos) ** 2 / np.maximum(have * (m - have) * pos * (m - pos), 1e-9)
+        a = np.column_stack([rows * (chi >= 12.0), extra, np.ones(m)])
+        w = np.zeros(a.shape[1])
+        w[-1] = logit(y.mean())
+        decay = np.full(len(w), 2e-4)
+        decay[-1] = 0
+        m1, m2 = np.zeros(len(w)), np.zeros(len(w))
+        for t in range(1, 301):
+            g = a.T @ (sigmoid(a @ w) - y) / m + decay * w
+            m1, m2 = 0.9 * m1 + 0.1 * g, 0.999 * m2 + 0.001 * g * g
+            w = w - 0.08 * (m1 / (1 - 0.9**t)) / (np.sqrt(m2 / (1 - 0.999**t)) + 1e-9)
+        return w
+
+    for k in range(labels.shape[1]):
+        y, p = labels[:, k].astype(float), np.full(n, labels[:, k].mean())
+        for f in range(4):
+            test = fold == f
+            if test.any() and y[~test].min() < y[~test].max():
+                w = train(x[~test], logit(outside[~test]), y[~test])
+                p[test] = sigmoid(np.column_stack([x, logit(outside), np.ones(n)])[test] @ w)
+        whole = train(x, logit(outside), y)
+        ranked = np.sort(p)[::-1]
+        hits = np.cumsum(y[np.argsort(-p, kind="stable")])
+        best = int((2 * hits / (np.arange(1, n + 1) + y.sum())).argmax())
+        thresholds.append((ranked[best] + ranked[min(best + 1, n - 1)]) / 2)
+        outside = np.column_stack([outside, p])
+        yield whole
+    yield thresholds
+
+
+def test_the_toxicity_query_is_a_plain_classifier_chain(spark):
+    from nearfield.llm.queries import op1_toxicity_chain
+
+    docs = {r.doc_id: r.text for r in spark.read.parquet(f"{SMALL}/documents.parquet").collect()}
+    labels = spark.read.parquet(f"{SMALL}/labels.parquet").where("doc_id is not null").selectExpr("doc_id", "quality", "toxic", "xxhash64(doc_id, 7) AS spot").dropna().distinct().collect()
+    known = sorted((r.spot, r.doc_id, int(r.quality == 0), int(r.toxic == 1)) for r in labels if r.doc_id in docs)
+    words = {d: plain_features(t) for d, t in docs.items()}
+    assert all(set(toxicity.features(docs[d]).tolist()) == words[d] for d in docs)
+    seen = Counter(f for _, d, *_ in known for f in words[d])
+    columns = [f for f, n in seen.items() if n >= toxicity.LEAST_ROWS]
+    rows = lambda ids: np.array([[f in words[d] for f in columns] for d in ids], float)
+    first, second, thresholds = plain_chain(rows([k[1] for k in known]), np.array([k[2:] for k in known]), np.array([(k[0] >> 24) % 4 for k in known]))
+    sigmoid = lambda z: 1 / (1 + np.exp(-np.clip(z, -35, 35)))
+    ids, ones = sorted(docs), np.ones(len(docs))
+    p1 = sigmoid(np.column_stack([rows(ids), ones]) @ first)
+    clipped = np.clip(p1, 1e-4, 1 - 1e-4)
+    p2 = sigmoid(np.column_stack([rows(ids), np.log(clipped / (1 - clipped)), ones]) @ second)
+    got = {r.doc_id: r for r in op1_toxicity_chain(spark, SMALL).collect()}
+    assert [got[d].p_low_quality for d in ids] == pytest.approx(p1.tolist(), abs=1e-4)
+    assert [got[d].p_toxic for d in ids] == pytest.approx(p2.tolist(), abs=1e-4)
+    assert [got[d].toxic for d in ids] == (p2 >= thresholds[1]).tolist()
+
+
 def test_later_models_use_earlier_categories():
     draw = np.random.default_rng(0)
     rows = [np.unique(draw.integers(0, 60, 12)).astype(np.int32) for _ in range(800)]
