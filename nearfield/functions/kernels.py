@@ -1,5 +1,8 @@
 """Dense matrix functions of one submatrix, in numpy: precisions, iterations, direct solvers, purification.
 
+Kernels take one matrix or a stack of equal-sized ones (the last two axes are the matrix): small matrices are done many
+at a time. In a stack an iteration with a residual rule goes on until the slowest has met it.
+
 Every kernel multiplies through :class:`Precision`, so accuracy at a narrow operand format is that of the format; the
 speed of narrow formats is not (a CPU has none), and flops are counted, not timed, here.
 """
@@ -83,22 +86,41 @@ class StopRule:
 
     def met(self, step: int, miss: np.ndarray) -> bool:
         """``miss``: I - X X of this step."""
-        return self.tol is not None and step % self.every == 0 and float(np.linalg.norm(miss)) <= self.tol * np.sqrt(miss.shape[-1])
+        return self.tol is not None and step % self.every == 0 and bool(np.all(_norm(miss) <= self.tol * np.sqrt(miss.shape[-1])))
 
 
 @dataclass
 class Report:
-    """What an iteration did: steps, products, and the last residual norm(X X - I) / sqrt(n)."""
+    """What an iteration did: steps, products, and the last residual norm(X X - I) / sqrt(n); of a stack one each."""
 
     steps: int = 0
     gemms: int = 0
-    residual: float = np.nan
+    residual: float | np.ndarray = np.nan
 
 
 def _eye_like(a: np.ndarray) -> np.ndarray:
     return np.eye(a.shape[-1], dtype=a.dtype)
 
 
+def _turn(a: np.ndarray) -> np.ndarray:
+    return np.swapaxes(a, -1, -2)
+
+
+def _norm(a: np.ndarray):
+    """Frobenius norm of each matrix."""
+    return np.sqrt((a.astype(np.float64) ** 2).sum(axis=(-2, -1)))
+
+
+def _each(c) -> np.ndarray:
+    """A number for each matrix, to multiply the matrices with."""
+    return np.asarray(c)[..., None, None]
+
+
+def _miss(x: np.ndarray):
+    """norm(X X - I) / sqrt(n) of each matrix."""
+    return _norm(x @ x - _eye_like(x)) / max(1.0, np.sqrt(x.shape[-1]))
+
+
 def checked(a, symmetric: bool = False) -> np.ndarray:
     a = np.asarray(a, np.float64)
     if a.ndim < 2 or a.shape[-1] != a.shape[-2]:
@@ -113,22 +135,22 @@ def checked(a, symmetric: bool = False) -> np.ndarray:
 # ---- scaling before iterating
 
 
-def scale_of(a: np.ndarray, how: str = "norms") -> float:
+def scale_of(a: np.ndarray, how: str = "norms"):
     """A number at least the spectral radius: sqrt(norm1 * norminf), the Frobenius norm, or a few power steps (times 1.1)."""
     if not a.size:
         return 1.0
     if how == "norms":
-        c = np.sqrt(np.abs(a).sum(axis=-2).max() * np.abs(a).sum(axis=-1).max())
+        c = np.sqrt(np.abs(a).sum(axis=-2).max(axis=-1) * np.abs(a).sum(axis=-1).max(axis=-1))
     elif how == "fro":
-        c = np.linalg.norm(a)
+        c = _norm(a)
     elif how == "power":
-        v = np.cos(np.arange(a.shape[-1])) + 1.5
+        v = np.broadcast_to((np.cos(np.arange(a.shape[-1])) + 1.5)[:, None], (*a.shape[:-1], 1))
         for _ in range(12):
-            v = a.T @ (a @ (v / np.linalg.norm(v)))
-        c = 1.1 * np.sqrt(np.linalg.norm(v))
+            v = _turn(a) @ (a @ (v / np.maximum(_each(_norm(v)), 1e-300)))
+        c = 1.1 * np.sqrt(_norm(v))
     else:
         raise KernelError(f"no such scaling: {how}")
-    return float(c) or 1.0
+    return np.where(c > 0, c, 1.0) if a.ndim > 2 else float(c) or 1.0
 
 
 # ---- sign
@@ -152,11 +174,11 @@ def sign(a, order: int = 2, stop: StopRule | None = None, precision: Precision |
     if order < 2:
         raise KernelError("the order is at least 2")
     if scale is None:
-        if a.size and np.linalg.norm(a @ a - np.eye(len(a)), 2) >= 1:
+        if a.size and np.max(np.linalg.norm(a @ a - _eye_like(a), 2, axis=(-2, -1))) >= 1:
             raise KernelError("norm(A A - I) is not below 1")
         x = a.astype(p.dtype)
     else:
-        x = (a / scale_of(a, scale)).astype(p.dtype)
+        x = (a / _each(scale_of(a, scale))).astype(p.dtype)
     before, eye, b = p.gemms, _eye_like(x), binomial(order)
     for step in range(1, stop.steps + 1):
         miss = eye - p.gemm(x, x)
@@ -169,8 +191,8 @@ def sign(a, order: int = 2, stop: StopRule | None = None, precision: Precision |
         report.steps = step
     report.gemms = p.gemms - before
     x = x.astype(np.float64)
-    report.residual = float(np.linalg.norm(x @ x - np.eye(x.shape[-1]))) / max(1.0, np.sqrt(x.shape[-1]))
-    if stop.tol is not None and not report.residual < max(1e-2, 10 * stop.tol):
+    report.residual = _miss(x)
+    if stop.tol is not None and not np.all(report.residual < max(1e-2, 10 * stop.tol)):
         raise KernelError("the sign iteration did not converge: an eigenvalue is zero, or not real")
     return x
 
@@ -182,8 +204,8 @@ def sign_pade(a, terms: int = 1, stop: StopRule | None = None, report: Report |
     """
     a = checked(a)
     stop, report = stop or StopRule.residual(1e-12, most=60), report if report is not None else Report()
-    x = a / scale_of(a)
-    eye = np.eye(len(a))
+    x = a / _each(scale_of(a))
+    eye = _eye_like(a)
     angle = (2 * np.arange(1, terms + 1) - 1) * np.pi / (4 * terms)
     s = np.cos(angle) ** 2
     for step in range(1, stop.steps + 1):
@@ -192,18 +214,18 @@ def sign_pade(a, terms: int = 1, stop: StopRule | None = None, report: Report |
             break
         x = sum(np.linalg.solve(c * square + (1 - c) * eye, x) for c in s) / terms
         report.steps = step
-    report.residual = float(np.linalg.norm(x @ x - eye)) / max(1.0, np.sqrt(len(a)))
+    report.residual = _miss(x)
     return x
 
 
 def sign_exact(a, symmetric: bool | None = None) -> np.ndarray:
     """Matrix sign by an eigensolver (of any real spectrum)."""
     a = checked(a)
-    if symmetric or symmetric is None and np.allclose(a, a.T, atol=1e-13):
+    if symmetric or symmetric is None and np.allclose(a, _turn(a), atol=1e-13):
         w, v = np.linalg.eigh(a)
-        return (v * np.sign(w)) @ v.T
+        return (v * np.sign(w)[..., None, :]) @ _turn(v)
     w, v = np.linalg.eig(a)
-    return np.real((v * np.sign(w.real)) @ np.linalg.inv(v))
+    return np.real((v * np.sign(w.real)[..., None, :]) @ np.linalg.inv(v))
 
 
 # ---- roots and inverses
@@ -213,9 +235,10 @@ def coupled_roots(s, stop: StopRule | None = None, precision: Precision | None =
     """(S^(1/2), S^(-1/2)) of a symmetric positive definite matrix by one coupled iteration of both."""
     s = checked(s)
     p, stop, report = precision or Precision(), stop or StopRule.residual(1e-12), report if report is not None else Report()
-    c = float(np.abs(s).sum(axis=-1).max()) if s.size else 1.0
-    if not c > 0:
+    c = np.abs(s).sum(axis=-1).max(axis=-1) if s.size else 1.0
+    if not np.all(c > 0):
         raise KernelError("not positive definite")
+    c = _each(c)
     y = (s / c).astype(p.dtype)
     eye = _eye_like(y)
     z, before = eye.copy(), p.gemms
@@ -228,8 +251,8 @@ def coupled_roots(s, stop: StopRule | None = None, precision: Precision | None =
         report.steps = step
     y, z = y.astype(np.float64), z.astype(np.float64)
     report.gemms = p.gemms - before
-    report.residual = float(np.linalg.norm(z @ y - np.eye(len(s)))) / max(1.0, np.sqrt(len(s)))
-    if not np.isfinite(report.residual) or stop.tol is not None and not report.residual < max(1e-2, 10 * stop.tol):
+    report.residual = _norm(z @ y - _eye_like(s)) / max(1.0, np.sqrt(s.shape[-1]))
+    if not np.isfinite(report.residual).all() or stop.tol is not None and not np.all(report.residual < max(1e-2, 10 * stop.tol)):
         raise KernelError("the coupled iteration did not converge: the matrix is not positive definite")
     return y * np.sqrt(c), z / np.sqrt(c)
 
@@ -247,7 +270,7 @@ def inverse(s, how: str = "coupled", stop: StopRule | None = None, precision: Pr
     try:
         if how == "cholesky":
             lower = np.linalg.inv(np.linalg.cholesky(s))
-            return lower.T @ lower
+            return _turn(lower) @ lower
         if how == "lu":
             return np.linalg.inv(s)
     except np.linalg.LinAlgError as e:
@@ -258,15 +281,15 @@ def inverse(s, how: str = "coupled", stop: StopRule | None = None, precision: Pr
 def inverse_root(a, p: int, steps: int = 100, tol: float = 1e-12) -> np.ndarray:
     """A^(-1/p) of a symmetric positive definite matrix: Z <- Z ((p + 1) I - Z^p A) / p, after scaling."""
     a = checked(a)
-    c = float(np.abs(a).sum(axis=-1).max()) if a.size else 1.0
-    b, eye = a / c, np.eye(len(a))
-    z = eye.copy()
+    c = _each(np.abs(a).sum(axis=-1).max(axis=-1) if a.size else 1.0)
+    b, eye, n = a / c, _eye_like(a), a.shape[-1]
+    z = np.broadcast_to(eye, a.shape).copy()
     for _ in range(steps):
         m = np.linalg.matrix_power(z, p) @ b
-        if np.linalg.norm(m - eye) <= tol * np.sqrt(len(a)):
+        if np.all(_norm(m - eye) <= tol * np.sqrt(n)):
             break
         z = z @ ((p + 1) * eye - m) / p
-    if not np.isfinite(z).all() or np.linalg.norm(np.linalg.matrix_power(z, p) @ b - eye) > 1e-6 * max(1, len(a)):
+    if not np.isfinite(z).all() or np.any(_norm(np.linalg.matrix_power(z, p) @ b - eye) > 1e-6 * max(1, n)):
         raise KernelError("the root iteration did not converge: the matrix is not positive definite")
     return z / c ** (1 / p)
 
@@ -275,7 +298,7 @@ def polynomial(a, coefficients) -> np.ndarray:
     """c0 I + c1 A + c2 A A + ..., by Horner."""
     a = checked(a)
     out = np.zeros_like(a)
-    eye = np.eye(len(a))
+    eye = _eye_like(a)
     for c in reversed(list(coefficients)):
         out = out @ a + c * eye
     return out
@@ -284,7 +307,7 @@ def polynomial(a, coefficients) -> np.ndarray:
 def spectral(a, f: Callable[[np.ndarray], np.ndarray]) -> np.ndarray:
     """f of a symmetric matrix by its eigenvectors."""
     w, v = np.linalg.eigh(checked(a, symmetric=True))
-    return (v * f(w)) @ v.T
+    return (v * f(w)[..., None, :]) @ _turn(v)
 
 
 # ---- the registry of matrix functions
@@ -292,10 +315,14 @@ def spectral(a, f: Callable[[np.ndarray], np.ndarray]) -> np.ndarray:
 
 @dataclass(frozen=True)
 class MatFn:
-    """A named matrix function of one submatrix; ``MatFn.sign(mu)(a)`` and so on."""
+    """A named matrix function of one submatrix; ``MatFn.sign(mu)(a)`` and so on.
+
+    ``stacks``: whether the function also takes a stack of equal-sized matrices.
+    """
 
     name: str
     call: Callable[[np.ndarray], np.ndarray]
+    stacks: bool = True
 
     def __call__(self, a: np.ndarray) -> np.ndarray:
         return self.call(a)
@@ -303,10 +330,10 @@ class MatFn:
     @staticmethod
     def sign(mu: float = 0.0, order: int = 2, stop: StopRule | None = None, operand: str = "fp64", solver: str = "iterate") -> MatFn:
         if solver == "exact":
-            return MatFn("sign", lambda a: sign_exact(a - mu * np.eye(len(a))))
+            return MatFn("sign", lambda a: sign_exact(a - mu * np.eye(a.shape[-1])))
         if solver == "pade":
-            return MatFn("sign", lambda a: sign_pade(a - mu * np.eye(len(a)), order, stop))
-        return MatFn("sign", lambda a: sign(a - mu * np.eye(len(a)), order, stop, Precision(operand)))
+            return MatFn("sign", lambda a: sign_pade(a - mu * np.eye(a.shape[-1]), order, stop))
+        return MatFn("sign", lambda a: sign(a - mu * np.eye(a.shape[-1]), order, stop, Precision(operand)))
 
     @staticmethod
     def inverse(how: str = "coupled", stop: StopRule | None = None, operand: str = "fp64") -> MatFn:
@@ -355,6 +382,12 @@ class Purification:
     operand: str = "fp64"
     pad: int = 1
 
+    @property
+    def stacks(self) -> bool:
+        """Whether a stack takes the same steps as its matrices one by one."""
+        iterates = self.inverse == "coupled" and self.k_inverse is None or self.solver in ("iterate", "pade") and self.k_sign is None
+        return self.solver == "eigen" or not iterates
+
     def stop(self, k: int | None) -> StopRule:
         floor = {"fp64": self.tol, "fp32": max(self.tol, 1e-5), "tf32": 5e-3, "bf16": 3e-2, "half": 5e-3}[self.operand]
         return StopRule.fixed(k) if k is not None else StopRule.residual(floor, most=60)
@@ -362,13 +395,13 @@ class Purification:
 
 def padded(h: np.ndarray, s: np.ndarray, to: int, mu: float) -> tuple[np.ndarray, np.ndarray]:
     """The pair grown to a multiple of ``to`` by functions that couple to nothing and lie as far from mu as h's norm."""
-    n = len(h)
+    n = h.shape[-1]
     m = -(-n // to) * to
     if m == n:
         return h, s
-    big_h, big_s = np.zeros((m, m)), np.eye(m)
-    big_h[:n, :n], big_s[:n, :n] = h, s
-    big_h[range(n, m), range(n, m)] = mu + max(1.0, np.abs(h).sum(axis=1).max(initial=1.0))
+    big_h, big_s = np.zeros((*h.shape[:-2], m, m)), np.broadcast_to(np.eye(m), (*h.shape[:-2], m, m)).copy()
+    big_h[..., :n, :n], big_s[..., :n, :n] = h, s
+    big_h[..., range(n, m), range(n, m)] = (mu + np.maximum(1.0, np.abs(h).sum(axis=-2).max(axis=-1, initial=1.0)))[..., None]
     return big_h, big_s
 
 
@@ -378,24 +411,27 @@ def generalised_eigen(h: np.ndarray, s: np.ndarray) -> tuple[np.ndarray, np.ndar
         back = np.linalg.inv(np.linalg.cholesky(checked(s, symmetric=True)))
     except np.linalg.LinAlgError as e:
         raise KernelError(f"the overlap is not positive definite: {e}") from e
-    e, v = np.linalg.eigh(back @ h @ back.T)
-    return e, back.T @ v
+    e, v = np.linalg.eigh(back @ h @ _turn(back))
+    return e, _turn(back) @ v
 
 
 def purify(h, s, how: Purification, with_w: bool = True) -> tuple[np.ndarray, np.ndarray | None, dict]:
     """(D, W, what was done) of one pair: D = (I - sign(S^-1 H - mu I)) S^-1 / 2 and W = D H D."""
     h, s = checked(h), checked(s)
-    n = len(h)
+    n = h.shape[-1]
     done = {"k_inverse": 0, "k_sign": 0, "residual": 0.0, "gemms": 0}
     if how.solver == "eigen":
         e, c = generalised_eigen(h, s)
-        c = c[:, e < how.mu]
-        d = c @ c.T
-        return d, ((c * e[e < how.mu]) @ c.T if with_w else None), done
+        filled = e < how.mu
+        if h.ndim == 2:
+            e, c, filled = e[filled], c[:, filled], 1.0
+        d = (c * np.asarray(filled)[..., None, :] if h.ndim > 2 else c) @ _turn(c)
+        return d, ((c * (e * filled)[..., None, :]) @ _turn(c) if with_w else None), done
     big_h, big_s = padded(h, s, how.pad, how.mu)
     p, r_inverse, r_sign = Precision(how.operand), Report(), Report()
     inv = inverse(big_s, how.inverse, how.stop(how.k_inverse), p, r_inverse)
-    a = p.gemm(inv.astype(p.dtype), big_h.astype(p.dtype)).astype(np.float64) - how.mu * np.eye(len(big_h))
+    eye = _eye_like(big_h)
+    a = p.gemm(inv.astype(p.dtype), big_h.astype(p.dtype)).astype(np.float64) - how.mu * eye
     if how.solver == "iterate":
         x = sign(a, how.order, how.stop(how.k_sign), p, report=r_sign)
     elif how.solver == "pade":
@@ -404,10 +440,10 @@ def purify(h, s, how: Purification, with_w: bool = True) -> tuple[np.ndarray, np
         x = sign_exact(a, symmetric=False)
     else:
         raise KernelError(f"no such solver: {how.solver}")
-    d = 0.5 * p.gemm((np.eye(len(x)) - x).astype(p.dtype), inv.astype(p.dtype)).astype(np.float64)
-    w = p.gemm(p.gemm(d.astype(p.dtype), big_h.astype(p.dtype)), d.astype(p.dtype)).astype(np.float64)[:n, :n] if with_w else None
+    d = 0.5 * p.gemm((eye - x).astype(p.dtype), inv.astype(p.dtype)).astype(np.float64)
+    w = p.gemm(p.gemm(d.astype(p.dtype), big_h.astype(p.dtype)), d.astype(p.dtype)).astype(np.float64)[..., :n, :n] if with_w else None
     done |= {"k_inverse": r_inverse.steps, "k_sign": r_sign.steps, "residual": r_sign.residual, "gemms": p.gemms}
-    return d[:n, :n], w, done
+    return d[..., :n, :n], w, done
 
 
 def spectral_weights(h, s, own) -> tuple[np.ndarray, np.ndarray]:
@@ -427,13 +463,3 @@ def batched(function: Callable[[np.ndarray], np.ndarray], matrices: list[np.ndar
         for i, r in zip(places, function(np.stack([matrices[i] for i in places])), strict=True):
             out[i] = r
     return out  # type: ignore[return-value]
-
-
-def sign_stack(a: np.ndarray, steps: int, precision: Precision | None = None) -> np.ndarray:
-    """The cubic sign iteration for a stack of equal-sized matrices, a fixed number of steps."""
-    p = precision or Precision()
-    c = np.sqrt(np.abs(a).sum(axis=-2).max(axis=-1) * np.abs(a).sum(axis=-1).max(axis=-1))
-    x = (a / np.where(c > 0, c, 1)[:, None, None]).astype(p.dtype)
-    for _ in range(steps):
-        x = 1.5 * x - 0.5 * p.gemm(x, p.gemm(x, x))
-    return x.astype(np.float64)

@@ -14,6 +14,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
+from ..sources.tables import cut, settle
 
 def gain(n_i: Column, n_j: Column, common: Column) -> Column:
     """Cubes saved by merging groups of n_i and n_j rows of which ``common`` are shared; merge if above zero."""
@@ -21,17 +22,29 @@ def gain(n_i: Column, n_j: Column, common: Column) -> Column:
     return cube(n_i) + cube(n_j) - cube(n_i + n_j - common)
 
 
-def merge_candidates(gp: DataFrame, weights: DataFrame | None = None) -> DataFrame:
+def _entries(gp: DataFrame, weights: DataFrame | None) -> DataFrame:
+    """(group_id, member, weight) of every list entry."""
+    long = gp.select("group_id", F.explode("idx").alias("member"))
+    return long.join(weights, "member") if weights is not None else long.withColumn("weight", F.lit(1).cast("long"))
+
+
+def merge_candidates(gp: DataFrame, weights: DataFrame | None = None, touched: DataFrame | None = None) -> DataFrame:
     """(i, j, n_i, n_j, common, added, gain), i < j: groups of which one's list names a member of the other.
 
     ``gp``: group_id, idx, own. With ``weights`` (member, weight) sizes are sums of weights, else counts. Shared rows
-    are counted by joining list entries of the candidate pairs, so no list is compared twice.
+    are counted by joining list entries of the candidate pairs, so no list is compared twice. ``touched`` (group_id):
+    only pairs with one of these groups.
     """
-    long = gp.select("group_id", F.explode("idx").alias("member"))
-    long = long.join(weights, "member") if weights is not None else long.withColumn("weight", F.lit(1))
+    long = _entries(gp, weights)
     sizes = long.groupBy("group_id").agg(F.sum("weight").cast("long").alias("n"))
     owner = gp.select(F.col("group_id").alias("other"), F.explode("own").alias("member"))
-    pairs = long.join(owner, "member").where("group_id <> other")
+    if touched is None:
+        pairs = long.join(owner, "member")
+    else:
+        mine = touched.select(F.col("group_id").alias("_t"))
+        pairs = long.join(mine, F.col("group_id") == F.col("_t"), "left_semi").join(owner, "member")
+        pairs = pairs.unionByName(long.join(owner.join(mine, F.col("other") == F.col("_t"), "left_semi"), "member"))
+    pairs = pairs.where("group_id <> other")
     pairs = pairs.select(F.least("group_id", "other").alias("i"), F.greatest("group_id", "other").alias("j")).distinct()
     a = long.select(F.col("group_id").alias("i"), "member", "weight")
     b = long.select(F.col("group_id").alias("j"), "member")
@@ -43,48 +56,60 @@ def merge_candidates(gp: DataFrame, weights: DataFrame | None = None) -> DataFra
     return c.select("i", "j", "n_i", "n_j", "common", added.alias("added"), gain(F.col("n_i"), F.col("n_j"), F.col("common")).alias("gain"))
 
 
-def match(candidates: DataFrame) -> DataFrame:
-    """(i, j): pairs that are each other's best by (added, gain, ids), so that no group merges twice in a round."""
-    order = [F.col("added"), F.desc("gain"), F.col("i"), F.col("j")]
+def match(candidates: DataFrame, ties: str = "ids") -> DataFrame:
+    """(i, j): pairs that are each other's best by (added, gain, ties), so that no group merges twice in a round.
+
+    ``ties``: "ids" takes the least ids; "hash" a hash of them first, with which a lattice of equal groups, where ids
+    would let few pairs agree, needs few rounds.
+    """
+    order = [F.col("added"), F.desc("gain"), *([F.xxhash64("i", "j")] if ties == "hash" else []), F.col("i"), F.col("j")]
     both = candidates.select("*", F.col("i").alias("end")).union(candidates.select("*", F.col("j").alias("end")))
     best = both.withColumn("_k", F.row_number().over(W.partitionBy("end").orderBy(*order))).where("_k = 1")
     return best.groupBy("i", "j").agg(F.count(F.lit(1)).alias("_both")).where("_both = 2").select("i", "j")
 
 
-def apply_merges(gp: DataFrame, pairs: DataFrame) -> DataFrame:
+def with_sizes(gp: DataFrame, weights: DataFrame | None) -> DataFrame:
+    """(group_id, idx, own, n), n the number of rows or the sum of their weights."""
+    plain = gp.select("group_id", "idx", "own")
+    if weights is None:
+        return plain.withColumn("n", F.size("idx").cast("long"))
+    n = _entries(plain, weights).groupBy(F.col("group_id").alias("_g")).agg(F.sum("weight").cast("long").alias("n"))
+    return plain.join(n, F.col("group_id") == F.col("_g")).drop("_g")
+
+
+def apply_merges(gp: DataFrame, pairs: DataFrame, weights: DataFrame | None = None) -> DataFrame:
     """``gp`` with each pair as one group of the smaller id, by the exact union of rows."""
     to = pairs.select(F.col("j").alias("_from"), F.col("i").alias("_to"))
     moved = gp.join(to, F.col("group_id") == F.col("_from"), "left").withColumn("group_id", F.coalesce("_to", "group_id"))
     g = moved.groupBy("group_id").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list("idx")))).alias("idx"), F.array_sort(F.flatten(F.collect_list("own"))).alias("own"))
-    return g.withColumn("n", F.size("idx").cast("long"))
+    return with_sizes(g, weights)
 
 
-def combine(gp: DataFrame, weights: DataFrame | None = None, growth: float = 1.6, max_rounds: int = 60) -> tuple[DataFrame, list[tuple[int, int]]]:
+def combine(gp: DataFrame, weights: DataFrame | None = None, growth: float = 1.6, most_rounds: int | None = None) -> tuple[DataFrame, list[tuple[int, int]]]:
     """(combined gp, [(bound, merges) of each round]): rounds over a rising bound on the rows that a merge may add.
 
-    Within a bound rounds repeat until no merge is left; the bound then grows by ``growth``, and the last sweep has
-    none. Stops when a sweep without bound makes no merge: there is no target number of clusters. Ties are broken by
-    ids, so the result does not depend on the partitioning. Each round is cut from its lineage.
+    Within a bound rounds repeat until no merge is left; the bound then grows by ``growth`` to the next at which one
+    is. Ends when no pair of groups has a gain: there is no target number of clusters. Every round merges at least
+    the best pair, so it ends; ``most_rounds`` raises beyond so many. Only pairs with a group that a round merged are
+    looked at again. Ties are broken by ids, so the result does not depend on the partitioning. With ``weights``
+    sizes, and n of the result, are sums of weights. Each round is cut from its lineage.
     """
-    from ..sources.tables import cut
-
     done: list[tuple[int, int]] = []
-    most = gp.agg(F.max("n")).first()[0] or 0
-    if weights is not None:
-        most = gp.select("group_id", F.explode("idx").alias("member")).join(weights, "member").groupBy("group_id").agg(F.sum("weight").alias("n")).agg(F.max("n")).first()[0] or 0
     bound = 0
-    gp = cut(gp.select("group_id", "idx", "own", F.size("idx").cast("long").alias("n")))
-    for _ in range(max_rounds):
-        c = merge_candidates(gp, weights).where((F.col("gain") > 0) & (F.col("added") <= bound))
-        pairs = cut(match(c))
-        n = pairs.count()
-        done.append((bound, n))
-        if n:
-            gp = cut(apply_merges(gp, pairs))
-        elif bound >= most:
-            break
-        else:
-            bound = min(most, max(1, int(bound * growth) + 1))
+    gp = settle(with_sizes(gp, weights))
+    c = settle(merge_candidates(gp, weights).where("gain > 0"))
+    while (least := c.agg(F.min("added")).first()[0]) is not None:
+        if most_rounds is not None and len(done) >= most_rounds:
+            raise RuntimeError(f"{most_rounds} rounds did not end the merging")
+        while bound < least:
+            bound = int(bound * growth) + 1
+        pairs = settle(match(c.where(F.col("added") <= bound), "hash"))
+        done.append((bound, pairs.count()))
+        gp = settle(apply_merges(gp, pairs, weights))
+        gone = pairs.select(F.explode(F.array("i", "j")).alias("_e"))
+        left = c.join(gone, F.col("i") == F.col("_e"), "left_anti").join(gone, F.col("j") == F.col("_e"), "left_anti")
+        anew = merge_candidates(gp, weights, pairs.select(F.col("i").alias("group_id"))).where("gain > 0")
+        c = settle(left.unionByName(anew))
     return gp, done
 
 
@@ -145,16 +170,19 @@ def greedy(lists: dict[int, set[int]], own: dict[int, list[int]], weight=None, f
 def combine_subcells(gp: DataFrame, cells: DataFrame, weights: DataFrame | None = None, border: str = "second_pass") -> DataFrame:
     """Combined gp: greedy within each cell (group_id, cell), one task a cell at most, one shuffle.
 
+    With ``weights`` (member, weight) sizes, and n of the result, are sums of weights.
+
     ``border``: "ignore" leaves it there; "second_pass" then merges again among clusters of whose lists a row is
     owned in another cell, with all others unchanged, in cells made of neighbouring cells.
     """
     owner = gp.select(F.explode("own").alias("member"), F.col("group_id").alias("_g")).join(cells.withColumnRenamed("group_id", "_g"), "_g").select("member", F.col("cell").alias("owner_cell"))
-    first = _greedy_by(gp.join(cells, "group_id"), weights)
+    first = cut(_greedy_by(gp.join(cells, "group_id"), weights))
     if border == "ignore":
         return first.drop("cell")
     reach = first.select("group_id", "cell", F.explode("idx").alias("member")).join(owner, "member")
     touching = reach.where("cell <> owner_cell").groupBy("group_id").agg(F.min(F.least("cell", "owner_cell")).alias("_to")).withColumnRenamed("group_id", "_id")
     marked = first.join(touching, F.col("group_id") == F.col("_id"), "left")
+    marked = cut(marked)
     inner = marked.where(F.col("_to").isNull()).select("group_id", "idx", "own", "n")
     outer = marked.where(F.col("_to").isNotNull()).select("group_id", "idx", "own", "n", F.col("_to").alias("cell"))
     return inner.unionByName(_greedy_by(outer, weights).drop("cell"))
@@ -181,30 +209,63 @@ def _greedy_by(gp: DataFrame, weights: DataFrame | None) -> DataFrame:
         out = [(g, cell, sorted(set().union(*(lists[m] for m in ms))), sorted(x for m in ms for x in own[m])) for g, ms in sorted(done.items())]
         g, c, i, o = zip(*out, strict=True)
         long = pa.list_(pa.int64())
-        return pa.table({"group_id": pa.array(g, pa.int64()), "cell": pa.array(c, pa.int64()), "idx": pa.array(i, long), "own": pa.array(o, long), "n": pa.array([len(x) for x in i], pa.int64())})
+        return pa.table({"group_id": pa.array(g, pa.int64()), "cell": pa.array(c, pa.int64()), "idx": pa.array(i, long), "own": pa.array(o, long), "n": pa.array([sum(weight[m] for m in x) if weight else len(x) for x in i], pa.int64())})
 
     return rows.withColumn("cell", F.col("cell").cast("long")).groupBy("cell").applyInArrow(run, "group_id long, cell long, idx array<long>, own array<long>, n long")
 
 
+def nearest_centre(a: DataFrame, centres: DataFrame, width: float) -> DataFrame:
+    """``a`` (x, y, z, ...) with c, the nearest of ``centres`` (c, cx, cy, cz); ties to the smaller c.
+
+    Centres lie in bins of ``width`` and are joined with the atoms of the 27 bins around: a centre nearer than the width
+    is among them. Atoms without one so near are looked at again with bins twice as wide.
+    """
+    names, left, found = a.columns, a, []
+    spots = centres.agg(*[f(c) for c in ("cx", "cy", "cz") for f in (F.min, F.max)]).first()
+    while True:
+        bins = [F.floor(F.col(f"c{c}") / width).cast("long") for c in "xyz"]
+        near = centres
+        for axis, at in zip("xyz", bins, strict=True):
+            near = near.withColumn(f"b{axis}", F.explode(F.sequence(at - 1, at + 1)))
+        own = left.withColumns({f"a{c}": F.floor(F.col(c) / width).cast("long") for c in "xyz"})
+        both = own.join(near, [F.col(f"a{c}") == F.col(f"b{c}") for c in "xyz"], "left")
+        d = F.round(F.pow(F.col("cx") - F.col("x"), 2) + F.pow(F.col("cy") - F.col("y"), 2) + F.pow(F.col("cz") - F.col("z"), 2), 9)
+        best = both.groupBy(*names).agg(F.min(F.when(F.col("c").isNotNull(), F.struct(d.alias("d"), F.col("c").alias("c")))).alias("_best"))
+        best = settle(best)
+        sure = F.coalesce(F.col("_best.d") < width * width, F.lit(False))
+        found.append(best.where(sure).select(*names, F.col("_best.c").alias("c")))
+        left = best.where(~sure).select(*names)
+        if left.isEmpty():
+            break
+        extent = left.agg(*[f(c) for c in "xyz" for f in (F.min, F.max)]).first()
+        span = max(max(extent[i + 1], spots[i + 1]) - min(extent[i], spots[i]) for i in (0, 2, 4))
+        if width > 2 * span + 1:
+            raise ValueError("a position is not a number")
+        width *= 2
+    out = found[0]
+    for f in found[1:]:
+        out = out.unionByName(f)
+    return out
+
+
 def combine_kmeans(atoms: DataFrame, k: int, iterations: int = 10) -> DataFrame:
     """(group_id, member) by k-means of positions: the spatial clustering that merging replaces.
 
-    Centres start at every (count / k)-th atom in id order; centres are k rows and are broadcast, so k must be small
-    against memory.
+    Centres start at every (count / k)-th atom in id order. They are a table like the atoms: nothing is gathered.
     """
     a = atoms.select("atom_id", "x", "y", "z")
-    n = a.count()
+    n, *ends = a.agg(F.count(F.lit(1)), *[f(c) for c in "xyz" for f in (F.min, F.max)]).first()
     step = max(1, n // k)
-    start = a.where((F.col("atom_id") % step == 0)).orderBy("atom_id").limit(k)
-    centres = start.select(F.row_number().over(W.orderBy("atom_id")).cast("long").alias("c"), F.col("x").alias("cx"), F.col("y").alias("cy"), F.col("z").alias("cz"))
+    volume = (ends[1] - ends[0] + 1) * (ends[3] - ends[2] + 1) * (ends[5] - ends[4] + 1)
+    width = 1.5 * (volume / k) ** (1 / 3)
+    start = a.where((F.col("atom_id") % step == 0) & (F.col("atom_id") < step * k))
+    centres = start.select((F.col("atom_id") / step + 1).cast("long").alias("c"), F.col("x").alias("cx"), F.col("y").alias("cy"), F.col("z").alias("cz"))
     for turn in range(iterations):
-        rows = sorted(map(tuple, centres.collect()))
-        fixed = F.array(*[F.struct(F.lit(c).cast("long").alias("c"), F.lit(x).alias("x"), F.lit(y).alias("y"), F.lit(z).alias("z")) for c, x, y, z in rows])
-        d = F.transform(fixed, lambda p: F.struct(F.round(F.pow(p.x - F.col("x"), 2) + F.pow(p.y - F.col("y"), 2) + F.pow(p.z - F.col("z"), 2), 9).alias("d"), p.c.alias("c")))
-        own = a.withColumn("c", F.array_min(d).c)
+        own = nearest_centre(a, settle(centres), width)
         if turn < iterations - 1:
-            centres = own.groupBy("c").agg(F.avg("x"), F.avg("y"), F.avg("z"))
-    return own.groupBy("c").agg(F.min("atom_id").alias("group_id"), F.collect_list("atom_id").alias("m")).select("group_id", F.explode("m").alias("member"))
+            centres = own.groupBy("c").agg(F.avg("x").alias("cx"), F.avg("y").alias("cy"), F.avg("z").alias("cz"))
+    least = own.groupBy("c").agg(F.min("atom_id").alias("group_id"))
+    return own.join(least, "c").select("group_id", F.col("atom_id").alias("member"))
 
 
 # ---- keeping a merge over time
@@ -217,15 +278,25 @@ def still_valid(gp: DataFrame, p: DataFrame) -> DataFrame:
     return gp.join(missed, "group_id", "left").withColumn("covers", F.coalesce("_missed", F.lit(0)) == 0).drop("_missed")
 
 
+def write_groups(gp: DataFrame, path: str, step: int) -> None:
+    """Keep a merge as a table with the step that made it, for many steps of dynamics."""
+    gp.select("group_id", "idx", "own", "n", F.lit(step).cast("long").alias("step_made")).write.mode("overwrite").parquet(path)
+
+
+def read_groups(spark, path: str) -> DataFrame:
+    """A kept merge: group_id, idx, own, n, step_made."""
+    return spark.read.schema("group_id long, idx array<long>, own array<long>, n long, step_made long").parquet(path)
+
+
 def refresh(gp: DataFrame, p: DataFrame, weights: DataFrame | None = None) -> DataFrame:
     """A group pattern for a changed pattern: groups that no longer cover it fall into their columns and are combined anew.
 
-    Groups that still cover theirs keep their members; their lists are kept too.
+    Groups that still cover theirs keep their members; their lists are kept too. With ``weights`` n is a sum of weights.
     """
     from .patterns import group_pattern
 
-    marked = still_valid(gp, p)
-    kept = marked.where("covers").select("group_id", "idx", "own", "n")
+    marked = cut(still_valid(gp, p))
+    kept = with_sizes(marked.where("covers"), weights)
     loose = marked.where(~F.col("covers")).select(F.explode("own").alias("member")).select(F.col("member").alias("group_id"), "member")
     anew, _ = combine(group_pattern(p, loose), weights)
     return kept.unionByName(anew.select("group_id", "idx", "own", "n"))

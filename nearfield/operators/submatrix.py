@@ -7,7 +7,7 @@ its own submatrix ("gather"). After the dense stage nothing is shuffled: results
 from __future__ import annotations
 
 import time
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -16,6 +16,7 @@ from pyspark.sql import functions as F
 
 from ..functions.kernels import MatFn, Purification, purify, spectral_weights
 from ..plans.balance import balance, parts_for
+from ..sources.tables import cut
 from .patterns import group_pattern, places, single_groups
 
 METRICS = "n long, k_inv int, k_sign int, resid double, gemms int, secs double"
@@ -30,8 +31,8 @@ class Columns:
         self.cols, first = np.unique(col[order], return_index=True)
         self.first = np.append(first, len(row))
 
-    def cut(self, idx: np.ndarray) -> tuple[list[np.ndarray], np.ndarray]:
-        """(dense matrices on the index list, mask of the places that are stored)."""
+    def cut(self, idx: np.ndarray, out: list[np.ndarray] | None = None) -> tuple[list[np.ndarray], np.ndarray]:
+        """(dense matrices on the index list, mask of the places that are stored); ``out``: zeroed matrices to fill."""
         n = len(idx)
         at = np.searchsorted(self.cols, idx)
         at[at == len(self.cols)] = 0
@@ -47,22 +48,61 @@ class Columns:
         i, j, spots = i[inside], j[inside], spots[inside]
         mask = np.zeros((n, n), bool)
         mask[i, j] = True
-        out = []
-        for v in self.values:
-            m = np.zeros((n, n))
+        out = out if out is not None else [np.zeros((n, n)) for _ in self.values]
+        for m, v in zip(out, self.values, strict=True):
             m[i, j] = v[spots]
-            out.append(m)
         return out, mask
 
 
-Kernel = Callable[[list[np.ndarray], np.ndarray, np.ndarray], tuple[list[np.ndarray], dict]]
+class Buffers:
+    """Work arrays that a task uses again for group after group; they grow to the largest stack."""
 
+    def __init__(self, kinds: int):
+        self.flat = [np.zeros(0) for _ in range(kinds)]
 
-def run_groups(groups: DataFrame, entries: DataFrame, values: list[str], results: list[str], kernel: Kernel, result_pattern: str, strategy: str = "halo") -> DataFrame:
+    def zeros(self, shape: tuple[int, int, int]) -> list[np.ndarray]:
+        size = shape[0] * shape[1] * shape[2]
+        for k, held in enumerate(self.flat):
+            if held.size < size:
+                self.flat[k] = np.zeros(size)
+            else:
+                held[:size] = 0.0
+        return [held[:size].reshape(shape) for held in self.flat]
+
+
+#: Values of a stack of equal-sized submatrices that a kernel gets at a time, at most (one submatrix may have more).
+STACK = 1 << 18
+
+
+def lists_of(column) -> list[np.ndarray]:
+    """Arrays of a list column, without Python numbers."""
+    parts = []
+    for chunk in column.chunks if isinstance(column, pa.ChunkedArray) else [column]:
+        ends, flat = chunk.offsets.to_numpy(), chunk.values.to_numpy(zero_copy_only=False).astype(np.int64)
+        parts += [flat[a:b] for a, b in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True)]
+    return parts
+
+
+def stacks_of(lists: list[np.ndarray], together: bool) -> Iterator[np.ndarray]:
+    """Numbers of the lists in stacks of equal length."""
+    n = np.array([len(x) for x in lists], np.int64)
+    order = np.argsort(n, kind="stable")
+    for own in np.split(order, np.flatnonzero(np.diff(n[order])) + 1) if len(order) else []:
+        size = int(n[own[0]])
+        step = max(1, STACK // max(1, size * size)) if together else 1
+        for at in range(0, len(own), step):
+            yield own[at : at + step]
+
+
+Kernel = Callable[[list[np.ndarray]], tuple[list[np.ndarray], dict]]
+
+
+def run_groups(groups: DataFrame, entries: DataFrame, values: list[str], results: list[str], kernel: Kernel, result_pattern: str, strategy: str = "halo", together: bool = False) -> DataFrame:
     """The dense stage: (group_id, row, col, results..., metrics...), where a group's metrics are a row without place.
 
-    ``groups``: group_id, idx, own, n, part_id. ``kernel(dense, idx, own)`` gets one dense matrix for each of the
-    value columns and returns as many as ``results`` and a dict of metrics. ``result_pattern``: "input" keeps owned
+    ``groups``: group_id, idx, own, n, part_id. ``kernel(dense)`` gets one stack of dense matrices (a single matrix,
+    unless ``together``) for each of the value columns and returns as many as ``results`` and a dict of metrics.
+    ``together``: submatrices of equal size go to the kernel in stacks. ``result_pattern``: "input" keeps owned
     entries where the matrix stores one, "merged" all rows of the owned columns.
     """
     lists = groups.select("part_id", F.explode("idx").alias("c"), "group_id")
@@ -80,26 +120,29 @@ def run_groups(groups: DataFrame, entries: DataFrame, values: list[str], results
 
     def work(left, right):
         c = Columns(right.column("e_row").to_numpy(), right.column("e_col").to_numpy(), [right.column(f"e_{v}").to_numpy() for v in values])
-        out: list[tuple] = []
-        places_of, metrics = [], []
-        for group, idx, own in zip(left.column("group_id").to_pylist(), left.column("idx").to_pylist(), left.column("own").to_pylist(), strict=True):
+        ids, idx_of, own_of = left.column("group_id").to_pylist(), lists_of(left.column("idx")), lists_of(left.column("own"))
+        places_of, metrics, held = [], [], Buffers(len(values))
+        for stack in stacks_of(idx_of, together):
             began = time.perf_counter()
-            idx, own = np.array(idx, np.int64), np.array(own, np.int64)
-            dense, mask = c.cut(idx)
-            at = np.searchsorted(idx, own)
-            found, done = kernel(dense, idx, at)
-            keep = np.ones((len(idx), len(own)), bool) if merged else mask[:, at]
-            i, j = np.nonzero(keep)
-            places_of.append((group, idx[i], own[j], [f[:, at][i, j] for f in found]))
-            metrics.append((group, len(idx), done.get("k_inverse", 0), done.get("k_sign", 0), float(done.get("residual", 0.0)), done.get("gemms", 0), time.perf_counter() - began))
+            n = len(idx_of[stack[0]])
+            dense = held.zeros((len(stack), n, n))
+            masks = [c.cut(idx_of[g], [d[k] for d in dense])[1] for k, g in enumerate(stack)]
+            found, done = kernel(dense if together else [d[0] for d in dense])
+            found = found if together else [f[None] for f in found]
+            miss = np.broadcast_to(done.get("residual", 0.0), len(stack))
+            took = (time.perf_counter() - began) / len(stack)
+            for k, g in enumerate(stack):
+                idx, own = idx_of[g], own_of[g]
+                at = np.searchsorted(idx, own)
+                keep = np.ones((n, len(own)), bool) if merged else masks[k][:, at]
+                i, j = np.nonzero(keep)
+                places_of.append((ids[g], idx[i], own[j], [f[k][:, at][i, j] for f in found]))
+                metrics.append((ids[g], n, done.get("k_inverse", 0), done.get("k_sign", 0), float(miss[k]), done.get("gemms", 0), took))
         return _table(places_of, metrics, results)
 
-    def meet(left, right):
-        return work(left, right)
-
     schema = "group_id long, row long, col long, " + "".join(f"{r} double, " for r in results) + METRICS
     left = groups.select("part_id", "group_id", "idx", "own")
-    return left.groupBy("part_id").cogroup(e.groupBy("part")).applyInArrow(meet, schema)
+    return left.groupBy("part_id").cogroup(e.groupBy("part")).applyInArrow(work, schema)
 
 
 def _table(found: list, metrics: list, results: list[str]) -> pa.Table:
@@ -107,7 +150,7 @@ def _table(found: list, metrics: list, results: list[str]) -> pa.Table:
     cat = lambda parts, kind: np.concatenate(parts).astype(kind) if parts else np.zeros(0, kind)
     nulls = lambda k: pa.nulls(k)
     cols = {
-        "group_id": pa.array([*np.repeat([f[0] for f in found], [len(f[1]) for f in found]).tolist(), *[x[0] for x in metrics]], pa.int64()),
+        "group_id": pa.array(np.concatenate([np.repeat(np.array([f[0] for f in found], np.int64), [len(f[1]) for f in found]), np.array([x[0] for x in metrics], np.int64)])),
         "row": pa.concat_arrays([pa.array(cat([f[1] for f in found], np.int64)), nulls(m).cast(pa.int64())]),
         "col": pa.concat_arrays([pa.array(cat([f[2] for f in found], np.int64)), nulls(m).cast(pa.int64())]),
     }
@@ -146,10 +189,10 @@ def submatrix_apply(
     ``with_metrics`` the dense stage's table is returned; see ``entries_of`` and ``metrics_of``.
     """
     p = places(m, drop_tol)
-    gp = group_pattern(p, groups if groups is not None else single_groups(p))
+    gp = cut(group_pattern(p, groups if groups is not None else single_groups(p)))
     gp = balance(gp, parts or parts_for(gp))
     e = p.join(m.select("row", "col", "val"), ["row", "col"], "left").select("row", "col", F.coalesce("val", F.lit(0.0)).alias("val"))
-    out = run_groups(gp, e, ["val"], ["val"], lambda dense, idx, own: ([fn(dense[0])], {}), result_pattern, strategy)
+    out = run_groups(gp, e, ["val"], ["val"], lambda dense: ([fn(dense[0])], {}), result_pattern, strategy, fn.stacks)
     return out if with_metrics else entries_of(out, "val")
 
 
@@ -163,9 +206,9 @@ def locality_report(m: DataFrame, fn: MatFn, share: float = 0.05, seed: int = 1)
     far = near.join(p.select(F.col("row").alias("r2"), F.col("col").alias("mid")), F.col("row") == F.col("mid")).select(F.col("r2").alias("row"), "col").distinct()
     found = []
     for lists in (near, far):
-        gp = group_pattern(lists, single_groups(near))
+        gp = cut(group_pattern(lists, single_groups(near)))
         gp = balance(gp, parts_for(gp))
-        out = run_groups(gp, m.select("row", "col", "val"), ["val"], ["val"], lambda dense, idx, own: ([fn(dense[0])], {}), "input")
+        out = run_groups(gp, m.select("row", "col", "val"), ["val"], ["val"], lambda dense: ([fn(dense[0])], {}), "input", together=fn.stacks)
         found.append(entries_of(out, "val"))
     both = found[0].join(found[1].withColumnRenamed("val", "val2"), ["row", "col"])
     return both.groupBy("col").agg(F.max(F.abs(F.col("val") - F.col("val2"))).alias("leak"))
@@ -193,17 +236,16 @@ def paired_purify(
 
     both = pair.select("row", "col", (F.abs("h") + F.abs("s")).alias("val"))
     p = places(both)
-    gp = group_pattern(p, groups if groups is not None else single_groups(p))
+    gp = cut(group_pattern(p, groups if groups is not None else single_groups(p)))
     if max_n is not None:
         explain(gp, most_n=max_n)
     gp = balance(gp, parts or parts_for(gp))
 
-    def kernel(dense, idx, own):
+    def kernel(dense):
         d, w, done = purify(dense[0], dense[1], how, with_w)
-        # energy and electrons need only owned columns, so each group adds its own part here
         return [d, w if w is not None else np.zeros_like(d)], done
 
-    return run_groups(gp, pair, ["h", "s"], ["d", "w"], kernel, result_pattern, strategy)
+    return run_groups(gp, pair, ["h", "s"], ["d", "w"], kernel, result_pattern, strategy, how.stacks)
 
 
 def level_weights(pair: DataFrame, groups: DataFrame, parts: int | None = None) -> DataFrame:
@@ -212,7 +254,7 @@ def level_weights(pair: DataFrame, groups: DataFrame, parts: int | None = None)
     The electron count at any potential is then an aggregate of this table.
     """
     p = places(pair.select("row", "col", (F.abs("h") + F.abs("s")).alias("val")))
-    gp = group_pattern(p, groups)
+    gp = cut(group_pattern(p, groups))
     gp = balance(gp, parts or parts_for(gp))
     lists = gp.select("part_id", F.explode("idx").alias("c")).distinct()
     e = lists.join(pair, F.col("c") == F.col("col")).select(F.col("part_id").alias("part"), F.col("row").alias("e_row"), F.col("col").alias("e_col"), F.col("h").alias("e_h"), F.col("s").alias("e_s"))
@@ -220,8 +262,7 @@ def level_weights(pair: DataFrame, groups: DataFrame, parts: int | None = None)
     def meet(left, right):
         c = Columns(*(right.column(k).to_numpy() for k in ("e_row", "e_col")), [right.column("e_h").to_numpy(), right.column("e_s").to_numpy()])
         g, level, weight = [], [], []
-        for group, idx, own in zip(left.column("group_id").to_pylist(), left.column("idx").to_pylist(), left.column("own").to_pylist(), strict=True):
-            idx = np.array(idx, np.int64)
+        for group, idx, own in zip(left.column("group_id").to_pylist(), lists_of(left.column("idx")), lists_of(left.column("own")), strict=True):
             (h, s), _ = c.cut(idx)
             e_, w_ = spectral_weights(h, s, np.searchsorted(idx, own))
             g += [group] * len(e_)

@@ -46,6 +46,7 @@ class Explanation:
     flops: float
     listed: int
     bytes_largest: int
+    sum_n2: float = 0.0
 
     def __str__(self) -> str:
         return f"{self.groups} submatrices, largest {self.largest}; sum n^3 {self.sum_n3:.3g}, {self.flops:.3g} flops; {self.listed} list entries to exchange; largest needs {self.bytes_largest / 1e6:.1f} MB"
@@ -58,8 +59,8 @@ class TooExpensive(RuntimeError):
 def explain(gp: DataFrame, gemms: int = 40, budget_flops: float | None = None, most_n: int | None = None) -> Explanation:
     """The cost of a run with so many products a submatrix; raises if over the budget or a submatrix is too large."""
     n = F.col("n").cast("double")
-    r = gp.agg(F.count(F.lit(1)), F.coalesce(F.max("n"), F.lit(0)), F.coalesce(F.sum(n * n * n), F.lit(0.0)), F.coalesce(F.sum("n"), F.lit(0))).first()
-    e = Explanation(r[0], r[1], r[2], 2 * gemms * r[2], r[3], 6 * 8 * r[1] * r[1])
+    r = gp.agg(F.count(F.lit(1)), F.coalesce(F.max("n"), F.lit(0)), F.coalesce(F.sum(n * n * n), F.lit(0.0)), F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum(n * n), F.lit(0.0))).first()
+    e = Explanation(r[0], r[1], r[2], 2 * gemms * r[2], r[3], 6 * 8 * r[1] * r[1], r[4])
     if budget_flops is not None and e.flops > budget_flops:
         raise TooExpensive(f"over {budget_flops:.3g} flops: {e}")
     if most_n is not None and e.largest > most_n:
@@ -67,8 +68,13 @@ def explain(gp: DataFrame, gemms: int = 40, budget_flops: float | None = None, m
     return e
 
 
+#: List entries, and values of all submatrices together, that a part holds at most, about.
+PART_LISTED, PART_VALUES = 500_000, 40_000_000
+
+
 def parts_for(gp: DataFrame, least: int | None = None, flops_a_part: float = 2e11, gemms: int = 40) -> int:
-    """Number of parts: enough for the cluster's tasks, and more where the work is large."""
+    """Number of parts: enough for the cluster's tasks, and more where the work, the lists or the values are large."""
     spark = gp.sparkSession
     least = least or max(2, spark.sparkContext.defaultParallelism)
-    return int(max(least, min(200_000, explain(gp, gemms).flops // flops_a_part)))
+    e = explain(gp, gemms)
+    return int(max(least, min(2_000_000, max(e.flops // flops_a_part, e.listed // PART_LISTED, e.sum_n2 // PART_VALUES))))

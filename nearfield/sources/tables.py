@@ -23,10 +23,23 @@ def cut(df: DataFrame) -> DataFrame:
     """A reliable checkpoint: computed once, read by later uses, kept in the folder that all executors share."""
     context = df.sparkSession.sparkContext
     if context.getCheckpointDir() is None:
-        context.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="nearfield-"))
+        root = df.sparkSession.conf.get("spark.checkpoint.dir", None)
+        if root is None and not context.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        context.setCheckpointDir(root or "file://" + tempfile.mkdtemp(prefix="nearfield-"))
     return df.checkpoint(eager=True)
 
 
+def settle(df: DataFrame) -> DataFrame:
+    """``cut`` for the rows that a loop carries on, without Spark's estimate of their size.
+
+    A checkpoint keeps the estimate, and that of a join is the product of its sides': over the rounds of a loop it
+    becomes a number so long that planning takes longer than the work.
+    """
+    done, spark = cut(df)._jdf, df.sparkSession
+    return DataFrame(spark._jsparkSession.internalCreateDataFrame(done.queryExecution().toRdd(), done.schema(), False), spark)
+
+
 def repeated(df: DataFrame, times: int, id_column: str, stride: int) -> DataFrame:
     """``times`` copies with ids moved by ``stride`` each, and the copy's number."""
     copies = F.explode(F.sequence(F.lit(0), F.lit(times - 1))).alias("copy")

@@ -287,22 +287,21 @@ def test_greedy_is_the_plain_greedy():
         assert {g: sorted(m) for g, m in got.items()} == plain_greedy(lists)
 
 
-def check_merge(before, after):
+def check_merge(before, after, weight=None):
     own = [m for r in after for m in r.own]
     assert sorted(own) == sorted(m for r in before for m in r.own)
     lists = {m: set(r.idx) for r in before for m in r.own}
     for r in after:
-        assert set(r.idx) == set().union(*(lists[m] for m in r.own)) and r.group_id == min(r.own) and r.n == len(r.idx)
-    assert sum(r.n**3 for r in after) <= sum(r.n**3 for r in before)
+        assert set(r.idx) == set().union(*(lists[m] for m in r.own)) and r.group_id == min(r.own)
+        assert r.n == sum(weight[m] if weight else 1 for m in r.idx)
+    before_n3 = sum(sum(weight[m] if weight else 1 for m in r.idx) ** 3 for r in before)
+    assert sum(r.n**3 for r in after) <= before_n3
 
 
 def test_merging_lowers_the_work(spark, water):
     a, box, *_ = water
     p = workloads.atom_places(a, box, reach=3.5)
     gp = cut(patterns.group_pattern(p, patterns.single_groups(p)))
-    after, rounds = combine.combine(gp, growth=50.0, max_rounds=3)
-    check_merge(gp.collect(), after.collect())
-    assert len(rounds) == 3 and rounds[0][1] > 0
     cells = a.select(F.col("atom_id").alias("group_id"), F.col("cell_id").alias("cell"))
     for border in ("ignore", "second_pass"):
         by_cell = cut(combine.combine_subcells(gp, cells, border=border))
@@ -310,11 +309,40 @@ def test_merging_lowers_the_work(spark, water):
         r = observables.reduction(gp, by_cell)
         assert r["cubic"] > 1.2 and r["quadratic"] > r["cubic"] and r["count"] > 2
     weights = a.select(F.col("atom_id").alias("member"), F.col("nbf").alias("weight"))
-    check_merge(gp.collect(), combine.combine_subcells(gp, cells, weights).collect())
+    check_merge(gp.collect(), combine.combine_subcells(gp, cells, weights).collect(), {r.member: r.weight for r in weights.collect()})
     k = combine.combine_kmeans(a, 20, 3)
     assert k.count() == 192 and k.select("group_id").distinct().count() <= 20
 
 
+def test_rounds_end_where_no_merge_pays(spark):
+    draw = np.random.default_rng(4)
+    at = draw.random((60, 2)) * 5
+    near = ((at[:, None] - at[None]) ** 2).sum(2) < 1.0
+    p = cut(spark.createDataFrame([(int(i), int(j)) for i, j in np.argwhere(near)], "row long, col long"))
+    gp = cut(patterns.group_pattern(p, patterns.single_groups(p)))
+    weight = {m: 1 + m % 4 for m in range(60)}
+    weights = spark.createDataFrame(sorted(weight.items()), "member long, weight long")
+    for w, own in ((None, None), (weights, weight)):
+        after, rounds = combine.combine(gp, w)
+        check_merge(gp.collect(), after.collect(), own)
+        assert sum(n for _, n in rounds) == 60 - after.count() > 10
+        assert combine.merge_candidates(after, w).where("gain > 0").count() == 0
+    other, _ = combine.combine(gp.repartition(7, "n"), weights)
+    assert sorted(r.own for r in other.collect()) == sorted(r.own for r in after.collect())
+    with pytest.raises(RuntimeError):
+        combine.combine(gp, most_rounds=1)
+
+
+def test_a_centre_is_the_nearest_of_all(spark):
+    draw = np.random.default_rng(6)
+    at, centres = draw.random((200, 3)) * 10, draw.random((15, 3)) * [10, 10, 2]
+    a = spark.createDataFrame([(i, *map(float, x)) for i, x in enumerate(at)], "atom_id long, x double, y double, z double")
+    c = spark.createDataFrame([(i, *map(float, x)) for i, x in enumerate(centres)], "c long, cx double, cy double, cz double")
+    want = ((at[:, None] - centres[None]) ** 2).sum(2).argmin(1)
+    for width in (0.7, 40.0):
+        assert {r.atom_id: r.c for r in combine.nearest_centre(a, c, width).collect()} == dict(enumerate(want.tolist()))
+
+
 def test_a_merge_is_kept_while_it_covers(spark, water):
     a, box, *_ = water
     p = cut(workloads.atom_places(a, box, reach=3.5))

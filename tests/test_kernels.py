@@ -94,6 +94,32 @@ def test_rounding_of_narrow_formats():
     assert (stored.gemm(x[None], x[:, None]) == stored.gemm(x[None], x[:, None]).astype(np.float16)).all()
 
 
+def test_stacks_give_what_single_matrices_give():
+    pairs = [(gapped(9, i), spd(9, 50 + i)) for i in range(5)]
+    h, s = (np.stack(x) for x in zip(*pairs, strict=True))
+    calls = {
+        "sign": lambda a: k.sign(a, stop=k.StopRule.fixed(30)),
+        "sign5": lambda a: k.sign(a, order=5),
+        "pade": lambda a: k.sign_pade(a, 2),
+        "exact": k.sign_exact,
+        "power": lambda a: k.sign(a, scale="power"),
+        "poly": lambda a: k.polynomial(a, (1.0, 0.0, 2.0)),
+        "exp": lambda a: k.spectral(a, np.exp),
+    }
+    for f in calls.values():
+        assert f(h) == pytest.approx(np.stack([f(x) for x in h]), abs=1e-9)
+    for f in (k.inverse, lambda a: k.inverse(a, "cholesky"), lambda a: k.inverse(a, "lu"), lambda a: k.inverse_root(a, 3), lambda a: k.coupled_roots(a)[0]):
+        assert f(s) == pytest.approx(np.stack([f(x) for x in s]), abs=1e-9)
+    for how in (k.Purification(solver="eigen"), k.Purification(k_inverse=12, k_sign=20, pad=4), k.Purification(solver="exact", inverse="cholesky")):
+        assert how.stacks
+        d, w, done = k.purify(h, s, how)
+        for i, (a, b) in enumerate(pairs):
+            d1, w1, done1 = k.purify(a, b, how)
+            assert d[i] == pytest.approx(d1, abs=1e-9) and w[i] == pytest.approx(w1, abs=1e-9) and done["gemms"] == done1["gemms"]
+            assert np.broadcast_to(done["residual"], 5)[i] == pytest.approx(done1["residual"], abs=1e-12, nan_ok=True)
+    assert not k.Purification().stacks and not k.Purification(k_sign=3).stacks
+
+
 def test_spectral_weights_count_electrons():
     h, s = gapped(12, 8), spd(12, 9, 0.2)
     e, w = k.spectral_weights(h, s, range(12))
@@ -103,7 +129,7 @@ def test_spectral_weights_count_electrons():
 
 def test_batches_of_equal_sizes():
     matrices = [gapped(n, n) for n in (4, 7, 4, 9, 7)]
-    out = k.batched(lambda a: k.sign_stack(a, 30), matrices)
+    out = k.batched(k.sign, matrices)
     assert all(np.abs(x - k.sign_exact(m)).max() < 1e-9 for x, m in zip(out, matrices, strict=True))
 
 
