@@ -3,11 +3,12 @@
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.kernels import MatFn, Purification, purify, sign_exact
-from ..sources.tables import cut
+from ..sources.tables import cut, settle
 from . import matrix
 from .submatrix import submatrix_apply
 
@@ -34,9 +35,21 @@ def from_dense(spark, ids: np.ndarray, a: np.ndarray) -> DataFrame:
 
 
 def dense_reference(m: DataFrame, fn: MatFn, max_dim: int = 5000) -> DataFrame:
-    """f of the whole matrix in one task: exact, cubic."""
-    ids, a = dense(m, max_dim)
-    return from_dense(m.sparkSession, ids, fn(a))
+    """f of the whole matrix in one executor task: exact, cubic; refuses more than ``max_dim`` rows."""
+    ids = m.select(F.explode(F.array("row", "col")).alias("id")).distinct()
+    if ids.limit(max_dim + 1).count() > max_dim:
+        raise matrix.MatrixError(f"over {max_dim} rows: a dense reference is for small systems")
+
+    def solve(table: pa.Table) -> pa.Table:
+        row, col = table.column("row").to_numpy(), table.column("col").to_numpy()
+        known = np.unique(np.concatenate([row, col]))
+        a = np.zeros((len(known), len(known)))
+        a[np.searchsorted(known, row), np.searchsorted(known, col)] = table.column("val").to_numpy()
+        out, n = fn(a), len(known)
+        return pa.table({"row": np.repeat(known, n), "col": np.tile(known, n), "val": out.ravel()})
+
+    one = m.select(F.col("row").cast("long").alias("row"), F.col("col").cast("long").alias("col"), F.col("val").cast("double").alias("val"))
+    return one.groupBy(F.lit(0)).applyInArrow(solve, "row long, col long, val double")
 
 
 def dense_density(pair: DataFrame, mu: float, max_dim: int = 5000) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -50,21 +63,21 @@ def dense_density(pair: DataFrame, mu: float, max_dim: int = 5000) -> tuple[np.n
 def global_inverse(s: DataFrame, steps: int = 12, tol: float = 1e-10) -> DataFrame:
     """S^-1 by the coupled root iteration on sparse matrices: three global products a step."""
     c = matrix.norms(s)["inf"]
-    y, eye = cut(matrix.scale(s, 1 / c)), cut(matrix.identity_of(s))
+    y, eye = settle(matrix.scale(s, 1 / c)), settle(matrix.identity_of(s))
     z = eye
     for _ in range(steps):
-        t = cut(matrix.axpy(1.5, eye, -0.5, matrix.multiply(z, y, tol)))
-        y, z = cut(matrix.multiply(y, t, tol)), cut(matrix.multiply(t, z, tol))
+        t = settle(matrix.axpy(1.5, eye, -0.5, matrix.multiply(z, y, tol)))
+        y, z = settle(matrix.multiply(y, t, tol)), settle(matrix.multiply(t, z, tol))
     return matrix.scale(matrix.multiply(z, z, tol), 1 / c)
 
 
 def global_sign(a: DataFrame, steps: int = 20, tol: float = 1e-10) -> DataFrame:
     """sign(A) by the cubic iteration on a sparse matrix: two global products a step, small entries dropped."""
     n = matrix.norms(a)
-    x, eye = cut(matrix.scale(a, 1 / (np.sqrt(n["one"] * n["inf"]) or 1.0))), cut(matrix.identity_of(a))
+    x, eye = settle(matrix.scale(a, 1 / (np.sqrt(n["one"] * n["inf"]) or 1.0))), settle(matrix.identity_of(a))
     for _ in range(steps):
         poly = matrix.axpy(1.5, eye, -0.5, matrix.multiply(x, x, tol))
-        x = cut(matrix.multiply(x, poly, tol))
+        x = settle(matrix.multiply(x, poly, tol))
     return x
 
 

@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from ..functions.elements import COUPLING, ElementModel
 from ..functions.kernels import Purification
-from ..sources.tables import cut
+from ..sources.tables import cut, settle
 from .generate import energies, generate_density
 from .lattice import Box, neighbours, species
 
@@ -192,7 +192,7 @@ def calibrate_gamma(state: DataFrame, force_of: Callable[[DataFrame, int], DataF
     """
     trace = []
     for step in range(1, steps + 1):
-        state = cut(langevin_step(state, lambda s, n=step: force_of(s, n), gamma, dt))
+        state = settle(langevin_step(state, lambda s, n=step: force_of(s, n), gamma, dt))
         t = kinetic_temperature(state.withColumn("step", F.lit(step))).first().temperature
         trace.append((step, t, gamma))
         gamma = next_gamma(gamma, t, target, dt, tau, g0)
@@ -248,7 +248,7 @@ def md_step(state: DataFrame, cfg: StepConfig, groups: DataFrame | None = None)
         seen.update(energy=e.energy, electrons=e.electrons)
         return f
 
-    after = cut(langevin_step(state, force_of, cfg.gamma, cfg.dt, cfg.scheme))
+    after = settle(langevin_step(state, force_of, cfg.gamma, cfg.dt, cfg.scheme))
     v2 = F.col("vx") * F.col("vx") + F.col("vy") * F.col("vy") + F.col("vz") * F.col("vz")
     kinetic, n = after.agg(F.sum(F.col("mass") * v2) / 2, F.count(F.lit(1))).first()
     seen |= {"kinetic": kinetic, "temperature": 2 * kinetic / (3 * n)}
@@ -287,9 +287,9 @@ def scf(h_of_d: Callable[[DataFrame | None], DataFrame], density_of: Callable[[D
     changes = []
     for _ in range(most):
         new = density_of(h_of_d(d))
-        step = cut(axpy(1.0, new, -1.0, d))
+        step = settle(axpy(1.0, new, -1.0, d))
         changes.append(norms(step)["max"])
-        d = cut(axpy(1.0, d, mixing, step))
+        d = settle(axpy(1.0, d, mixing, step))
         if changes[-1] < tol:
             break
     return d, changes

@@ -48,11 +48,36 @@ def supercells(a: DataFrame, box: Box, width: float, halo: float) -> DataFrame:
     return out.select(cell.alias("cell"), own.alias("owned"), "atom_id", "species", *[F.col(f"_p{c}").alias(c) for c in "xyz"], "bf0", "group_id")
 
 
+#: Cost that a task takes at most of a supercell, in submatrices of an ordinary atom; costlier cells are split.
+TASK_COST = 400.0
+
+
+def split_costly(rows: DataFrame, model: ElementModel, present, task_cost: float = TASK_COST) -> DataFrame:
+    """``rows`` with turn, the task of a cell, and leads: whether the row's group is done there.
+
+    An atom's submatrix grows with the cube of its reach and its cost with the cube of that, so a cell of far-reaching
+    atoms costs many times an ordinary one. Such cells are done in several turns: each has all atoms of the cell, and
+    the groups are dealt to the turns by a hash.
+    """
+    least = min(model.cutoff(s, s) for s in present)
+    reach = F.lit(least)
+    for s in present:
+        reach = F.when(F.col("species") == s, F.lit(model.cutoff(s, s))).otherwise(reach)
+    lead = F.col("owned") & (F.col("atom_id") == F.col("group_id"))
+    cost = rows.where("owned").groupBy(F.col("cell").alias("_cell")).agg(F.sum(F.pow(reach / least, 9)).alias("_cost"))
+    turns = cost.select("_cell", F.ceil(F.col("_cost") / task_cost).cast("int").alias("_turns")).where("_turns > 1")
+    dealt = rows.join(turns, F.col("cell") == F.col("_cell"), "left").withColumn("_turns", F.coalesce("_turns", F.lit(1)))
+    dealt = dealt.withColumn("turn", F.explode(F.sequence(F.lit(0), F.col("_turns") - 1)))
+    leads = lead & (F.pmod(F.xxhash64("group_id"), F.col("_turns")) == F.col("turn"))
+    return dealt.select(*rows.columns, "turn", leads.alias("leads"))
+
+
 def generate_density(a: DataFrame, box: Box, model: ElementModel, how: Purification, present=("H", "O"), groups: DataFrame | None = None, width: float | None = None, element_dtype: str = "float64") -> DataFrame:
     """The dense stage's table with columns d, w, h, s over basis functions of owned atoms.
 
     ``groups`` (group_id, member) of atoms share a submatrix; by default each atom has its own. A group belongs to
-    the supercell of its least member, so halos are twice as deep then. One shuffle of atom rows; none after it.
+    the supercell of its least member, so halos are twice as deep then. Atom rows are shuffled, and the cells' costs
+    beside them; nothing after it.
     """
     reach = model.longest(present)
     if groups is None:
@@ -60,13 +85,14 @@ def generate_density(a: DataFrame, box: Box, model: ElementModel, how: Purificat
     else:
         rows, halo = a.join(groups, F.col("atom_id") == F.col("member")), 2 * reach
     rows = supercells(rows.select("atom_id", "species", "x", "y", "z", "bf0", "group_id"), box, width or 2 * reach, halo)
+    rows = split_costly(rows, model, present)
     edges = np.array(box.edges)
     nbf_of = {s: v["nbf"] for s, v in model.species.items()}
     dtype = np.dtype(element_dtype)
 
     def work(table):
         ids, group = table.column("atom_id").to_numpy(), table.column("group_id").to_numpy()
-        owned = np.array(table.column("owned").to_pylist(), bool)
+        leads = table.column("leads").to_numpy(zero_copy_only=False).astype(bool)
         species = np.array(table.column("species").to_pylist(), object)
         xyz = np.stack([table.column(c).to_numpy() for c in "xyz"], axis=1)
         bf0 = table.column("bf0").to_numpy()
@@ -74,10 +100,11 @@ def generate_density(a: DataFrame, box: Box, model: ElementModel, how: Purificat
         reach_of = np.array([model.cutoff(s, s) for s in species])
         found, metrics = [], []
         # a group is done where its least member is owned; its other members may be halo atoms
-        for g in np.unique(group[owned & (ids == group)]):
+        order_by, all_groups = np.argsort(group, kind="stable"), np.sort(group)
+        for lead in sorted(np.flatnonzero(leads).tolist(), key=lambda r: group[r]):
             began = time.perf_counter()
-            members = np.flatnonzero(group == g)
-            lead = members[owned[members] & (ids[members] == g)][0]
+            g = group[lead]
+            members = order_by[np.searchsorted(all_groups, g) : np.searchsorted(all_groups, g, "right")]
             if len(members) > 1:  # of several images of a member, the one nearest to the lead
                 order = members[np.argsort(((xyz[members] - xyz[lead]) ** 2).sum(axis=1), kind="stable")]
                 members = order[np.unique(ids[order], return_index=True)[1]]
@@ -98,7 +125,7 @@ def generate_density(a: DataFrame, box: Box, model: ElementModel, how: Purificat
             metrics.append((int(g), len(h), done["k_inverse"], done["k_sign"], float(done["residual"]), done["gemms"], time.perf_counter() - began))
         return _table(found, metrics, ["d", "w", "h", "s"]) if metrics else _table([], [], ["d", "w", "h", "s"]).cast(_EMPTY)
 
-    return rows.groupBy("cell").applyInArrow(work, SCHEMA)
+    return rows.groupBy("cell", "turn").applyInArrow(work, SCHEMA)
 
 
 _EMPTY = pa.schema(

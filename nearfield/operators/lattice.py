@@ -184,7 +184,7 @@ def neutralise(a: DataFrame, charge: int, ion: str = "X", seed: int = 1) -> Data
     """Replace so many molecules (three atoms in a row) by an ion at their first atom, in the order of a seeded hash."""
     molecule = F.floor(F.col("atom_id") / 3)
     water = a.where(F.col("species").isin("O", "H")).groupBy(molecule.alias("molecule")).agg(F.count(F.lit(1)).alias("n")).where("n = 3")
-    chosen = water.orderBy(F.xxhash64("molecule", F.lit(seed)), "molecule").limit(max(0, charge)).select(F.col("molecule").alias("_m"))
+    chosen = water.orderBy(F.md5(F.concat_ws("|", F.col("molecule").cast("string"), F.lit(str(seed)))), "molecule").limit(max(0, charge)).select(F.col("molecule").alias("_m"))
     marked = a.withColumn("molecule", molecule).join(chosen, F.col("molecule") == F.col("_m"), "left")
     kept = marked.where(F.col("_m").isNull() | (F.col("atom_id") % 3 == 0))
     kept = kept.withColumn("species", F.when(F.col("_m").isNotNull(), F.lit(ion)).otherwise(F.col("species")))

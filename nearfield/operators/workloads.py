@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -50,11 +52,11 @@ def order_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def turn_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(id, chain, place, m): the turns of a conversation in order; id is conv_id * 1000 + place."""
+    """(id, chain, place, m): the turns of a conversation in order; id is conv_id * 2^20 + place."""
     c = table(spark, sf_dir, "conversations").select("conv_id", "turn").distinct()
     w = W.partitionBy("conv_id")
     c = c.select(F.col("conv_id").alias("chain"), F.row_number().over(w.orderBy("turn")).alias("place"), F.count(F.lit(1)).over(w).alias("m"))
-    return c.select((F.col("chain") * 1000 + F.col("place")).alias("id"), "chain", "place", "m")
+    return c.select((F.col("chain") * (1 << 20) + F.col("place")).alias("id"), "chain", "place", "m")
 
 
 def chain_matrix(chain: DataFrame, node: str, on: float, hop: float) -> DataFrame:
@@ -96,16 +98,56 @@ def dominant(off: DataFrame, ids: DataFrame) -> DataFrame:
     return off.select("row", "col", "val").unionByName(diag)
 
 
+#: Vectors that one task compares with as many others.
+TILE = 4096
+
+
+def most_similar(spark: SparkSession, sf_dir: str, k: int = 8, tile: int = TILE) -> DataFrame:
+    """(row, col, val): each embedding's ``k`` most similar others by cosine (9 decimals), ties to the smaller id.
+
+    Vectors are dealt into blocks by a hash; each pair of blocks meets in one task as a matrix product, which keeps k
+    of each row, and the blocks' best are merged by row. Work is all pairs; no task and no shuffle holds them.
+    """
+    e = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.transform("embedding", lambda x: x.cast("double")).alias("v"))
+    e = e.where(F.exists("v", lambda x: x != 0)).withColumn("dim", F.size("v"))
+    blocks = max(1, -(-e.count() // tile))
+    own = F.pmod(F.xxhash64("id"), F.lit(blocks))
+    every = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)).cast("array<long>"))
+    asked, given = e.select("id", "v", "dim", own.alias("a"), every.alias("b")), e.select("id", "v", "dim", every.alias("a"), own.alias("b"))
+
+    def unit(t: pa.Table) -> tuple[np.ndarray, np.ndarray]:
+        ids = t.column("id").to_numpy()
+        x = t.column("v").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(len(ids), -1)
+        return ids, x / np.sqrt((x * x).sum(axis=1, keepdims=True))
+
+    def meet(left: pa.Table, right: pa.Table) -> pa.Table:
+        row, col, val = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0)]
+        if left.num_rows and right.num_rows:
+            (i, x), (j, y) = unit(left), unit(right)
+            y, j = y[np.argsort(j)], np.sort(j)
+            for at in range(0, len(i), 512):
+                c = np.round(x[at : at + 512] @ y.T, 9)
+                c[i[at : at + 512, None] == j] = -np.inf
+                n = min(k, c.shape[1])
+                best = np.argsort(-c, axis=1, kind="stable")[:, :n] if n else np.zeros((len(c), 0), np.int64)
+                v = np.take_along_axis(c, best, axis=1)
+                keep = np.isfinite(v)
+                row.append(np.repeat(i[at : at + 512], n)[keep.ravel()])
+                col.append(j[best][keep])
+                val.append(v[keep])
+        return pa.table({"row": np.concatenate(row), "col": np.concatenate(col), "val": np.concatenate(val)})
+
+    found = asked.groupBy("dim", "a", "b").cogroup(given.groupBy("dim", "a", "b")).applyInArrow(meet, "row long, col long, val double")
+    best = found.withColumn("_k", F.row_number().over(W.partitionBy("row").orderBy(F.desc("val"), "col"))).where(F.col("_k") <= k)
+    return best.select("row", "col", "val")
+
+
 def gram(spark: SparkSession, sf_dir: str, k: int = 8) -> DataFrame:
     """Overlap-like matrix of embeddings: each vector's ``k`` most similar by cosine, symmetrised, diagonally dominant."""
-    e = table(spark, sf_dir, "embeddings").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("v"))
-    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    e = e.withColumn("n", F.sqrt(dot(F.col("v"), F.col("v")))).where("n > 0")
-    b = e.select(F.col("vec_id").alias("col"), F.col("v").alias("v2"), F.col("n").alias("n2"))
-    pairs = e.join(b, F.col("vec_id") != F.col("col")).select(F.col("vec_id").alias("row"), "col", F.round(dot(F.col("v"), F.col("v2")) / F.col("n") / F.col("n2"), 9).alias("val"))
-    best = pairs.withColumn("_k", F.row_number().over(W.partitionBy("row").orderBy(F.desc("val"), "col"))).where(F.col("_k") <= k)
-    both = best.select("row", "col", "val").union(best.select("col", "row", "val")).distinct()
-    return dominant(both, e.select(F.col("vec_id").alias("row")))
+    best = most_similar(spark, sf_dir, k)
+    both = best.union(best.select("col", "row", "val")).distinct()
+    ids = table(spark, sf_dir, "embeddings").where(F.exists("embedding", lambda x: x != 0)).select(F.col("vec_id").alias("row"))
+    return dominant(both, ids)
 
 
 def sequences(spark: SparkSession, sf_dir: str, words: int = 5) -> DataFrame:

@@ -303,7 +303,7 @@ def density_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(_sines("1 / (1 + 0.6 * x)", "abs(i - j) <= 1", """
 t AS (SELECT DISTINCT conv_id, turn FROM conversations),
 o AS (SELECT conv_id AS ch, row_number() OVER (PARTITION BY conv_id ORDER BY turn) AS p, count(*) OVER (PARTITION BY conv_id) AS m FROM t),
-cells AS (SELECT a.ch * 1000 + a.p AS "row", b.ch * 1000 + b.p AS col, a.p AS i, b.p AS j, a.m AS m FROM o a JOIN o b ON a.ch = b.ch)
+cells AS (SELECT a.ch * 1048576 + a.p AS "row", b.ch * 1048576 + b.p AS col, a.p AS i, b.p AS j, a.m AS m FROM o a JOIN o b ON a.ch = b.ch)
 """))
 def inverse_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Inverse of I + 0.3 (neighbours) on the turns of conversations, on the pattern."""
