@@ -142,9 +142,8 @@ def near_pairs(docs: DataFrame, at_least: float = 0.8, words: int = WORDS, rows:
     """
     from .jaccard_groups import all_links, by_task, deal
 
-    classes = near_classes(docs, words, rows, bands)
-    reps = classes.where(F.col("doc_id") == F.col("class_id"))
-    dealt = deal(reps.select("doc_id", "n_shingles", "bands"), block)
+    sets = equal_sets(cut(set_table(docs.where(F.col("doc_id").isNotNull()), words, rows, bands)))
+    dealt = deal(sets.where("least = class_id").select(F.col("class_id").alias("doc_id"), "n_shingles", "bands"), block)
     work = docs.where(F.col("doc_id").isNotNull()).select("doc_id", plain("text").alias("text")).join(dealt, F.col("doc_id") == F.col("node"))
     percent = max(0, int(100 * at_least - 1e-9))  # not above at_least, which decides
 
@@ -166,9 +165,29 @@ def near_pairs(docs: DataFrame, at_least: float = 0.8, words: int = WORDS, rows:
 
 def near_classes(docs: DataFrame, words: int, rows: int, bands: int) -> DataFrame:
     """(doc_id, class_id, n_shingles, bands): class_id is the least doc_id with an equal shingle set; see ``set_table``."""
-    table = cut(set_table(docs.where(F.col("doc_id").isNotNull()), words, rows, bands))
-    least = table.groupBy("s1", "s2").agg(F.min("doc_id").alias("class_id"))
-    return table.join(least.withColumnsRenamed({"s1": "t1", "s2": "t2"}), (F.col("s1") == F.col("t1")) & (F.col("s2") == F.col("t2"))).select("doc_id", "class_id", "n_shingles", "bands")
+    sets = equal_sets(cut(set_table(docs.where(F.col("doc_id").isNotNull()), words, rows, bands)))
+    return sets.select(F.explode("ids").alias("doc_id"), "class_id", "n_shingles", "bands")
+
+
+#: Parts that the documents of one set are gathered in at least, and documents in a part of the largest classes, about.
+PARTS, PART_DOCUMENTS = 16, 100_000
+
+
+def equal_sets(table: DataFrame) -> DataFrame:
+    """(s1, s2, ids, least, class_id, copies, n_shingles, bands): documents of equal sets in parts, beside the least
+    doc_id and the number of rows of the whole class.
+
+    ``table``: see ``set_table``, cut. Copies are gathered by set and part, so a class of a third of all documents is
+    spread; what meets by the set alone are its parts, few rows each with many ids.
+    """
+    parts = max(PARTS, -(-table.count() // PART_DOCUMENTS))
+    part = F.pmod(F.xxhash64("doc_id"), F.lit(parts))
+    lists = table.groupBy("s1", "s2", part.alias("p")).agg(
+        F.collect_list("doc_id").alias("ids"), F.min("doc_id").alias("least"), F.first("n_shingles").alias("n_shingles"), F.first("bands").alias("bands")
+    )
+    whole = lists.groupBy(F.col("s1").alias("t1"), F.col("s2").alias("t2")).agg(F.min("least").alias("class_id"), F.sum(F.size("ids")).alias("copies"))
+    both = lists.join(whole, (F.col("s1") == F.col("t1")) & (F.col("s2") == F.col("t2")))
+    return both.select("s1", "s2", "ids", "least", "class_id", "copies", "n_shingles", "bands")
 
 
 def set_table(docs: DataFrame, words: int, rows: int, bands: int) -> DataFrame:

@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected_components
-from .fingerprints import set_table
+from .fingerprints import equal_sets, set_table
 from .hashing import shingle_set
 from .shared import cut, plain
 
@@ -238,14 +238,13 @@ def jaccard_components(docs: DataFrame, words: int, percent: int, block: int = B
     every = cut(set_table(docs, words, *bands_for(percent)))
     table = every.where("doc_id is not null")
     some = table.where("n_shingles > 0")
-    least = some.groupBy("s1", "s2").agg(F.min("doc_id").alias("class_id"), F.count(F.lit(1)).alias("copies"))
-    keys = some.join(least.withColumnsRenamed({"s1": "t1", "s2": "t2"}), (F.col("s1") == F.col("t1")) & (F.col("s2") == F.col("t2")))
-    members = keys.select("doc_id", "class_id", "s1", "s2", "copies")
-    dealt = deal(keys.where(F.col("doc_id") == F.col("class_id")).select("doc_id", "n_shingles", "bands"), block)
+    sets = equal_sets(some)
+    dealt = deal(sets.where("least = class_id").select(F.col("class_id").alias("doc_id"), "n_shingles", "bands"), block)
     texts = docs.where(F.col("doc_id").isNotNull()).select("doc_id", plain("text").alias("text"))
     work = texts.join(dealt, F.col("doc_id") == F.col("node")).select("part", "x", "y", "side", "doc_id", "text")
     if links:
-        own = least.groupBy("class_id").agg(F.collect_list(F.struct("s1", "s2", "copies")).alias("classes"))  # one, or as many as a doc_id has texts
+        once = sets.where("least = class_id")
+        own = once.groupBy("class_id").agg(F.collect_set(F.struct("s1", "s2", "copies")).alias("classes"))  # one, or as many as a doc_id has texts
         work = work.join(own, F.col("doc_id") == F.col("class_id")).select(*work.columns, "classes")
 
     def search(rows: list[tuple]) -> Iterator[pa.RecordBatch]:
@@ -264,13 +263,13 @@ def jaccard_components(docs: DataFrame, words: int, percent: int, block: int = B
 
     found = cut(by_task(work, search, "a long, b long, s1 long, s2 long, n long"))
     linked = connected_components(found.where("a <> b").select("a", "b"))
-    component = members.join(linked, F.col("class_id") == F.col("node"), "left")
+    component = sets.select("s1", "s2", "ids", "class_id", "copies").join(linked, F.col("class_id") == F.col("node"), "left")
     columns = [F.min(F.coalesce("component", "class_id")).alias("component_id")]
     if links:
         counts = found.where("n is not null").groupBy(F.col("s1").alias("t1"), F.col("s2").alias("t2")).agg(F.sum("n").alias("n"))
         component = component.join(counts, (F.col("s1") == F.col("t1")) & (F.col("s2") == F.col("t2")), "left")
         columns.append(F.sum(F.coalesce("n", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
-    component = component.groupBy("doc_id").agg(*columns)
+    component = component.withColumn("doc_id", F.explode("ids")).groupBy("doc_id").agg(*columns)
     sizes = table.groupBy("doc_id").agg(F.max("n_shingles").alias("n_shingles")).withColumnRenamed("doc_id", "_id")
     out = sizes.join(component, F.col("_id") == F.col("doc_id"), "left")
     out = out.select(F.col("_id").alias("doc_id"), "n_shingles", F.coalesce("component_id", "_id").alias("component_id"), *["n_links"] * links)
