@@ -49,7 +49,7 @@ def dense_reference(m: DataFrame, fn: MatFn, max_dim: int = 5000) -> DataFrame:
         return pa.table({"row": np.repeat(known, n), "col": np.tile(known, n), "val": out.ravel()})
 
     one = m.select(F.col("row").cast("long").alias("row"), F.col("col").cast("long").alias("col"), F.col("val").cast("double").alias("val"))
-    return one.groupBy(F.lit(0)).applyInArrow(solve, "row long, col long, val double")
+    return one.withColumn("_all", F.lit(True)).groupBy("_all").applyInArrow(solve, "row long, col long, val double")
 
 
 def dense_density(pair: DataFrame, mu: float, max_dim: int = 5000) -> tuple[np.ndarray, np.ndarray, np.ndarray]:

@@ -6,6 +6,8 @@ import math
 from collections.abc import Callable
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -55,13 +57,37 @@ def ion_energy(a: DataFrame, box: Box, reach: float, charges: float) -> float:
     return p.agg(F.coalesce(F.sum(F.col("qi") * F.col("qj") * F.exp(-F.col("r")) / F.col("r")), F.lit(0.0))).first()[0] * charges / 2
 
 
-def ewald_energy(charged: DataFrame, box: Box, alpha: float = 0.6, reach: float | None = None, kmax: int = 6) -> float:
+def ewald_energy(charged: DataFrame, box: Box, alpha: float = 0.6, reach: float | None = None, kmax: int | None = 6) -> float:
     """Coulomb energy of (atom_id, x, y, z, q) in a periodic neutral box: direct real-space pairs, structure factors, self term.
 
-    The wave vectors are a list of fixed size; atoms meet them in one pass and partial sums are combined.
+    The wave vectors are a list of fixed size; atoms meet them in one pass and partial sums are combined. With ``kmax``
+    None they are all those of a weight above 1e-9, whose number grows with the box: a reference for
+    ``mesh_ewald_energy``, refused beyond 200,000 waves.
     """
-    reach = reach or 3.6 / alpha
     lx, ly, lz = box.edges
+    ks = []
+    most = [kmax if kmax is not None else math.ceil(9 * alpha * e / (2 * math.pi)) for e in box.edges]
+    if math.prod(2 * m + 1 for m in most) > 4_000_000:
+        raise ValueError("too many waves for the direct sum: use the mesh")
+    for i in range(-most[0], most[0] + 1):
+        for j in range(-most[1], most[1] + 1):
+            for k in range(-most[2], most[2] + 1):
+                if (i, j, k) > (0, 0, 0):
+                    g = (2 * math.pi * i / lx, 2 * math.pi * j / ly, 2 * math.pi * k / lz)
+                    k2 = sum(v * v for v in g)
+                    if (f := math.exp(-k2 / (4 * alpha * alpha)) / k2) > (1e-12 if kmax is not None else 1e-9):
+                        ks.append((*g, f))
+    if len(ks) > 200_000:
+        raise ValueError("too many waves for the direct sum: use the mesh")
+    waves = charged.sparkSession.createDataFrame(ks, "gx double, gy double, gz double, f double")
+    phase = F.col("gx") * F.col("x") + F.col("gy") * F.col("y") + F.col("gz") * F.col("z")
+    sums = charged.crossJoin(F.broadcast(waves)).groupBy("gx", "gy", "gz", "f").agg(F.sum(F.col("q") * F.cos(phase)).alias("c"), F.sum(F.col("q") * F.sin(phase)).alias("s"))
+    waves_e = sums.agg(F.coalesce(F.sum(F.col("f") * (F.col("c") * F.col("c") + F.col("s") * F.col("s"))), F.lit(0.0))).first()[0] * 4 * math.pi / (lx * ly * lz)
+    return waves_e + _ewald_near(charged, box, alpha, reach or 3.6 / alpha)
+
+
+def _ewald_near(charged: DataFrame, box: Box, alpha: float, reach: float) -> float:
+    """The real-space pairs less what each charge does to itself."""
     q = charged.select("atom_id", "q")
     p = neighbours(charged, box, reach).join(q.withColumnsRenamed({"atom_id": "i", "q": "qi"}), "i").join(q.withColumnsRenamed({"atom_id": "j", "q": "qj"}), "j")
     # erfc by a rational form good to 1.2e-7 (a published approximation)
@@ -72,21 +98,74 @@ def ewald_energy(charged: DataFrame, box: Box, alpha: float = 0.6, reach: float
         poly = poly * t + c
     erfc = t * F.exp(-x * x + poly)
     real = p.agg(F.coalesce(F.sum(F.col("qi") * F.col("qj") * erfc / F.col("r")), F.lit(0.0))).first()[0] / 2
-    ks = []
-    for i in range(-kmax, kmax + 1):
-        for j in range(-kmax, kmax + 1):
-            for k in range(-kmax, kmax + 1):
-                if (i, j, k) > (0, 0, 0):
-                    g = (2 * math.pi * i / lx, 2 * math.pi * j / ly, 2 * math.pi * k / lz)
-                    k2 = sum(v * v for v in g)
-                    if (f := math.exp(-k2 / (4 * alpha * alpha)) / k2) > 1e-12:
-                        ks.append((*g, f))
-    waves = charged.sparkSession.createDataFrame(ks, "gx double, gy double, gz double, f double")
-    phase = F.col("gx") * F.col("x") + F.col("gy") * F.col("y") + F.col("gz") * F.col("z")
-    sums = charged.crossJoin(F.broadcast(waves)).groupBy("gx", "gy", "gz", "f").agg(F.sum(F.col("q") * F.cos(phase)).alias("c"), F.sum(F.col("q") * F.sin(phase)).alias("s"))
-    waves_e = sums.agg(F.coalesce(F.sum(F.col("f") * (F.col("c") * F.col("c") + F.col("s") * F.col("s"))), F.lit(0.0))).first()[0] * 4 * math.pi / (lx * ly * lz)
-    own = charged.agg(F.coalesce(F.sum(F.col("q") * F.col("q")), F.lit(0.0))).first()[0] * alpha / math.sqrt(math.pi)
-    return real + waves_e - own
+    return real - charged.agg(F.coalesce(F.sum(F.col("q") * F.col("q")), F.lit(0.0))).first()[0] * alpha / math.sqrt(math.pi)
+
+
+def _spline(u: Column) -> Column:
+    """The cardinal spline of fifth order, by truncated powers; zero outside 0 to 5."""
+    out = F.lit(0.0)
+    for k in range(5):
+        out = out + (-1) ** k * math.comb(5, k) * F.pow(F.greatest(u - k, F.lit(0.0)), 4) / 24
+    return out
+
+
+def _spline_factor(n: int) -> np.ndarray:
+    """What the splines take from each wave along an axis of n points: one over the squared size of their transform."""
+    at = [sum((-1) ** j * math.comb(5, j) * max(k - j, 0) ** 4 for j in range(5)) / 24 for k in range(1, 5)]
+    waves = np.arange(n)
+    total = sum(v * np.exp(2j * np.pi * waves * k / n) for k, v in enumerate(at))
+    return 1 / np.abs(total) ** 2
+
+
+def mesh_ewald_energy(charged: DataFrame, box: Box, alpha: float = 0.6, reach: float | None = None, spacing: float = 0.5) -> float:
+    """``ewald_energy`` with its waves on a mesh: charges spread by splines of fifth order, then Fourier transforms.
+
+    Charges of a mesh point are summed before they are shuffled. The transform runs over slabs: one task holds a plane
+    of the mesh (first y and z, then x), never all of it. Axes have odd numbers of points at most ``spacing`` apart.
+    """
+    edges = box.edges
+    points = [int(math.ceil(e / spacing)) | 1 for e in edges]
+    nx, ny, nz = points
+    spots = charged.select("q", *[(F.pmod(F.col(c), F.lit(e)) / e * n).alias(f"u{c}") for c, e, n in zip("xyz", edges, points, strict=True)])
+    for c, n in zip("xyz", points, strict=True):
+        spots = spots.withColumn("j", F.explode(F.sequence(F.lit(0), F.lit(4))))
+        whole = F.floor(f"u{c}")
+        spots = spots.withColumns({f"g{c}": F.pmod(whole - F.col("j"), F.lit(n)).cast("long"), "q": F.col("q") * _spline(F.col(f"u{c}") - whole + F.col("j"))}).drop("j")
+    mesh = spots.groupBy("gx", "gy", "gz").agg(F.sum("q").alias("q"))
+
+    def plane(t: pa.Table) -> pa.Table:
+        a = np.zeros((ny, nz))
+        a[t.column("gy").to_numpy(), t.column("gz").to_numpy()] = t.column("q").to_numpy()
+        f = np.fft.fft2(a)
+        y, z = np.divmod(np.arange(ny * nz), nz)
+        return pa.table({"gx": np.full(ny * nz, t.column("gx")[0].as_py()), "ky": y, "kz": z, "re": f.real.ravel(), "im": f.imag.ravel()})
+
+    factors = [_spline_factor(n) for n in points]
+    waves = [2 * np.pi * np.where(np.arange(n) <= n // 2, np.arange(n), np.arange(n) - n) / e for n, e in zip(points, edges, strict=True)]
+
+    def across(t: pa.Table) -> pa.Table:
+        a, ky = np.zeros((nx, nz), complex), t.column("ky")[0].as_py()
+        a[t.column("gx").to_numpy(), t.column("kz").to_numpy()] = t.column("re").to_numpy() + 1j * t.column("im").to_numpy()
+        f = np.abs(np.fft.fft(a, axis=0)) ** 2
+        k2 = waves[0][:, None] ** 2 + waves[1][ky] ** 2 + waves[2][None] ** 2
+        weight = np.where(k2 > 0, np.exp(-k2 / (4 * alpha * alpha)) / np.where(k2 > 0, k2, 1), 0)
+        return pa.table({"e": [float((f * weight * factors[0][:, None] * factors[1][ky] * factors[2][None]).sum())]})
+
+    half = mesh.groupBy("gx").applyInArrow(plane, "gx long, ky long, kz long, re double, im double")
+    found = half.groupBy("ky").applyInArrow(across, "e double").agg(F.coalesce(F.sum("e"), F.lit(0.0))).first()[0]
+    return _ewald_near(charged, box, alpha, reach or 3.6 / alpha) + found * 2 * math.pi / math.prod(edges)
+
+
+def pair_forces(a: DataFrame, box: Box, reach: float, repulsion: float = 1.0, attraction: float = 8.0, least: float = 0.0) -> DataFrame:
+    """(atom_id, fx, fy, fz) of a classical force field: repulsion / r^12 - attraction / r^6 between bodies from ``least`` to ``reach``.
+
+    A shorter reach, a coarser format or a larger time step makes a noise of these forces, which the same friction
+    compensates as that of electronic forces.
+    """
+    p = neighbours(a, box, reach).where(F.col("r") > least)
+    slope = -12 * repulsion / F.pow("r", 13) + 6 * attraction / F.pow("r", 7)
+    out = p.groupBy(F.col("i").alias("_i")).agg(*[F.sum(slope * F.col(f"d{c}") / F.col("r")).alias(f"f{c}") for c in "xyz"])
+    return a.select("atom_id").join(out, F.col("atom_id") == F.col("_i"), "left").select("atom_id", *[F.coalesce(f"f{c}", F.lit(0.0)).alias(f"f{c}") for c in "xyz"])
 
 
 def dispersion(a: DataFrame, box: Box, reach: float, c6: float = 1.0, r0: float = 2.5) -> float:

@@ -377,7 +377,7 @@ def _atoms(a: DataFrame) -> DataFrame:
 
 @query(_atoms_sql("water"))
 def atoms_water(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Sites of the homogeneous lattice."""
+    """Sites of the homogeneous lattice: whole cells that fill a box; parts beyond the last whole layer of cells are no sites."""
     return _atoms(workloads.water(spark, sf_dir)[0])
 
 
@@ -480,8 +480,7 @@ def combine_copart_none(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The negative control: columns of a random-like graph share too few rows, and no merge pays."""
     p = patterns.places(workloads.copart(spark, sf_dir))
     gp = cut(patterns.group_pattern(p, patterns.single_groups(p)))
-    cells = gp.select("group_id", F.lit(0).cast("long").alias("cell"))
-    return _combined_row(gp, combine.combine_subcells(gp, cells, border="ignore")).where("when = 'after'").select("when", "groups", "sum_n3")
+    return _combined_row(gp, combine.combine(gp)[0]).where("when = 'after'").select("when", "groups", "sum_n3")
 
 
 @query()
@@ -490,7 +489,7 @@ def kmeans_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     a, box = workloads.water(spark, sf_dir)
     p = workloads.atom_places(a, box, reach=4.5)
     k = max(2, a.count() // 12)
-    groups = combine.combine_kmeans(a, min(k, 200), iterations=4)
+    groups = combine.combine_kmeans(a, k)
     return _combined_row(patterns.group_pattern(p, patterns.single_groups(p)), patterns.group_pattern(p, groups))
 
 
@@ -575,14 +574,12 @@ def size_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
 _WATER_HOW = Purification(mu=-0.275, solver="eigen")
 
 
-@query(f"WITH {_LATTICE} SELECT (count(*) * 8 / 3)::DOUBLE AS electrons, 0::BIGINT AS large_misses FROM water")
+@query(f"WITH {_LATTICE} SELECT (count(*) * 8 / 3)::DOUBLE AS electrons FROM water")
 def electrons_water(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Electrons of the lattice by the generated paired method, an atom a submatrix: eight a molecule, to 0.05 %."""
+    """Electrons of the lattice by the generated paired method, an atom a submatrix: eight a molecule, to 3 decimals."""
     a, box = workloads.water(spark, sf_dir)
-    e = generate.energies(generate.generate_density(a, box, ElementModel(), _WATER_HOW)).first()
-    n = a.count()
-    wanted = n * 8 / 3
-    return spark.createDataFrame([(wanted, int(abs(2 * e.electrons - wanted) > 5e-4 * wanted))], "electrons double, large_misses long")
+    out = generate.energies(generate.generate_density(a, box, ElementModel(), _WATER_HOW))
+    return out.select((F.round(2 * F.col("electrons"), 3) + F.lit(0.0)).alias("electrons"))
 
 
 @query()
@@ -622,7 +619,7 @@ def gram_inverse(spark: SparkSession, sf_dir: str) -> DataFrame:
 _DUP = r"""
 w AS (SELECT doc_id, string_split(trim(regexp_replace(text, '[ \t\n\x0B\f\r]+', ' ', 'g')), ' ') AS w FROM documents),
 s AS (SELECT DISTINCT doc_id, md5(array_to_string(w[i:i + 4], ' ')) AS h FROM w, LATERAL (SELECT unnest(range(1, greatest(len(w) - 4, 1) + 1)) AS i)),
-rare AS (SELECT h FROM s GROUP BY h HAVING count(*) BETWEEN 2 AND 50),
+rare AS (SELECT h FROM s GROUP BY h HAVING count(*) >= 2),
 dup AS (SELECT a.doc_id AS "row", b.doc_id AS col, count(*)::DOUBLE AS val FROM s a JOIN s b USING (h) JOIN rare USING (h) WHERE a.doc_id <> b.doc_id GROUP BY 1, 2)
 """
 
@@ -649,19 +646,17 @@ def dense_solve_supplier(spark: SparkSession, sf_dir: str) -> DataFrame:
     return miss.agg(F.lit(inv.count()).cast("long").alias("places"), r6(F.max(F.abs("val"))).alias("max_abs"))
 
 
-@query("""SELECT (SELECT count(*) FROM pages)::BIGINT AS edges, count(*)::BIGINT AS union_places FROM (
-WITH p AS (SELECT page_id, regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS host FROM pages), e AS (SELECT page_id AS a, min(page_id) OVER (PARTITION BY host) AS b FROM p)
-SELECT a, b FROM e UNION SELECT b, a FROM e)""")
+@query("""WITH p AS (SELECT page_id, regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS host FROM pages), e AS (SELECT page_id AS a, min(page_id) OVER (PARTITION BY host) AS b FROM p)
+SELECT a AS "row", b AS col, sum(v)::DOUBLE AS val FROM (SELECT a, b, 1 AS v FROM e UNION ALL SELECT b, a, 0 FROM e) GROUP BY 1, 2""")
 def nonsymmetric_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A matrix that is not symmetric is taken as the union of its pattern and the transpose's."""
-    m = cut(workloads.page_tree(spark, sf_dir))
-    return spark.createDataFrame([(m.count(), matrix.validate(m, "union").count())], "edges long, union_places long")
+    return matrix.validate(cut(workloads.page_tree(spark, sf_dir)), "union").select("row", "col", "val")
 
 
 @query()
 def locality_gram(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """How well the inverse keeps the pattern: one- against two-step submatrices of a hash sample of columns."""
-    return locality_report(cut(workloads.gram(spark, sf_dir)), MatFn.inverse("cholesky"), share=0.1)
+    """How well the inverse keeps the pattern: one- against two-step submatrices of every column."""
+    return locality_report(cut(workloads.gram(spark, sf_dir)), MatFn.inverse("cholesky"), share=1.0)
 
 
 # ---- noise and dynamics
@@ -722,17 +717,6 @@ def langevin_trace(spark: SparkSession, sf_dir: str) -> DataFrame:
     return s.select("atom_id", r6("x").alias("x"), r6("vx").alias("vx"))
 
 
-@query()
-def gamma_calibration(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Friction varied on the fly until noisy oscillators, one a user, have the temperature sought: the trace."""
-    users = table(spark, sf_dir, "events").select("user_id").distinct()
-    noise = lambda k, n: (F.pmod(F.xxhash64("atom_id", F.lit(k), F.lit(n)), F.lit(20001)) / 10000.0 - 1) * 4
-    s = users.select(F.col("user_id").alias("atom_id"), F.lit(1.0).alias("mass"), *[F.lit(1.0).alias(c) for c in "xyz"], *[F.lit(0.0).alias(f"v{c}") for c in "xyz"]).withColumns({f"f{c}": -F.col(c) for c in "xyz"})
-    force = lambda m, n: m.select("atom_id", *[(-F.col(c) + noise(i, n)).alias(f"f{c}") for i, c in enumerate("xyz")])
-    _, trace = dynamics.calibrate_gamma(s, force, target=1.0, dt=0.2, steps=12, tau=1.0, gamma=0.1)
-    return spark.createDataFrame(trace, "step int, temperature double, gamma double")
-
-
 # ---- windows over time, batch form of the streams
 
 
