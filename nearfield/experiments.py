@@ -317,14 +317,29 @@ def kmeans_clusters_water(spark: SparkSession, sf_dir: str) -> DataFrame:
 # ---- the paired method on the mixed lattice
 
 
+def _merged_het(spark: SparkSession, sf_dir: str) -> tuple:
+    """(atoms, box, groups, species present) of the mixed lattice with submatrices merged within cells by basis functions."""
+    a, box = workloads.mixed(spark, sf_dir)
+    gp, weights, _ = _het_lists(spark, sf_dir)
+    merged = combine.combine_subcells(gp, a.select(F.col("atom_id").alias("group_id"), F.col("cell_id").alias("cell")), weights)
+    present = tuple(sorted(r.species for r in a.select("species").distinct().collect()))  # a handful
+    return a, box, cut(combine.groups_of(merged)), present
+
+
+@query()
+def merged_energy_het(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Energy and electrons of the mixed lattice with merged submatrices, by the generalised eigenproblem of each."""
+    a, box, groups, present = _merged_het(spark, sf_dir)
+    out = cut(generate.generate_density(a, box, ElementModel(), Purification(mu=-0.275, solver="eigen"), present, groups))
+    m = metrics_of(out).agg(F.count(F.lit(1)).alias("submatrices"), F.max("n").alias("largest"))
+    return generate.energies(out).crossJoin(F.broadcast(m))  # one row each
+
+
 @query()
 def merged_density_het(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The headline run: mixed lattice, submatrices merged within cells, D and W by fixed steps in half precision with
     single-precision sums, against the same in double precision: work, energy, electrons and errors."""
-    a, box = workloads.mixed(spark, sf_dir)
-    gp, weights, _ = _het_lists(spark, sf_dir)
-    merged = cut(combine.combine_subcells(gp, a.select(F.col("atom_id").alias("group_id"), F.col("cell_id").alias("cell")), weights))
-    groups, present = cut(combine.groups_of(merged)), tuple(sorted(r.species for r in a.select("species").distinct().collect()))
+    a, box, groups, present = _merged_het(spark, sf_dir)
     atoms_n = a.count()
     exact = cut(generate.generate_density(a, box, ElementModel(), Purification(mu=-0.275, solver="eigen"), present, groups))
     narrow = cut(generate.generate_density(a, box, ElementModel(), Purification(mu=-0.275, k_inverse=10, k_sign=14, operand="half"), present, groups))

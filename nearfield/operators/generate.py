@@ -49,7 +49,7 @@ def supercells(a: DataFrame, box: Box, width: float, halo: float) -> DataFrame:
 
 
 #: Cost that a task takes at most of a supercell, in submatrices of an ordinary atom; costlier cells are split.
-TASK_COST = 400.0
+TASK_COST = 200.0
 
 
 def split_costly(rows: DataFrame, model: ElementModel, present, task_cost: float = TASK_COST) -> DataFrame:
@@ -86,6 +86,9 @@ def generate_density(a: DataFrame, box: Box, model: ElementModel, how: Purificat
         rows, halo = a.join(groups, F.col("atom_id") == F.col("member")), 2 * reach
     rows = supercells(rows.select("atom_id", "species", "x", "y", "z", "bf0", "group_id"), box, width or 2 * reach, halo)
     rows = split_costly(rows, model, present)
+    # tasks are of like work, not of like bytes, so their number is not left to adaptive execution
+    cells = math.prod(max(1, int(e // (width or 2 * reach))) for e in box.edges)
+    rows = rows.repartition(int(max(4 * a.sparkSession.sparkContext.defaultParallelism, min(2 * cells, 100_000))), "cell", "turn")
     edges = np.array(box.edges)
     nbf_of = {s: v["nbf"] for s, v in model.species.items()}
     dtype = np.dtype(element_dtype)

@@ -97,11 +97,12 @@ def stacks_of(lists: list[np.ndarray], together: bool) -> Iterator[np.ndarray]:
 Kernel = Callable[[list[np.ndarray]], tuple[list[np.ndarray], dict]]
 
 
-def run_groups(groups: DataFrame, entries: DataFrame, values: list[str], results: list[str], kernel: Kernel, result_pattern: str, strategy: str = "halo", together: bool = False) -> DataFrame:
+def run_groups(groups: DataFrame, entries: DataFrame, values: list[str], results: list[str], kernel: Kernel, result_pattern: str, strategy: str = "halo", together: bool = False, parts: int | None = None) -> DataFrame:
     """The dense stage: (group_id, row, col, results..., metrics...), where a group's metrics are a row without place.
 
     ``groups``: group_id, idx, own, n, part_id. ``kernel(dense)`` gets one stack of dense matrices (a single matrix,
     unless ``together``) for each of the value columns and returns as many as ``results`` and a dict of metrics.
+    ``parts``: that many tasks, which adaptive execution does not join by their bytes: parts are dealt by work.
     ``together``: submatrices of equal size go to the kernel in stacks. ``result_pattern``: "input" keeps owned
     entries where the matrix stores one, "merged" all rows of the owned columns.
     """
@@ -142,6 +143,8 @@ def run_groups(groups: DataFrame, entries: DataFrame, values: list[str], results
 
     schema = "group_id long, row long, col long, " + "".join(f"{r} double, " for r in results) + METRICS
     left = groups.select("part_id", "group_id", "idx", "own")
+    if parts is not None:
+        left, e = left.repartition(parts, "part_id"), e.repartition(parts, "part")
     return left.groupBy("part_id").cogroup(e.groupBy("part")).applyInArrow(work, schema)
 
 
@@ -190,9 +193,10 @@ def submatrix_apply(
     """
     p = places(m, drop_tol)
     gp = cut(group_pattern(p, groups if groups is not None else single_groups(p)))
-    gp = balance(gp, parts or parts_for(gp))
+    parts = parts or parts_for(gp)
+    gp = balance(gp, parts)
     e = p.join(m.select("row", "col", "val"), ["row", "col"], "left").select("row", "col", F.coalesce("val", F.lit(0.0)).alias("val"))
-    out = run_groups(gp, e, ["val"], ["val"], lambda dense: ([fn(dense[0])], {}), result_pattern, strategy, fn.stacks)
+    out = run_groups(gp, e, ["val"], ["val"], lambda dense: ([fn(dense[0])], {}), result_pattern, strategy, fn.stacks, parts)
     return out if with_metrics else entries_of(out, "val")
 
 
@@ -207,8 +211,8 @@ def locality_report(m: DataFrame, fn: MatFn, share: float = 0.05, seed: int = 1)
     found = []
     for lists in (near, far):
         gp = cut(group_pattern(lists, single_groups(near)))
-        gp = balance(gp, parts_for(gp))
-        out = run_groups(gp, m.select("row", "col", "val"), ["val"], ["val"], lambda dense: ([fn(dense[0])], {}), "input", together=fn.stacks)
+        parts = parts_for(gp)
+        out = run_groups(balance(gp, parts), m.select("row", "col", "val"), ["val"], ["val"], lambda dense: ([fn(dense[0])], {}), "input", together=fn.stacks, parts=parts)
         found.append(entries_of(out, "val"))
     both = found[0].join(found[1].withColumnRenamed("val", "val2"), ["row", "col"])
     return both.groupBy("col").agg(F.max(F.abs(F.col("val") - F.col("val2"))).alias("leak"))
@@ -239,13 +243,14 @@ def paired_purify(
     gp = cut(group_pattern(p, groups if groups is not None else single_groups(p)))
     if max_n is not None:
         explain(gp, most_n=max_n)
-    gp = balance(gp, parts or parts_for(gp))
+    parts = parts or parts_for(gp)
+    gp = balance(gp, parts)
 
     def kernel(dense):
         d, w, done = purify(dense[0], dense[1], how, with_w)
         return [d, w if w is not None else np.zeros_like(d)], done
 
-    return run_groups(gp, pair, ["h", "s"], ["d", "w"], kernel, result_pattern, strategy, how.stacks)
+    return run_groups(gp, pair, ["h", "s"], ["d", "w"], kernel, result_pattern, strategy, how.stacks, parts)
 
 
 def level_weights(pair: DataFrame, groups: DataFrame, parts: int | None = None) -> DataFrame:
@@ -255,7 +260,8 @@ def level_weights(pair: DataFrame, groups: DataFrame, parts: int | None = None)
     """
     p = places(pair.select("row", "col", (F.abs("h") + F.abs("s")).alias("val")))
     gp = cut(group_pattern(p, groups))
-    gp = balance(gp, parts or parts_for(gp))
+    parts = parts or parts_for(gp)
+    gp = balance(gp, parts)
     lists = gp.select("part_id", F.explode("idx").alias("c")).distinct()
     e = lists.join(pair, F.col("c") == F.col("col")).select(F.col("part_id").alias("part"), F.col("row").alias("e_row"), F.col("col").alias("e_col"), F.col("h").alias("e_h"), F.col("s").alias("e_s"))
 
@@ -270,4 +276,5 @@ def level_weights(pair: DataFrame, groups: DataFrame, parts: int | None = None)
             weight += w_.tolist()
         return pa.table({"group_id": pa.array(g, pa.int64()), "level": pa.array(level, pa.float64()), "weight": pa.array(weight, pa.float64())})
 
-    return gp.select("part_id", "group_id", "idx", "own").groupBy("part_id").cogroup(e.groupBy("part")).applyInArrow(meet, "group_id long, level double, weight double")
+    left = gp.select("part_id", "group_id", "idx", "own").repartition(parts, "part_id")
+    return left.groupBy("part_id").cogroup(e.repartition(parts, "part").groupBy("part")).applyInArrow(meet, "group_id long, level double, weight double")

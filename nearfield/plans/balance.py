@@ -75,6 +75,6 @@ PART_LISTED, PART_VALUES = 500_000, 40_000_000
 def parts_for(gp: DataFrame, least: int | None = None, flops_a_part: float = 2e11, gemms: int = 40) -> int:
     """Number of parts: enough for the cluster's tasks, and more where the work, the lists or the values are large."""
     spark = gp.sparkSession
-    least = least or max(2, spark.sparkContext.defaultParallelism)
+    least = least or max(2, 3 * spark.sparkContext.defaultParallelism)
     e = explain(gp, gemms)
     return int(max(least, min(2_000_000, max(e.flops // flops_a_part, e.listed // PART_LISTED, e.sum_n2 // PART_VALUES))))

@@ -333,7 +333,7 @@ def grid_pair_density(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     gp = balance(patterns.group_pattern(wide, groups), 16)
     how = Purification(mu=6.0, solver="eigen")
-    out = run_groups(gp, pair, ["h", "s"], ["d"], lambda m: ([purify(m[0], m[1], how, False)[0]], {}), "input", together=how.stacks)
+    out = run_groups(gp, pair, ["h", "s"], ["d"], lambda m: ([purify(m[0], m[1], how, False)[0]], {}), "input", together=how.stacks, parts=16)
     e = entries_of(out, "d")
     same = F.avg(F.when(F.col("row") == F.col("col"), F.col("val")))
     return e.agg(F.round(same, 2).alias("on_site"), F.round(F.avg(F.when(F.col("row") != F.col("col"), F.col("val"))), 2).alias("beside"), F.lit(n).cast("long").alias("sites"))
