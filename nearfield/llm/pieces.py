@@ -19,7 +19,7 @@ from .shared import plain
 
 MARK = "▁".encode()
 #: Bytes of stretches and ids that a worker remembers, and of the longest stretch it remembers.
-MEMO_BYTES, LONG = 160 << 20, 64
+MEMO_BYTES, LONG = 96 << 20, 64
 #: What a remembered entry takes beside its bytes, about.
 _ENTRY = 160
 #: Texts, and bytes of texts, that are solved at a time.

@@ -69,13 +69,18 @@ def op10_jaccard_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_groups.jaccard_components(table(spark, sf_dir, "documents"), words=3, percent=90).select("doc_id", "n_shingles", "component_id", "n_links")
 
 
+def near_pairs_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Beside op7: near-duplicate pairs of its signatures' bands, joined in Spark and verified by exact Jaccard."""
+    return fingerprints.near_pairs(table(spark, sf_dir, "documents")).select("a", "b", F.round("jaccard", 6).alias("jaccard"))
+
+
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     import corpus_pipeline
 
     return corpus_pipeline.run(spark, sf_dir)
 
 
-QUERIES = {f.__name__: f for f in (op1_toxicity_chain, op2_elias_fano_tokens, op3_sainte_lague_mix, op4_block_nearest, op5_line_dedup, op6_unigram_pieces, op7_minhash_fingerprints, op8_language_centroids, op9_warc_transactions, op10_jaccard_groups, pipeline)}
+QUERIES = {f.__name__: f for f in (op1_toxicity_chain, op2_elias_fano_tokens, op3_sainte_lague_mix, op4_block_nearest, op5_line_dedup, op6_unigram_pieces, op7_minhash_fingerprints, op8_language_centroids, op9_warc_transactions, op10_jaccard_groups, pipeline, near_pairs_minhash)}
 
 _MIX = r"""
 WITH sized AS (
@@ -191,4 +196,19 @@ SELECT node AS doc_id, coalesce(n, 0)::BIGINT AS n_shingles, min(r) AS component
 FROM reach LEFT JOIN sizes ON node = sizes.doc_id GROUP BY 1, 2
 """
 
-ORACLES = {"op3_sainte_lague_mix": _MIX, "op4_block_nearest": _NEAREST, "op5_line_dedup": _LINES, "op9_warc_transactions": _WARC, "op10_jaccard_groups": _JACCARD}
+_NEAR = r"""
+WITH words AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w
+  FROM documents),
+shingles AS (
+  SELECT DISTINCT doc_id, CASE WHEN len(w) < 5 THEN array_to_string(w, ' ') ELSE array_to_string(w[i:i + 4], ' ') END AS s
+  FROM words, LATERAL (SELECT unnest(range(1, greatest(len(w) - 4, 1) + 1)) AS i) WHERE len(w) > 0),
+sets AS (SELECT doc_id, count(*)::BIGINT AS n, md5(string_agg(s, chr(10) ORDER BY s)) AS k FROM shingles GROUP BY doc_id),
+reps AS (SELECT min(doc_id) AS doc_id, any_value(n) AS n FROM sets GROUP BY k),
+own AS (SELECT doc_id, s FROM shingles SEMI JOIN reps USING (doc_id)),
+common AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS m FROM own x JOIN own y ON x.s = y.s AND x.doc_id < y.doc_id GROUP BY 1, 2)
+SELECT a, b, round(m::DOUBLE / (x.n + y.n - m), 6) AS jaccard
+FROM common JOIN reps x ON a = x.doc_id JOIN reps y ON b = y.doc_id WHERE m::DOUBLE / (x.n + y.n - m) >= 0.8
+"""
+
+ORACLES = {"near_pairs_minhash": _NEAR, "op3_sainte_lague_mix": _MIX, "op4_block_nearest": _NEAREST, "op5_line_dedup": _LINES, "op9_warc_transactions": _WARC, "op10_jaccard_groups": _JACCARD}

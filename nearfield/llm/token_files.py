@@ -30,7 +30,7 @@ _HEAD = struct.Struct("<8sIIQQQq")
 #: Ids in a file, but for one larger document.
 FILE_IDS = 1 << 23
 #: Bytes of words and ids that a worker remembers before it starts anew, and of the longest word it remembers.
-MEMO_BYTES, LONG_WORD = 192 << 20, 64
+MEMO_BYTES, LONG_WORD = 144 << 20, 64
 #: Bytes of texts that are taken apart at a time.
 STEP = 1 << 20
 

@@ -92,6 +92,7 @@ def fit_linear(rows: WordRows, use: np.ndarray, extra: np.ndarray, y: np.ndarray
     some, firsts = np.unique(at, return_index=True)
     order = np.argsort(col, kind="stable")
     down, starts = at[order], np.searchsorted(col[order], np.arange(size))  # every kept feature has an entry
+    del at, order
 
     def scores(w: np.ndarray) -> np.ndarray:
         out = np.zeros(total)
@@ -201,9 +202,7 @@ def learn(docs: DataFrame, labels: DataFrame, categories: dict[str, tuple[str, i
     got.sort()
     y = np.array([r[2:] for r in got], np.int8).reshape(len(got), width)
     fold = np.array([(r[0] >> 24) % FOLDS for r in got])
-    x = [np.frombuffer(r[1], np.int32) for r in got]
-    del got
-    return fit_chain(x, y, names, fold)
+    return fit_chain([np.frombuffer(r[1], np.int32) for r in got], y, names, fold)
 
 
 def predict(docs: DataFrame, chain: Chain, batch: int = 512) -> DataFrame:
