@@ -415,7 +415,7 @@ def jaccard(a, b):
     return len(a & b) / len(a | b) if a | b else 0.0
 
 
-@pytest.mark.parametrize("rows_a_range", [50, 4096])
+@pytest.mark.parametrize("rows_a_range", [2, 50, 4096])
 def test_edited_texts_meet_the_next_document(spark, monkeypatch, rows_a_range):
     monkeypatch.setattr(fingerprints, "RANGE_ROWS", rows_a_range)
     docs = spark.read.parquet(f"{SMALL}/documents.parquet")
