@@ -2,6 +2,10 @@
 
 Each stage takes (spark, docs, sf_dir) and returns the documents it keeps, with the columns of ``documents``; the
 last returns the encoded documents. ``run`` applies them all, each stage's result written and read again.
+
+Every stage takes nulls in any column, empty texts, repeated rows and an empty table: a null text is an empty one; rows
+without doc_id pass the Jaccard join, and lose a shared line as one document; a null source is a source of its own.
+Documents without words are never mixed in.
 """
 
 from __future__ import annotations
@@ -11,7 +15,7 @@ from pyspark.sql import functions as F
 
 from nearfield.llm import jaccard_groups, line_dedup, mixing, pieces, toxicity
 from nearfield.llm.queries import CATEGORIES, tokenizer_path
-from nearfield.llm.shared import shared_folder
+from nearfield.llm.shared import cut, remove_folder, shared_folder
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
@@ -53,13 +57,15 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over the documents of ``sf_dir``, through Parquet in the shared folder."""
+    """All stages over the documents of ``sf_dir``, through Parquet in the shared folder, which is emptied on the way."""
     folder = shared_folder(spark, "pipeline")
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for number, (_, stage) in enumerate(STAGES):
+    for number, (_, stage) in enumerate(STAGES[:-1]):
         out = stage(spark, docs, sf_dir)
-        if number == len(STAGES) - 1:
-            return out
         out.write.parquet(f"{folder}/{number}")
         docs = spark.read.schema(out.schema).parquet(f"{folder}/{number}")
-    return docs
+        if number:
+            remove_folder(spark, f"{folder}/{number - 1}")
+    last = cut(STAGES[-1][1](spark, docs, sf_dir))
+    remove_folder(spark, folder)
+    return last
