@@ -759,10 +759,23 @@ def stored_matrix_blk(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(f"WITH {_COPART} SELECT col, \"row\", val FROM (SELECT *, row_number() OVER (PARTITION BY col ORDER BY val DESC, \"row\") AS k FROM copart) WHERE k <= 3")
 def lateral_top_copart(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The three largest entries of each column."""
+    """The three largest entries of each column, as a lateral join."""
+    import uuid
+
+    from .sql import lateral_top
+
+    view = f"copart_{uuid.uuid4().hex}"
+    cut(workloads.copart(spark, sf_dir)).createOrReplaceTempView(view)
+    return lateral_top(spark, view, 3)
+
+
+@query(f"WITH {_COPART} SELECT \"row\", count(*)::BIGINT AS n, max(val) AS most FROM (SELECT *, row_number() OVER (PARTITION BY \"row\" ORDER BY val DESC, col) AS k FROM copart) WHERE k <= 5 GROUP BY 1")
+def top_per_row_copart(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The five largest entries of each row, by a window: how many, and the largest."""
     from .sql import top_per_group
 
-    return top_per_group(cut(workloads.copart(spark, sf_dir)), "col", "val", 3).select("col", "row", "val")
+    top = top_per_group(workloads.copart(spark, sf_dir), "row", "val", 5)
+    return top.groupBy("row").agg(F.count(F.lit(1)).alias("n"), F.max("val").alias("most"))
 
 
 @query(f"""WITH {_COSUPPLIER} SELECT a."row", b.col, sum(a.val * b.val)::DOUBLE AS val FROM s a JOIN s b ON a.col = b."row" GROUP BY 1, 2""")
@@ -806,3 +819,22 @@ def stream_thermostat(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = thermo.run_to_memory(thermo.thermostat(thermo.readings(spark, sf_dir), 1.0), name, "update")
     last = F.row_number().over(W.partitionBy("user_id").orderBy(F.desc("n")))
     return out.withColumn("_k", last).where("_k = 1").select("user_id", "n", F.round("temperature", 5).alias("temperature"))
+
+
+@query("SELECT a.event_id AS e1, b.event_id AS e2 FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR AND a.event_id <> b.event_id")
+def stream_paired_readings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Two streams joined: readings of one user at most an hour apart."""
+    import uuid
+
+    a, b = thermo.readings(spark, sf_dir), thermo.readings(spark, sf_dir)
+    return thermo.run_to_memory(thermo.paired_readings(a, b), f"paired_{uuid.uuid4().hex}").select("e1", "e2")
+
+
+@query("SELECT user_id, count(*)::BIGINT AS n, round(sum((1 + user_id % 4) * value * value), 4) AS energy FROM events GROUP BY 1")
+def stream_masses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A stream beside a table of masses: sums of mass times squared reading."""
+    import uuid
+
+    masses = table(spark, sf_dir, "events").select("user_id").distinct().select("user_id", (1 + F.col("user_id") % 4).cast("double").alias("mass"))
+    out = thermo.with_masses(thermo.readings(spark, sf_dir), masses).groupBy("user_id").agg(F.count(F.lit(1)).alias("n"), F.sum(F.col("mass") * F.col("value") * F.col("value")).alias("energy"))
+    return thermo.run_to_memory(out, f"masses_{uuid.uuid4().hex}", "complete").select("user_id", "n", F.round("energy", 4).alias("energy"))
