@@ -134,3 +134,35 @@ def test_sql_surface(spark):
     best = sql.top_per_group(m, "col", "val", 1)
     assert sorted((r.col, r.val) for r in best.collect()) == [(0, 4.0), (1, 2.0)]
     assert sql.lateral_top(spark, "m", 1).count() == 2
+
+
+def test_bucketed_tables_join_without_a_shuffle(spark):
+    from nearfield.sources.tables import write_bucketed
+
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        for name in ("left_rows", "right_rows"):
+            write_bucketed(spark.range(1000).selectExpr("id AS k", f"id * 2 AS {name}_v"), name, "k", 4)
+        both = spark.table("left_rows").join(spark.table("right_rows"), "k")
+        plan = both._jdf.queryExecution().executedPlan().toString()
+        assert "Exchange hashpartitioning" not in plan and both.count() == 1000
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+        for name in ("left_rows", "right_rows"):
+            spark.sql(f"DROP TABLE IF EXISTS {name}")
+
+
+def test_a_loop_s_rows_lose_their_estimate(spark):
+    from nearfield.sources.tables import passing_folder, remove_folder, settle
+
+    df = spark.range(50).selectExpr("id AS a", "id % 3 AS b")
+    for _ in range(12):  # a checkpoint's estimate would be squared each time
+        df = settle(df.join(df.withColumnRenamed("b", "c"), "a").select("a", "b"))
+    assert df.count() == 50 and df.schema.names == ["a", "b"]
+    folder = passing_folder(spark, "t")
+    df.write.parquet(folder)
+    remove_folder(spark, folder)
+    import os
+
+    assert not os.path.exists(folder.removeprefix("file:").replace("///", "/"))
