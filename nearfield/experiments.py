@@ -20,7 +20,7 @@ from .functions.kernels import MatFn, Purification, StopRule
 from .operators import baselines, combine, dynamics, generate, matrix, observables, patterns, potential, workloads
 from .operators.lattice import matrix_from_atoms, neighbours, neutralise
 from .operators.submatrix import entries_of, locality_report, metrics_of, paired_purify, submatrix_apply
-from .queries import _CHAIN, _CLIQUES, _COPART, _HET, _LATTICE, _LISTS, _NOISE, _near_sql, _on_cliques, _water_lists, query, r6
+from .queries import _CHAIN, _CLIQUES, _COPART, _HET, _LATTICE, _LISTS, _NOISE, _near_sql, _on_cliques, _sines, _water_lists, query, r6
 from .sources.tables import cut, passing_folder, read, remove_folder, settle, table, write_matrix
 from .streaming import thermo
 
@@ -193,6 +193,21 @@ def chemical_potential_rerun_blk(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(round(found["electrons"], 6), abs(round(found["residual"], 6)), -0.4 < found["mu"] < 1 / 3)], "electrons double, residual double, in_gap boolean")
 
 
+@query(_sines("1 / (1 + 0.6 * x)", "abs(i - j) <= 1"))
+def global_inverse_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Inverse of I + 0.3 (neighbours) on chains of orders by global sparse products: what the next query does locally."""
+    s = cut(workloads.chain_matrix(workloads.order_chain(spark, sf_dir), "o_orderkey", 1.0, 0.3))
+    return matrix.mask(baselines.global_inverse(s, steps=8), s).select("row", "col", r6("val").alias("val"))
+
+
+@query(_sines("1 / (1 + 0.6 * x)", "abs(i - j) <= 1"))
+def local_inverse_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same by the submatrix method, a chain a group."""
+    chain = workloads.order_chain(spark, sf_dir)
+    out = submatrix_apply(workloads.chain_matrix(chain, "o_orderkey", 1.0, 0.3), MatFn.inverse("cholesky"), workloads.chain_groups(chain, "o_orderkey"))
+    return out.select("row", "col", r6("val").alias("val"))
+
+
 # ---- merging to its end
 
 _WEIGHT = "(1 + c_custkey % 3)"
