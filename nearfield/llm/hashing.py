@@ -24,10 +24,10 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 
 #: Bytes that are hashed at a time, and how far before that a place to cut is sought.
-PIECE, BACK = 1 << 20, 1 << 16
+PIECE, BACK = 1 << 18, 1 << 14
 
 
-@lru_cache(maxsize=8)
+@lru_cache(maxsize=1)
 def _powers(size: int) -> tuple[np.ndarray, np.ndarray]:
     out = []
     for base in (_BASE, _INVERSE):
@@ -66,7 +66,7 @@ def word_hashes(data: bytes, prefixes: tuple[int, ...] = ()) -> np.ndarray:
         inside[1:-1] = ~_SPACE[piece]
         turns = np.flatnonzero(np.diff(inside))
         starts, ends = turns[::2], turns[1::2]
-        power, inverse = _powers(1 << max(12, int(piece.size).bit_length()))
+        power, inverse = _powers(PIECE + 1)
         total = np.zeros(piece.size + 1, _U)
         np.cumsum((piece.astype(_U) + _U(1)) * power[: piece.size], out=total[1:])
         sums, lengths = (total[ends] - total[starts]) * inverse[starts], (ends - starts).astype(_U)

@@ -26,8 +26,8 @@ _ENTRY = 160
 TEXTS, STEP = 256, 1 << 20
 #: What a character without a piece scores below the worst piece.
 UNKNOWN_PENALTY = 10.0
-#: Stretches of at most so many bytes are laid out in arrays and solved together.
-SHORT = 48
+#: Stretches of at most so many bytes are laid out in arrays and solved together, so many at a time.
+SHORT, TOGETHER = 48, 16_384
 
 
 class DoubleArray:
@@ -200,8 +200,11 @@ class PieceModel:
         return out
 
     def solve(self, stretches: list[bytes]) -> list[list[int]]:
-        short = [s for s in stretches if len(s) <= SHORT]
-        found = dict(zip(short, self._many(short), strict=True)) if short else {}
+        short = sorted((s for s in stretches if len(s) <= SHORT), key=len)  # like lengths together
+        found: dict[bytes, list[int]] = {}
+        for at in range(0, len(short), TOGETHER):
+            some = short[at : at + TOGETHER]
+            found.update(zip(some, self._many(some), strict=True))
         return [found[s] if len(s) <= SHORT else self._one(s) for s in stretches]
 
     def encode_packed(self, texts: list[bytes]) -> Iterator[bytes]:
