@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .hashing import MinHasher, shingle_set
-from .shared import LEAST_LONG, cut, plain
+from .shared import LEAST_LONG, cut, plain, tidy
 
 WORDS, SIZE = 5, 128
 #: Documents about that share a range of doc_ids when each finds the next one, and the most ranges.
@@ -45,7 +45,7 @@ def add_fingerprints(docs: DataFrame, words: int = WORDS, size: int = SIZE) -> D
             found = [to_hex(fingerprint(t, words, size)) for t in b.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(found, pa.string())], ["doc_id", "fingerprint"])
 
-    return docs.select("doc_id", plain("text").alias("text")).mapInArrow(run, "doc_id long, fingerprint string")
+    return docs.select("doc_id", plain("text").alias("text")).mapInArrow(tidy(run), "doc_id long, fingerprint string")
 
 
 def with_next(docs: DataFrame) -> DataFrame:
@@ -128,7 +128,7 @@ def edited_fingerprints(docs: DataFrame, words: int = WORDS, size: int = SIZE) -
     rows = with_next(docs).repartition("range")
     rows = rows.sortWithinPartitions("range", "place", F.desc("key"), F.desc(F.xxhash64("text")), "text")
     return rows.select("range", "place", "doc_id", "text").mapInArrow(
-        run, "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
+        tidy(run), "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
     )
 
 
@@ -213,7 +213,7 @@ def set_table(docs: DataFrame, words: int, rows: int, bands: int) -> DataFrame:
             h = np.frombuffer(b"".join(h), np.int64).reshape(-1, 2)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(h[:, 0]), pa.array(h[:, 1]), pa.ListArray.from_arrays(ends, flat)], ["doc_id", "n_shingles", "s1", "s2", "bands"])
 
-    return docs.select("doc_id", plain("text").alias("text")).mapInArrow(run, "doc_id long, n_shingles long, s1 long, s2 long, bands array<long>")
+    return docs.select("doc_id", plain("text").alias("text")).mapInArrow(tidy(run), "doc_id long, n_shingles long, s1 long, s2 long, bands array<long>")
 
 
 __all__ = ["add_fingerprints", "edited_fingerprints", "fingerprint", "likeness", "near_classes", "near_pairs", "set_table", "with_next"]

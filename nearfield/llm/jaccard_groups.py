@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from .components import connected_components
 from .fingerprints import equal_sets, set_table
 from .hashing import shingle_set
-from .shared import cut, plain
+from .shared import cut, plain, tidy
 
 #: Documents in a group of the matrix.
 GROUP = 32
@@ -215,7 +215,7 @@ def by_task(work: DataFrame, search: Callable[[list[tuple]], Iterator[pa.RecordB
                 rows.append((side, d, text, x != y, *more))
         yield from search(rows)
 
-    return work.repartition("part", "x", "y").sortWithinPartitions("part", "x", "y").mapInArrow(run, schema)
+    return work.repartition("part", "x", "y").sortWithinPartitions("part", "x", "y").mapInArrow(tidy(run), schema)
 
 
 def jaccard_components(docs: DataFrame, words: int, percent: int, block: int = BLOCK, links: bool = True) -> DataFrame:

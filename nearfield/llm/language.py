@@ -12,6 +12,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .shared import tidy
+
 #: Hashed n-gram features, n from 1 to 3.
 FEATURES = 1 << 13
 #: Rows the classifier is fitted on at most, shared evenly by the languages; centroids a language.
@@ -163,7 +165,7 @@ def learn(docs: DataFrame, usable: Column, sample: int = SAMPLE, centroids: int
                     n.append(np.minimum(found[own], 2**32 - 1).astype("<u4").tobytes() if len(own) else b"")
                 yield pa.RecordBatch.from_arrays([b.column(0)[lo : lo + 64], b.column(2)[lo : lo + 64], pa.array(at, pa.binary()), pa.array(n, pa.binary())], ["lang", "o", "at", "n"])
 
-    found = drawn.mapInArrow(count, "lang string, o long, at binary, n binary").orderBy("o", "lang", "at", "n").limit(2 * sample)
+    found = drawn.mapInArrow(tidy(count), "lang string, o long, at binary, n binary").orderBy("o", "lang", "at", "n").limit(2 * sample)
     return fit([(r.lang, np.frombuffer(r.at, "<u2"), np.frombuffer(r.n, "<u4")) for r in found.toLocalIterator()], centroids)
 
 
@@ -191,4 +193,4 @@ def identify(docs: DataFrame, model: CentroidModel, batch: int = 256) -> DataFra
                     score[[at + i for i in has]], rejected[[at + i for i in has]] = s, r
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(lang), pa.array(score, pa.float64()), pa.array(rejected)], ["doc_id", "lang_pred", "score", "rejected"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, lang_pred string, score double, rejected boolean")
+    return docs.select("doc_id", "text").mapInArrow(tidy(run), "doc_id long, lang_pred string, score double, rejected boolean")

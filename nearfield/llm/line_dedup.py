@@ -10,7 +10,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import ASCII_SPACE, LEAST_LONG, cut
+from .shared import ASCII_SPACE, LEAST_LONG, cut, tidy
 
 _WS = ASCII_SPACE.encode()
 
@@ -42,7 +42,7 @@ def line_digests(docs: DataFrame, least: int) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(ids) if ids else [], pa.int64()), pa.array(h[:, 0]), pa.array(h[:, 1])], ["doc", "h1", "h2"])
 
     rows = docs.select(F.coalesce("doc_id", F.lit(LEAST_LONG)).alias("doc_id"), "text").where(F.length("text") >= least)
-    return rows.mapInArrow(found, "doc long, h1 long, h2 long")
+    return rows.mapInArrow(tidy(found), "doc long, h1 long, h2 long")
 
 
 def dedup_lines(docs: DataFrame, least: int = 20, documents: int = 3) -> DataFrame:
@@ -93,4 +93,4 @@ def dedup_lines(docs: DataFrame, least: int = 20, documents: int = 3) -> DataFra
             columns += [pa.array(n_lines, pa.int64()), pa.array(n_dropped, pa.int64())]
             yield pa.RecordBatch.from_arrays(columns, [*kept, "n_lines", "n_dropped"])
 
-    return rows.mapInArrow(drop, schema.add("n_lines", "long").add("n_dropped", "long"))
+    return rows.mapInArrow(tidy(drop), schema.add("n_lines", "long").add("n_dropped", "long"))

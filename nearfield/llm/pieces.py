@@ -15,11 +15,11 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .shared import plain
+from .shared import plain, tidy
 
 MARK = "▁".encode()
 #: Bytes of stretches and ids that a worker remembers, and of the longest stretch it remembers.
-MEMO_BYTES, LONG = 96 << 20, 64
+MEMO_BYTES, LONG = 48 << 20, 64
 #: What a remembered entry takes beside its bytes, about.
 _ENTRY = 160
 #: Texts, and bytes of texts, that are solved at a time.
@@ -279,7 +279,7 @@ def encode_pieces(docs: DataFrame, path: str, scores: str = "rank", with_ids: bo
             yield pa.RecordBatch.from_pydict(columns)
 
     ids = "ids binary, " if with_ids else ""
-    return docs.select("doc_id", plain("text").alias("text")).mapInArrow(run, f"doc_id long, {ids}n_ids long, n_byte_ids long, ids_crc32 long, round_trip boolean")
+    return docs.select("doc_id", plain("text").alias("text")).mapInArrow(tidy(run), f"doc_id long, {ids}n_ids long, n_byte_ids long, ids_crc32 long, round_trip boolean")
 
 
 def decode_pieces(encoded: DataFrame, path: str) -> DataFrame:
@@ -291,4 +291,4 @@ def decode_pieces(encoded: DataFrame, path: str) -> DataFrame:
             texts = [None if p is None else m.decode(np.frombuffer(p, m.kind).tolist()).decode("utf-8", "replace") for p in b.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(texts, pa.string())], ["doc_id", "text"])
 
-    return encoded.select("doc_id", "ids").mapInArrow(run, "doc_id long, text string")
+    return encoded.select("doc_id", "ids").mapInArrow(tidy(run), "doc_id long, text string")

@@ -23,7 +23,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .elias_fano import EliasFano
-from .shared import cut, plain, remove_folder, shared_folder
+from .shared import cut, plain, remove_folder, shared_folder, tidy
 
 MAGIC = b"NFTOKEF1"
 _HEAD = struct.Struct("<8sIIQQQq")
@@ -245,7 +245,7 @@ def write_token_files(docs: DataFrame, tokenizer: str, folder: str, end_id: int
 
     rows = docs.select("doc_id", plain("text").alias("text"))
     ordered = rows.repartitionByRange("doc_id").sortWithinPartitions("doc_id", F.xxhash64("text"), "text")
-    return cut(ordered.mapInArrow(write, "file string, n_docs long, n_ids long"))
+    return cut(ordered.mapInArrow(tidy(write), "file string, n_docs long, n_ids long"))
 
 
 def read_token_files(spark, folder: str, files: DataFrame) -> DataFrame:
@@ -271,7 +271,7 @@ def read_token_files(spark, folder: str, files: DataFrame) -> DataFrame:
                 )
 
     content = spark.read.format("binaryFile").option("pathGlobFilter", "*.tef").load(folder).select("path", "content")
-    found = content.mapInArrow(read, "file string, doc_id long, place long, n_tokens long, ids_crc32 long")
+    found = content.mapInArrow(tidy(read), "file string, doc_id long, place long, n_tokens long, ids_crc32 long")
     before = F.coalesce(F.sum("n_ids").over(W.orderBy("file").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
     starts = files.select("file", before.alias("before"))
     return found.join(starts, "file").select("doc_id", (F.col("before") + F.col("place")).alias("start"), "n_tokens", "ids_crc32")

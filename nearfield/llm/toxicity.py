@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
 from .hashing import word_hashes
-from .shared import plain
+from .shared import plain, tidy
 
 #: Hashed word features; labelled rows the chain is fitted on at most; folds; rows a feature needs in the sample.
 FEATURES, SAMPLE, FOLDS, LEAST_ROWS = 1 << 18, 12_000, 4, 3
@@ -197,7 +197,7 @@ def learn(docs: DataFrame, labels: DataFrame, categories: dict[str, tuple[str, i
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(found, pa.binary()), *(b.column(2 + i) for i in range(width))], ["spot", "f", *(f"_y{i}" for i in range(width))])
 
     ys = [f"_y{i}" for i in range(width)]
-    found = rows.select(spot.alias("spot"), "text", *ys).mapInArrow(run, "spot long, f binary, " + ", ".join(f"{y} int" for y in ys))
+    found = rows.select(spot.alias("spot"), "text", *ys).mapInArrow(tidy(run), "spot long, f binary, " + ", ".join(f"{y} int" for y in ys))
     got = [(r.spot, bytes(r.f), *r[2:]) for r in found.toLocalIterator()]
     got.sort()
     y = np.array([r[2:] for r in got], np.int8).reshape(len(got), width)
@@ -227,4 +227,4 @@ def predict(docs: DataFrame, chain: Chain, batch: int = 512) -> DataFrame:
 
     for name in new:
         schema = schema.add(name, "double" if name.startswith("p_") else "boolean")
-    return rows.mapInArrow(run, schema)
+    return rows.mapInArrow(tidy(run), schema)

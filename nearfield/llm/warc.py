@@ -14,7 +14,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .shared import cut, plain, remove_folder, shared_folder
+from .shared import cut, plain, remove_folder, shared_folder, tidy
 from .token_files import put
 
 #: Compressed bytes of an archive, about; one larger capture makes a larger one.
@@ -101,7 +101,7 @@ def write_archives(pages: DataFrame, folder: str, least: int = 1000) -> DataFram
             flush()
         yield pa.RecordBatch.from_pydict({"file": pa.array([f for f, _ in files], pa.string()), "captures": pa.array([n for _, n in files], pa.int64())})
 
-    return cut(rows.select("page_id", "url", "html", revisits.alias("refers")).mapInArrow(write, "file string, captures long"))
+    return cut(rows.select("page_id", "url", "html", revisits.alias("refers")).mapInArrow(tidy(write), "file string, captures long"))
 
 
 def payload_of(column: str):
@@ -173,7 +173,7 @@ def read_records(spark: SparkSession, folder: str, files: DataFrame | None = Non
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names)
 
     content = spark.read.format("binaryFile").option("pathGlobFilter", "*.warc.gz").load(folder).select("path", "content")
-    found = content.mapInArrow(read, _RECORD)
+    found = content.mapInArrow(tidy(read), _RECORD)
     return found if files is None else found.join(files.select("file"), "file", "left_semi").select(*found.columns)
 
 
