@@ -85,16 +85,36 @@ def apply_merges(gp: DataFrame, pairs: DataFrame, weights: DataFrame | None = No
     return with_sizes(g, weights)
 
 
+def join_equal(gp: DataFrame, *keys: str) -> tuple[DataFrame, int]:
+    """((keys..., group_id, idx, own), merges): groups of equal lists as one of the smallest id, within equal ``keys``.
+
+    Such a merge adds no row and always pays. Lists are known by a hash of 128 bits, so that what is shuffled is a row for
+    each group and, from each task, one of each different list; where no list is there twice ``gp`` stays as it is. Groups
+    that own a row outside their list are no candidates of their likes, and stay too.
+    """
+    inside = F.when(F.size("own") == 1, F.array_contains("idx", F.get("own", F.lit(0)))).otherwise(F.size(F.array_except("own", "idx")) == 0)
+    alone = F.when(~inside, F.col("group_id"))
+    hashed = [F.coalesce(alone, F.xxhash64("idx")).alias("_a"), F.coalesce(alone, F.xxhash64(F.lit("second"), "idx")).alias("_b"), inside.alias("_in")]
+    key = [*keys, "_a", "_b", "_in"]
+    own = F.array_sort(F.flatten(F.collect_list("own"))).alias("own")
+    alike = settle(gp.select(*keys, "group_id", "own", *hashed).groupBy(*key).agg(F.min("group_id").alias("group_id"), own, F.count(F.lit(1)).alias("_n")))
+    merges = alike.agg(F.coalesce(F.sum(F.col("_n") - 1), F.lit(0))).first()[0]
+    joined = gp.select(*keys, *hashed, "idx").distinct().join(alike, key) if merges else gp
+    return joined.select(*keys, "group_id", "idx", "own"), merges
+
+
 def combine(gp: DataFrame, weights: DataFrame | None = None, growth: float = 1.6, most_rounds: int | None = None) -> tuple[DataFrame, list[tuple[int, int]]]:
     """(combined gp, [(bound, merges) of each round]): rounds over a rising bound on the rows that a merge may add.
 
+    Groups of equal lists are joined in a round before the others, all at once.
     Within a bound rounds repeat until no merge is left; the bound then grows by ``growth`` to the next at which one
     is. Ends when no pair of groups has a gain: there is no target number of clusters. Every round merges at least
     the best pair, so it ends; ``most_rounds`` raises beyond so many. Only pairs with a group that a round merged are
     looked at again. Ties are broken by ids, so the result does not depend on the partitioning. With ``weights``
     sizes, and n of the result, are sums of weights. Each round is cut from its lineage.
     """
-    done: list[tuple[int, int]] = []
+    gp, merges = join_equal(gp)
+    done: list[tuple[int, int]] = [(0, merges)] if merges else []
     bound = 0
     gp = settle(with_sizes(gp, weights))
     c = settle(merge_candidates(gp, weights).where("gain > 0"))
@@ -167,16 +187,18 @@ def greedy(lists: dict[int, set[int]], own: dict[int, list[int]], weight=None, f
     return members
 
 
-def combine_subcells(gp: DataFrame, cells: DataFrame, weights: DataFrame | None = None, border: str = "second_pass") -> DataFrame:
-    """Combined gp: greedy within each cell (group_id, cell), one task a cell at most, one shuffle.
+def combine_subcells(gp: DataFrame, cells: DataFrame | Column, weights: DataFrame | None = None, border: str = "second_pass") -> DataFrame:
+    """Combined gp: greedy within each cell (group_id, cell), one task a cell at most, one shuffle of different lists.
 
+    ``cells`` may be a column of ``gp`` instead, which spares a join. Equal lists of a cell come to its task once.
     With ``weights`` (member, weight) sizes, and n of the result, are sums of weights.
 
     ``border``: "ignore" leaves it there; "second_pass" then merges again among clusters of whose lists a row is
     owned in another cell, with all others unchanged, in cells made of neighbouring cells.
     """
-    owner = gp.select(F.explode("own").alias("member"), F.col("group_id").alias("_g")).join(cells.withColumnRenamed("group_id", "_g"), "_g").select("member", F.col("cell").alias("owner_cell"))
-    first = cut(_greedy_by(gp.join(cells, "group_id"), weights))
+    placed = gp.withColumn("cell", cells) if isinstance(cells, Column) else gp.join(cells, "group_id")
+    owner = placed.select(F.explode("own").alias("member"), F.col("cell").alias("owner_cell"))
+    first = cut(_greedy_by(placed, weights))
     if border == "ignore":
         return first.drop("cell")
     reach = first.select("group_id", "cell", F.explode("idx").alias("member")).join(owner, "member")
@@ -189,7 +211,7 @@ def combine_subcells(gp: DataFrame, cells: DataFrame, weights: DataFrame | None
 
 
 def _greedy_by(gp: DataFrame, weights: DataFrame | None) -> DataFrame:
-    rows = gp.select("cell", "group_id", "idx", "own")
+    gp = rows = settle(join_equal(gp.withColumn("cell", F.col("cell").cast("long")), "cell")[0])
     if weights is None:
         rows = rows.withColumn("w", F.lit(None).cast("array<long>"))
     else:
@@ -211,7 +233,7 @@ def _greedy_by(gp: DataFrame, weights: DataFrame | None) -> DataFrame:
         long = pa.list_(pa.int64())
         return pa.table({"group_id": pa.array(g, pa.int64()), "cell": pa.array(c, pa.int64()), "idx": pa.array(i, long), "own": pa.array(o, long), "n": pa.array([sum(weight[m] for m in x) if weight else len(x) for x in i], pa.int64())})
 
-    return rows.withColumn("cell", F.col("cell").cast("long")).groupBy("cell").applyInArrow(run, "group_id long, cell long, idx array<long>, own array<long>, n long")
+    return rows.groupBy("cell").applyInArrow(run, "group_id long, cell long, idx array<long>, own array<long>, n long")
 
 
 def nearest_centre(a: DataFrame, centres: DataFrame, width: float) -> DataFrame:

@@ -357,6 +357,16 @@ def test_a_merge_is_kept_while_it_covers(spark, water):
     assert sorted(m for r in new.collect() for m in r.own) == list(range(192))
 
 
+def test_equal_lists_are_joined_in_one_round(spark):
+    lists = [(g, [x for x in range(40) if x % 4 == g % 4], [g]) for g in range(40)] + [(50, [0, 4, 60], [50]), (51, [0, 4, 60], [51])]
+    gp = cut(spark.createDataFrame(lists, "group_id long, idx array<long>, own array<long>"))
+    after, rounds = combine.combine(gp)
+    got = {r.group_id: (r.idx, r.own, r.n) for r in after.collect()}
+    assert rounds == [(0, 36)] and got == {g: ([*range(g, 40, 4)],) * 2 + (10,) for g in range(4)} | {g: ([0, 4, 60], [g], 3) for g in (50, 51)}
+    pieces = combine.combine_subcells(gp.where("group_id < 40"), F.floor(F.col("group_id") / 20), border="ignore").collect()
+    assert sorted((r.group_id, len(r.own), r.n) for r in pieces) == [(g, 5, 10) for g in (0, 1, 2, 3, 20, 21, 22, 23)]
+
+
 def test_nothing_merges_in_a_random_graph(spark):
     p = patterns.places(workloads.copart(spark, SMALL))
     gp = cut(patterns.group_pattern(p, patterns.single_groups(p)))
