@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from ..functions.kernels import MatFn, Purification, purify, sign_exact
 from ..sources.tables import cut, settle
 from . import matrix
+from .patterns import components
 from .submatrix import submatrix_apply
 
 
@@ -35,10 +36,15 @@ def from_dense(spark, ids: np.ndarray, a: np.ndarray) -> DataFrame:
 
 
 def dense_reference(m: DataFrame, fn: MatFn, max_dim: int = 5000) -> DataFrame:
-    """f of the whole matrix in one executor task: exact, cubic; refuses more than ``max_dim`` rows."""
-    ids = m.select(F.explode(F.array("row", "col")).alias("id")).distinct()
-    if ids.limit(max_dim + 1).count() > max_dim:
-        raise matrix.MatrixError(f"over {max_dim} rows: a dense reference is for small systems")
+    """f of the whole matrix, a connected component in one executor task: exact, cubic.
+
+    Components share no entry, so f of the matrix is f of each and zero between them; those zeros have no row. A
+    component of more than ``max_dim`` rows is refused.
+    """
+    one = m.select(F.col("row").cast("long").alias("row"), F.col("col").cast("long").alias("col"), F.col("val").cast("double").alias("val"))
+    parts = cut(components(one))
+    if (parts.groupBy("component").count().agg(F.max("count")).first()[0] or 0) > max_dim:
+        raise matrix.MatrixError(f"over {max_dim} connected rows: a dense reference is for small systems")
 
     def solve(table: pa.Table) -> pa.Table:
         row, col = table.column("row").to_numpy(), table.column("col").to_numpy()
@@ -48,8 +54,7 @@ def dense_reference(m: DataFrame, fn: MatFn, max_dim: int = 5000) -> DataFrame:
         out, n = fn(a), len(known)
         return pa.table({"row": np.repeat(known, n), "col": np.tile(known, n), "val": out.ravel()})
 
-    one = m.select(F.col("row").cast("long").alias("row"), F.col("col").cast("long").alias("col"), F.col("val").cast("double").alias("val"))
-    return one.withColumn("_all", F.lit(True)).groupBy("_all").applyInArrow(solve, "row long, col long, val double")
+    return one.join(parts, F.col("row") == F.col("node")).select("component", "row", "col", "val").groupBy("component").applyInArrow(solve, "row long, col long, val double")
 
 
 def dense_density(pair: DataFrame, mu: float, max_dim: int = 5000) -> tuple[np.ndarray, np.ndarray, np.ndarray]:

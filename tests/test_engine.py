@@ -367,6 +367,32 @@ def test_equal_lists_are_joined_in_one_round(spark):
     assert sorted((r.group_id, len(r.own), r.n) for r in pieces) == [(g, 5, 10) for g in (0, 1, 2, 3, 20, 21, 22, 23)]
 
 
+def test_a_dense_reference_needs_room_for_a_component_only(spark):
+    a = np.kron(np.eye(4), banded(5, 3) + 9 * np.eye(5))
+    order = np.random.default_rng(1).permutation(20)
+    a = a[np.ix_(order, order)]
+    got = baselines.dense_reference(rows(spark, a), MatFn.inverse("cholesky"), max_dim=5)
+    assert np.allclose(to_dense(got, 20), np.linalg.inv(a)) and got.count() == 100
+    with pytest.raises(matrix.MatrixError):
+        baselines.dense_reference(rows(spark, a), MatFn.inverse("cholesky"), max_dim=4)
+
+
+def test_components_make_a_group_each(spark):
+    path = [(3 * i % 31, 3 * (i + 1) % 31) for i in range(20)]
+    star = [(100 + i, 99 + 100) for i in range(30)] + [(500, 500)]
+    got = {r.member: r.group_id for r in patterns.component_groups(spark.createDataFrame(path + star, "row long, col long")).collect()}
+    assert got == {x: 0 for e in path for x in e} | {x: 100 for e in star for x in e if x != 500} | {500: 500}
+
+
+def test_a_product_of_blocks_over_several_tiles(spark, monkeypatch):
+    monkeypatch.setattr(matrix, "TILE", 8)
+    a, b = banded(30, 1, 9), banded(30, 2, 3)
+    x, y = cut(matrix.blocks_of(rows(spark, a), 4)), cut(matrix.blocks_of(rows(spark, b), 4))
+    got = matrix.multiply_blocks(x, y, 4)
+    assert "lambdafunction" not in got._jdf.queryExecution().optimizedPlan().toString()  # no cell by cell sums in SQL
+    assert np.allclose(to_dense(got, 30), a @ b) and got.count() == got.select("row", "col").distinct().count()
+
+
 def test_nothing_merges_in_a_random_graph(spark):
     p = patterns.places(workloads.copart(spark, SMALL))
     gp = cut(patterns.group_pattern(p, patterns.single_groups(p)))
