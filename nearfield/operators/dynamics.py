@@ -57,32 +57,50 @@ def ion_energy(a: DataFrame, box: Box, reach: float, charges: float) -> float:
     return p.agg(F.coalesce(F.sum(F.col("qi") * F.col("qj") * F.exp(-F.col("r")) / F.col("r")), F.lit(0.0))).first()[0] * charges / 2
 
 
+#: Waves of a direct sum at most, layers of waves that a task has, and complex values of its sums along y at a time.
+MOST_WAVES, LAYERS, LINE_VALUES = 1_000_000_000, 4, 2_000_000
+
+
 def ewald_energy(charged: DataFrame, box: Box, alpha: float = 0.6, reach: float | None = None, kmax: int | None = 6) -> float:
     """Coulomb energy of (atom_id, x, y, z, q) in a periodic neutral box: direct real-space pairs, structure factors, self term.
 
-    The wave vectors are a list of fixed size; atoms meet them in one pass and partial sums are combined. With ``kmax``
-    None they are all those of a weight above 1e-9, whose number grows with the box: a reference for
-    ``mesh_ewald_energy``, refused beyond 200,000 waves.
+    With ``kmax`` None the waves are all those of a weight above 1e-9, whose number grows with the box: a reference for
+    ``mesh_ewald_energy``. A task has some layers of waves along z and all charges. It sums along z for charges of equal x
+    and y, then along y for those of equal x, then along x, so a lattice costs far less than waves times charges; no list
+    of waves is made. Over ``MOST_WAVES`` it refuses.
     """
-    lx, ly, lz = box.edges
-    ks = []
     most = [kmax if kmax is not None else math.ceil(9 * alpha * e / (2 * math.pi)) for e in box.edges]
-    if math.prod(2 * m + 1 for m in most) > 4_000_000:
-        raise ValueError("too many waves for the direct sum: use the mesh")
-    for i in range(-most[0], most[0] + 1):
-        for j in range(-most[1], most[1] + 1):
-            for k in range(-most[2], most[2] + 1):
-                if (i, j, k) > (0, 0, 0):
-                    g = (2 * math.pi * i / lx, 2 * math.pi * j / ly, 2 * math.pi * k / lz)
-                    k2 = sum(v * v for v in g)
-                    if (f := math.exp(-k2 / (4 * alpha * alpha)) / k2) > (1e-12 if kmax is not None else 1e-9):
-                        ks.append((*g, f))
-    if len(ks) > 200_000:
+    if math.prod(2 * m + 1 for m in most) > MOST_WAVES:
         raise ValueError("too many waves for the direct sum: use the mesh")
-    waves = charged.sparkSession.createDataFrame(ks, "gx double, gy double, gz double, f double")
-    phase = F.col("gx") * F.col("x") + F.col("gy") * F.col("y") + F.col("gz") * F.col("z")
-    sums = charged.crossJoin(F.broadcast(waves)).groupBy("gx", "gy", "gz", "f").agg(F.sum(F.col("q") * F.cos(phase)).alias("c"), F.sum(F.col("q") * F.sin(phase)).alias("s"))
-    waves_e = sums.agg(F.coalesce(F.sum(F.col("f") * (F.col("c") * F.col("c") + F.col("s") * F.col("s"))), F.lit(0.0))).first()[0] * 4 * math.pi / (lx * ly * lz)
+    least, (mx, my, mz) = 1e-12 if kmax is not None else 1e-9, most
+    gx, gy, gz = (2 * math.pi / e * np.arange(-m, m + 1) for e, m in zip(box.edges, most, strict=True))
+
+    def layers(t: pa.Table) -> pa.Table:
+        first = t.column("layer")[0].as_py() * LAYERS
+        k = np.arange(first, min(first + LAYERS, mz + 1))  # of k and -k one is enough
+        x, y, z, q = (t.column(c).to_numpy() for c in "xyzq")
+        order = np.lexsort((y, x))
+        x, y, z, q = x[order], y[order], z[order], q[order]
+        spot = np.flatnonzero(np.append(True, (x[1:] != x[:-1]) | (y[1:] != y[:-1])))
+        along_z = np.concatenate([np.add.reduceat(q * np.exp(1j * g * z), spot)[:, None] for g in gz[mz + k]], axis=1)
+        x, y = x[spot], y[spot]
+        line = np.flatnonzero(np.append(True, x[1:] != x[:-1]))
+        ends = np.append(line[1:], len(x))
+        sums, step = np.zeros((len(gx), len(gy) * len(k)), complex), max(1, LINE_VALUES // (len(gy) * len(k)))
+        for at in range(0, len(line), step):
+            pairs = list(zip(line[at : at + step], ends[at : at + step], strict=True))
+            along_y = np.stack([(np.exp(1j * np.outer(gy, y[a:b])) @ along_z[a:b]).ravel() for a, b in pairs])
+            sums += np.exp(1j * np.outer(gx, x[line[at : at + step]])) @ along_y
+        k2 = (gx * gx)[:, None, None] + (gy * gy)[:, None] + gz[mz + k] ** 2
+        weight = np.exp(-k2 / (4 * alpha * alpha)) / np.where(k2 > 0, k2, np.inf)
+        weight[weight <= least] = 0.0
+        weight = weight * np.where(k == 0, 0.5, 1.0)
+        return pa.table({"e": [float((weight * np.abs(sums.reshape(k2.shape)) ** 2).sum())]})
+
+    dealt = charged.select(*[F.col(c).cast("double").alias(c) for c in "xyzq"], F.explode(F.sequence(F.lit(0), F.lit(mz // LAYERS))).alias("layer"))
+    tasks = mz // LAYERS + 1
+    found = dealt.repartition(tasks, "layer").groupBy("layer").applyInArrow(layers, "e double").agg(F.coalesce(F.sum("e"), F.lit(0.0))).first()[0]
+    waves_e = found * 4 * math.pi / math.prod(box.edges)
     return waves_e + _ewald_near(charged, box, alpha, reach or 3.6 / alpha)
 
 
