@@ -29,10 +29,11 @@ def neutrality_gap(d: DataFrame, s: DataFrame, nuclear_charge: float, occupancy:
 
 
 def sums_by(out: DataFrame, pair: DataFrame) -> DataFrame:
-    """One row (energy, electrons), unscaled, from the dense stage's table and the pair, in one join."""
+    """One row (energy, electrons), unscaled, from the dense stage's table and the pair (or reduced pair), in one join."""
+    times = F.col("twins") if "twins" in pair.columns else F.lit(1.0)
     d = out.where(F.col("row").isNotNull()).select(F.col("col").alias("row"), F.col("row").alias("col"), "d")
     both = d.join(pair, ["row", "col"])
-    return both.agg(F.sum(F.col("d") * F.col("h")).alias("energy"), F.sum(F.col("d") * F.col("s")).alias("electrons"))
+    return both.agg(F.sum(F.col("d") * F.col("h") * times).alias("energy"), F.sum(F.col("d") * F.col("s") * times).alias("electrons"))
 
 
 def total_energy(electronic: float, double_counting: float = 0.0, ions: float = 0.0, dispersion: float = 0.0) -> dict[str, float]:
