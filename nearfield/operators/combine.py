@@ -211,29 +211,32 @@ def combine_subcells(gp: DataFrame, cells: DataFrame | Column, weights: DataFram
 
 
 def _greedy_by(gp: DataFrame, weights: DataFrame | None) -> DataFrame:
-    gp = rows = settle(join_equal(gp.withColumn("cell", F.col("cell").cast("long")), "cell")[0])
-    if weights is None:
-        rows = rows.withColumn("w", F.lit(None).cast("array<long>"))
-    else:
-        long = gp.select("group_id", F.posexplode("idx").alias("pos", "member")).join(weights, "member")
-        w = long.groupBy(F.col("group_id").alias("_g")).agg(F.array_sort(F.collect_list(F.struct("pos", F.col("weight").cast("long").alias("weight")))).alias("w"))
-        rows = rows.join(w.select("_g", F.col("w.weight").alias("w")), F.col("group_id") == F.col("_g")).drop("_g")
+    rows = settle(join_equal(gp.withColumn("cell", F.col("cell").cast("long")), "cell")[0])
 
-    def run(table):
+    def run(table, weight):
         lists = dict(zip(table.column("group_id").to_pylist(), map(set, table.column("idx").to_pylist()), strict=True))
         own = dict(zip(table.column("group_id").to_pylist(), table.column("own").to_pylist(), strict=True))
-        weight: dict[int, int] = {}
-        for idx, w in zip(table.column("idx").to_pylist(), table.column("w").to_pylist(), strict=True):
-            if w is not None:
-                weight |= dict(zip(idx, w, strict=True))
-        done = greedy(lists, dict(own), weight or None)
+        done = greedy(lists, dict(own), weight)
         cell = table.column("cell")[0].as_py()
         out = [(g, cell, sorted(set().union(*(lists[m] for m in ms))), sorted(x for m in ms for x in own[m])) for g, ms in sorted(done.items())]
         g, c, i, o = zip(*out, strict=True)
         long = pa.list_(pa.int64())
         return pa.table({"group_id": pa.array(g, pa.int64()), "cell": pa.array(c, pa.int64()), "idx": pa.array(i, long), "own": pa.array(o, long), "n": pa.array([sum(weight[m] for m in x) if weight else len(x) for x in i], pa.int64())})
 
-    return rows.groupBy("cell").applyInArrow(run, "group_id long, cell long, idx array<long>, own array<long>, n long")
+    def counted(table):
+        return run(table, None)
+
+    def weighed(table, w):
+        return run(table, dict(zip(w.column("member").to_pylist(), w.column("weight").to_pylist(), strict=True))) if table.num_rows else none
+
+    out = "group_id long, cell long, idx array<long>, own array<long>, n long"
+    if weights is None:
+        return rows.groupBy("cell").applyInArrow(counted, out)
+    long = pa.list_(pa.int64())
+    none = pa.schema([("group_id", pa.int64()), ("cell", pa.int64()), ("idx", long), ("own", long), ("n", pa.int64())]).empty_table()
+    # a weight comes to a cell once, however many of its lists name the member
+    of = rows.select(F.col("cell").alias("_cell"), F.explode("idx").alias("member")).distinct().join(weights.select("member", F.col("weight").cast("long").alias("weight")), "member")
+    return rows.groupBy("cell").cogroup(of.groupBy("_cell")).applyInArrow(weighed, out)
 
 
 def nearest_centre(a: DataFrame, centres: DataFrame, width: float) -> DataFrame:

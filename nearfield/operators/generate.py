@@ -16,6 +16,7 @@ from pyspark.sql import functions as F
 
 from ..functions.elements import ElementModel
 from ..functions.kernels import Purification, purify
+from ..plans.balance import balance, parts_for
 from .lattice import Box
 from .submatrix import _table
 
@@ -72,6 +73,17 @@ def split_costly(rows: DataFrame, model: ElementModel, present, task_cost: float
     return dealt.select(*rows.columns, "turn", leads.alias("leads"))
 
 
+def _purified(g, ids, species, xyz, bf0, mine, model, nbf_of, edges, how, dtype) -> tuple[tuple, tuple]:
+    """(entries of the owned columns, metrics) of one group from its sites, of which it owns those that are ``mine``."""
+    h, s, at = model.pair(list(species), xyz, edges, dtype)
+    functions = np.concatenate([first + np.arange(nbf_of[x]) for first, x in zip(bf0, species, strict=True)])
+    own = np.concatenate([np.arange(at[k], at[k + 1]) for k in np.flatnonzero(mine)])
+    d, w, done = purify(h, s, how)
+    i, j = np.nonzero((h[:, own] != 0) | (s[:, own] != 0))
+    entries = (g, functions[i], functions[own][j], [x[:, own][i, j] for x in (d, w, h, s)])
+    return entries, (int(g), len(h), done["k_inverse"], done["k_sign"], float(done["residual"]), done["gemms"])
+
+
 def generate_density(a: DataFrame, box: Box, model: ElementModel, how: Purification, present=("H", "O"), groups: DataFrame | None = None, width: float | None = None, element_dtype: str = "float64") -> DataFrame:
     """The dense stage's table with columns d, w, h, s over basis functions of owned atoms.
 
@@ -99,7 +111,6 @@ def generate_density(a: DataFrame, box: Box, model: ElementModel, how: Purificat
         species = np.array(table.column("species").to_pylist(), object)
         xyz = np.stack([table.column(c).to_numpy() for c in "xyz"], axis=1)
         bf0 = table.column("bf0").to_numpy()
-        nbf = np.array([nbf_of[s] for s in species])
         reach_of = np.array([model.cutoff(s, s) for s in species])
         found, metrics = [], []
         # a group is done where its least member is owned; its other members may be halo atoms
@@ -118,19 +129,77 @@ def generate_density(a: DataFrame, box: Box, model: ElementModel, how: Purificat
             near[members] = True
             take = np.flatnonzero(near)
             take = take[np.unique(ids[take], return_index=True)[1]]
-            h, s, at = model.pair(list(species[take]), xyz[take], edges, dtype)
-            functions = np.concatenate([bf0[t] + np.arange(nbf[t]) for t in take])
-            mine = np.isin(ids[take], ids[members])
-            own = np.concatenate([np.arange(at[k], at[k + 1]) for k in np.flatnonzero(mine)])
-            d, w, done = purify(h, s, how)
-            i, j = np.nonzero((h[:, own] != 0) | (s[:, own] != 0))
-            found.append((g, functions[i], functions[own][j], [x[:, own][i, j] for x in (d, w, h, s)]))
-            metrics.append((int(g), len(h), done["k_inverse"], done["k_sign"], float(done["residual"]), done["gemms"], time.perf_counter() - began))
+            entries, did = _purified(g, ids[take], species[take], xyz[take], bf0[take], np.isin(ids[take], ids[members]), model, nbf_of, edges, how, dtype)
+            found.append(entries)
+            metrics.append((*did, time.perf_counter() - began))
         return _table(found, metrics, ["d", "w", "h", "s"]) if metrics else _table([], [], ["d", "w", "h", "s"]).cast(_EMPTY)
 
     return rows.groupBy("cell", "turn").applyInArrow(work, SCHEMA)
 
 
+def generate_listed(a: DataFrame, box: Box, model: ElementModel, how: Purification, gp: DataFrame, element_dtype: str = "float64") -> DataFrame:
+    """``generate_density`` where the lists of the groups are known: ``gp`` (group_id, idx, own, n) of atoms, n in functions.
+
+    An atom goes to the groups that list it and to no halo, so a row is shuffled for each list entry; parts are of like cost.
+    """
+    parts = parts_for(gp)
+    listed = balance(gp, parts).select("part_id", "group_id", "own", F.explode("idx").alias("_atom"))
+    listed = listed.select("part_id", "group_id", "_atom", F.array_contains("own", F.col("_atom")).alias("mine"))
+    sites = a.select("atom_id", "species", "x", "y", "z", "bf0")
+    rows = listed.join(sites, F.col("_atom") == F.col("atom_id")).drop("_atom").repartition(parts, "part_id")
+    edges = np.array(box.edges)
+    nbf_of = {s: v["nbf"] for s, v in model.species.items()}
+    dtype = np.dtype(element_dtype)
+
+    def work(table):
+        table = table.sort_by([("group_id", "ascending"), ("atom_id", "ascending")])
+        group, ids, bf0 = (table.column(c).to_numpy() for c in ("group_id", "atom_id", "bf0"))
+        mine = table.column("mine").to_numpy(zero_copy_only=False).astype(bool)
+        species = np.array(table.column("species").to_pylist(), object)
+        xyz = np.stack([table.column(c).to_numpy() for c in "xyz"], axis=1)
+        found, metrics = [], []
+        for at in np.split(np.arange(len(group)), np.flatnonzero(np.diff(group)) + 1):
+            began = time.perf_counter()
+            entries, did = _purified(group[at[0]], ids[at], species[at], xyz[at], bf0[at], mine[at], model, nbf_of, edges, how, dtype)
+            found.append(entries)
+            metrics.append((*did, time.perf_counter() - began))
+        return _table(found, metrics, ["d", "w", "h", "s"])
+
+    return rows.groupBy("part_id").applyInArrow(work, SCHEMA)
+
+
+def atom_lists(a: DataFrame, box: Box, model: ElementModel, present) -> DataFrame:
+    """(group_id, idx, own, n): each atom with the atoms within the pair's cutoff and itself, n in basis functions.
+
+    The lists are made where atoms and their halo meet, so no pair of atoms is shuffled.
+    """
+    reach = model.longest(present)
+    rows = supercells(a.select("atom_id", "species", "x", "y", "z", "bf0", F.col("atom_id").alias("group_id")), box, 2 * reach, reach)
+    cells = math.prod(max(1, int(e // (2 * reach))) for e in box.edges)
+    rows = rows.repartition(int(max(4 * a.sparkSession.sparkContext.defaultParallelism, min(cells, 100_000) // 8)), "cell")
+    nbf_of = {s: v["nbf"] for s, v in model.species.items()}
+
+    def work(table):
+        ids, owned = table.column("atom_id").to_numpy(), table.column("owned").to_numpy(zero_copy_only=False).astype(bool)
+        xyz = np.stack([table.column(c).to_numpy() for c in "xyz"], axis=1)
+        species = table.column("species").to_pylist()
+        nbf, reach_of = np.array([nbf_of[s] for s in species]), np.array([model.cutoff(s, s) for s in species])
+        _, first, one = np.unique(ids, return_index=True, return_inverse=True)
+        who, lists = np.flatnonzero(owned), []
+        for at in range(0, len(who), 256):
+            some = who[at : at + 256]
+            r = np.sqrt(((xyz[some, None] - xyz[None]) ** 2).sum(axis=2))
+            near = r < np.maximum(reach_of[some, None], reach_of[None])
+            near[np.arange(len(some)), some] = True
+            lists += [first[np.unique(one[n])] for n in near]  # images of an atom are one
+        sizes = [len(x) for x in lists]
+        idx = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(sizes)]), pa.int32()), pa.array(ids[np.concatenate([*lists, np.zeros(0, int)]).astype(int)], pa.int64()))
+        own = pa.ListArray.from_arrays(pa.array(np.arange(len(who) + 1), pa.int32()), pa.array(ids[who], pa.int64()))
+        return pa.table({"group_id": pa.array(ids[who], pa.int64()), "idx": idx, "own": own, "n": pa.array([int(nbf[x].sum()) for x in lists], pa.int64())})
+
+    return rows.select("cell", "owned", "atom_id", "species", "x", "y", "z").groupBy("cell").applyInArrow(work, "group_id long, idx array<long>, own array<long>, n long")
+
+
 _EMPTY = pa.schema(
     [(c, pa.int64()) for c in ("group_id", "row", "col")] + [(c, pa.float64()) for c in ("d", "w", "h", "s")] + [("n", pa.int64()), ("k_inv", pa.int32()), ("k_sign", pa.int32()), ("resid", pa.float64()), ("gemms", pa.int32()), ("secs", pa.float64())]
 )
