@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import heapq
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -46,6 +47,11 @@ def merge_candidates(gp: DataFrame, weights: DataFrame | None = None, touched: D
         pairs = pairs.unionByName(long.join(owner.join(mine, F.col("other") == F.col("_t"), "left_semi"), "member"))
     pairs = pairs.where("group_id <> other")
     pairs = pairs.select(F.least("group_id", "other").alias("i"), F.greatest("group_id", "other").alias("j")).distinct()
+    return _counted(pairs, long, sizes)
+
+
+def _counted(pairs: DataFrame, long: DataFrame, sizes: DataFrame) -> DataFrame:
+    """``merge_candidates`` of the pairs (i, j) from list entries and sizes."""
     a = long.select(F.col("group_id").alias("i"), "member", "weight")
     b = long.select(F.col("group_id").alias("j"), "member")
     common = pairs.join(a, "i").join(b, ["j", "member"]).groupBy("i", "j").agg(F.sum("weight").cast("long").alias("common"))
@@ -56,6 +62,92 @@ def merge_candidates(gp: DataFrame, weights: DataFrame | None = None, touched: D
     return c.select("i", "j", "n_i", "n_j", "common", added.alias("added"), gain(F.col("n_i"), F.col("n_j"), F.col("common")).alias("gain"))
 
 
+#: Ids whose groups are looked at together, bits of a list's mark, and pairs of marks compared at once.
+BLOCK, BITS, COMPARED = 1 << 15, 512, 1 << 16
+
+
+def _marks(lists: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """A row of bits for each list, set at its members' hashes: a bit that another list's lacks stands for a row it lacks."""
+    h = lists.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    bit, out = (h >> np.uint64(64 - (BITS - 1).bit_length())).astype(np.int64), []
+    ends = np.concatenate([[0], np.cumsum(sizes)])
+    for at in range(0, len(sizes), 4096):
+        some = sizes[at : at + 4096]
+        on = np.zeros((len(some), BITS), bool)
+        on[np.repeat(np.arange(len(some)), some), bit[ends[at] : ends[at + len(some)]]] = True
+        out.append(np.packbits(on, axis=1).view(np.uint64))
+    return np.concatenate(out) if out else np.zeros((0, BITS // 64), np.uint64)
+
+
+def _lists(column) -> tuple[np.ndarray, np.ndarray]:
+    """(all values, how many each row has) of a column of lists."""
+    x = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
+    return x.flatten().to_numpy(), x.value_lengths().to_numpy().astype(np.int64)
+
+
+def may_pay(gp: DataFrame) -> DataFrame:
+    """(i, j), i < j: all pairs of ``merge_candidates`` with a gain, and few others; sizes are counts.
+
+    Lists go once to the block of their ids; what comes there of the groups that own their members is a mark of fixed size.
+    Rows that two lists share are at most those of one without what the other's mark lacks, and a pair that would not
+    pay with so many is left out; no list is joined with another.
+    """
+    spark = gp.sparkSession
+
+    def marked(batches):
+        for b in batches:
+            values, sizes = _lists(b.column("idx"))
+            marks = _marks(values, sizes)
+            yield pa.RecordBatch.from_arrays([b.column("group_id"), b.column("own"), pa.array(sizes), pa.array([m.tobytes() for m in marks], pa.binary())], ["other", "own", "size", "mark"])
+
+    marks = gp.select("group_id", "own", "idx").mapInArrow(marked, "other long, own array<long>, size long, mark binary")
+    marks = marks.select(F.explode("own").alias("member"), "other", "size", "mark")
+    parts = max(3 * spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    dealt = gp.select(F.floor(F.col("group_id") / BLOCK).alias("block"), "group_id", "idx").repartition(parts, "block")
+    wanted = dealt.select(F.col("block").alias("_block"), F.explode("idx").alias("member")).distinct().join(marks, "member")
+
+    def work(table, sides):
+        member, other, size = (sides.column(c).to_numpy() for c in ("member", "other", "size"))
+        mark = np.frombuffer(b"".join(sides.column("mark").to_pylist()), np.uint64).reshape(-1, BITS // 64)
+        order = np.argsort(member, kind="stable")
+        member, other, size, mark = member[order], other[order], size[order], mark[order]
+        group = table.column("group_id").to_numpy()
+        values, sizes = _lists(table.column("idx"))
+        own, at = _marks(values, sizes), np.repeat(np.arange(len(group)), sizes)
+        found = [np.zeros((0, 2), np.int64)]
+        for k in range(0, len(values), COMPARED):
+            x, a = values[k : k + COMPARED], at[k : k + COMPARED]
+            # members may have several owners, or none
+            first, last = np.searchsorted(member, x), np.searchsorted(member, x, "right")
+            many = last - first
+            a, b = np.repeat(a, many), np.repeat(first - np.cumsum(many) + many, many) + np.arange(many.sum())
+            keep = group[a] != other[b]
+            a, b = a[keep], b[keep]
+            n, m = sizes[a].astype(float), size[b].astype(float)
+            both = np.bitwise_count(own[a] & mark[b]).sum(axis=1)
+            lacks = [np.bitwise_count(y).sum(axis=1) - both for y in (own[a], mark[b])]
+            common = np.minimum(n - lacks[0], m - lacks[1])
+            pays = n**3 + m**3 > (n + m - common) ** 3
+            i, j = group[a[pays]], other[b[pays]]
+            found.append(np.stack([np.minimum(i, j), np.maximum(i, j)], axis=1))
+        pairs = np.unique(np.concatenate(found), axis=0)
+        return pa.table({"i": pairs[:, 0], "j": pairs[:, 1]})
+
+    return dealt.groupBy("block").cogroup(wanted.groupBy("_block")).applyInArrow(work, "i long, j long").distinct()
+
+
+def paying(gp: DataFrame, weights: DataFrame | None = None) -> DataFrame:
+    """``merge_candidates`` with a gain; where sizes are counts, only pairs that may pay are counted out."""
+    if weights is not None:
+        return merge_candidates(gp, weights).where("gain > 0")
+    pairs = settle(may_pay(gp))
+    if pairs.isEmpty():
+        return pairs.select("i", "j", *[F.lit(0).cast(kind).alias(name) for name, kind in (("n_i", "long"), ("n_j", "long"), ("common", "long"), ("added", "long"), ("gain", "double"))])
+    named = pairs.select(F.explode(F.array("i", "j")).alias("_g")).distinct()
+    long = _entries(gp.join(named, F.col("group_id") == F.col("_g"), "left_semi"), None)
+    return _counted(pairs, long, long.groupBy("group_id").agg(F.sum("weight").cast("long").alias("n"))).where("gain > 0")
+
+
 def match(candidates: DataFrame, ties: str = "ids") -> DataFrame:
     """(i, j): pairs that are each other's best by (added, gain, ties), so that no group merges twice in a round.
 
@@ -113,11 +205,13 @@ def combine(gp: DataFrame, weights: DataFrame | None = None, growth: float = 1.6
     looked at again. Ties are broken by ids, so the result does not depend on the partitioning. With ``weights``
     sizes, and n of the result, are sums of weights. Each round is cut from its lineage.
     """
-    gp, merges = join_equal(gp)
+    gp = settle(with_sizes(gp, weights))
+    joined, merges = join_equal(gp)
     done: list[tuple[int, int]] = [(0, merges)] if merges else []
     bound = 0
-    gp = settle(with_sizes(gp, weights))
-    c = settle(merge_candidates(gp, weights).where("gain > 0"))
+    if merges:
+        gp = settle(with_sizes(joined, weights))
+    c = settle(paying(gp, weights))
     while (least := c.agg(F.min("added")).first()[0]) is not None:
         if most_rounds is not None and len(done) >= most_rounds:
             raise RuntimeError(f"{most_rounds} rounds did not end the merging")

@@ -367,6 +367,38 @@ def test_equal_lists_are_joined_in_one_round(spark):
     assert sorted((r.group_id, len(r.own), r.n) for r in pieces) == [(g, 5, 10) for g in (0, 1, 2, 3, 20, 21, 22, 23)]
 
 
+def test_pairs_that_pay_are_all_among_those_counted(spark):
+    """Groups of several members, members without an owner or with two, and ids of many blocks."""
+    draw = np.random.default_rng(7)
+    rows = []
+    for g in range(90):
+        near = {(g + int(d)) % 90 for d in draw.integers(-6, 7, 9)} | {g}
+        rows.append((g * 9000, sorted(x * 9000 for x in near) + [10**9 + g // 3], [g * 9000]))
+    rows += [(10**7, [0, 9000, 18000], [0, 10**7]), (10**7 + 1, list(range(1, 700)), [10**7 + 1]), (10**7 + 2, list(range(1, 690)) + [10**7 + 1], [10**7 + 2]), (10**7 + 3, [4], [])]
+    gp = cut(spark.createDataFrame(rows, "group_id long, idx array<long>, own array<long>"))
+    key = lambda df: sorted(tuple(r) for r in df.collect())
+    want = key(combine.merge_candidates(gp).where("gain > 0"))
+    assert key(combine.paying(gp)) == want and len(want) > 10
+    apart = gp.where("group_id >= 10000001 and group_id <> 10000002")
+    assert key(combine.paying(apart)) == key(combine.merge_candidates(apart).where("gain > 0")) == []
+
+
+def test_no_pair_of_a_random_like_graph_is_counted_out(spark, monkeypatch):
+    """Parts bought together: lists come from orders, and nearly all pairs are left out by their marks."""
+    from nearfield.queries import QUERIES
+
+    middle = "/root/testdata/sf0.01"
+    gp = cut(workloads.copart_lists(spark, middle))
+    p = patterns.places(workloads.copart(spark, middle))
+    key = lambda df: sorted(tuple(r) for r in df.select("group_id", "idx", "own").collect())
+    assert key(gp) == key(patterns.group_pattern(p, patterns.single_groups(p)))
+    pairs = gp.selectExpr("sum(size(idx) - 1) / 2").first()[0]
+    assert combine.may_pay(gp).count() < pairs / 100
+    monkeypatch.setattr(workloads, "copart", None)
+    monkeypatch.setattr(combine, "merge_candidates", None)
+    assert QUERIES["combine_copart_none"](spark, middle).first().groups == gp.count()
+
+
 def test_a_dense_reference_needs_room_for_a_component_only(spark):
     a = np.kron(np.eye(4), banded(5, 3) + 9 * np.eye(5))
     order = np.random.default_rng(1).permutation(20)
