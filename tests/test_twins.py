@@ -2,6 +2,7 @@
 
 import duckdb
 import numpy as np
+import pyarrow.parquet as pq
 import pytest
 from pyspark.sql import functions as F
 
@@ -130,3 +131,19 @@ def test_reduced_route_gives_what_the_full_one_gives(spark):
     both = full.join(out.withColumnRenamed("val", "v2"), ["row", "col"], "full").agg(F.count("val"), F.count("v2"), F.count(F.lit(1)), F.max(F.abs(F.col("val") - F.col("v2")))).first()
     assert both[0] == both[1] == both[2] > 0 and both[3] < 1e-10
     assert patterns.places(full).count() == both[0]
+
+
+@pytest.mark.parametrize("name", ["sign_eigen_blk", "sign_order5_blk", "sign_pade_blk"])
+def test_entries_are_written_without_levels_of_nulls(spark, tmp_path, name):
+    QUERIES[name](spark, "/root/testdata/sf0.001").write.parquet(f"{tmp_path}/out")
+    files = list((tmp_path / "out").glob("*.parquet"))
+    assert files and all(not f.nullable for x in files for f in pq.read_schema(x))
+
+
+def test_null_members_stay(spark):
+    """Rows of a null member are neither dropped nor given another key."""
+    members = spark.createDataFrame([(1, 1, 3), (2, 1, 3), (None, 1, 3)], "member long, clique long, m long")
+    m = spark.createDataFrame([(2, 2, 1.0), (3, 3, -1.0)], "row long, col long, val double")
+    out = twins.expand(m, members)
+    assert sorted((r.row or 0, r.col) for r in out.collect()) == [(0, 1), (0, 2), (1, 1), (1, 2), (2, 1), (2, 2)]
+    assert [f.nullable for f in out.schema] == [True, False, False]
