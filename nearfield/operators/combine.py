@@ -161,12 +161,15 @@ def match(candidates: DataFrame, ties: str = "ids") -> DataFrame:
 
 
 def with_sizes(gp: DataFrame, weights: DataFrame | None) -> DataFrame:
-    """(group_id, idx, own, n), n the number of rows or the sum of their weights."""
+    """(group_id, idx, own, n), n the number of rows or the sum of their weights.
+
+    Lists are not broadcast: Spark's estimate takes lists that were exploded from a small table for as small as that.
+    """
     plain = gp.select("group_id", "idx", "own")
     if weights is None:
         return plain.withColumn("n", F.size("idx").cast("long"))
     n = _entries(plain, weights).groupBy(F.col("group_id").alias("_g")).agg(F.sum("weight").cast("long").alias("n"))
-    return plain.join(n, F.col("group_id") == F.col("_g")).drop("_g")
+    return plain.hint("merge").join(n, F.col("group_id") == F.col("_g")).drop("_g")
 
 
 def apply_merges(gp: DataFrame, pairs: DataFrame, weights: DataFrame | None = None) -> DataFrame:
@@ -191,26 +194,25 @@ def join_equal(gp: DataFrame, *keys: str) -> tuple[DataFrame, int]:
     own = F.array_sort(F.flatten(F.collect_list("own"))).alias("own")
     alike = settle(gp.select(*keys, "group_id", "own", *hashed).groupBy(*key).agg(F.min("group_id").alias("group_id"), own, F.count(F.lit(1)).alias("_n")))
     merges = alike.agg(F.coalesce(F.sum(F.col("_n") - 1), F.lit(0))).first()[0]
-    joined = gp.select(*keys, *hashed, "idx").distinct().join(alike, key) if merges else gp
+    joined = gp.select(*keys, *hashed, "idx").distinct().hint("merge").join(alike, key) if merges else gp
     return joined.select(*keys, "group_id", "idx", "own"), merges
 
 
 def combine(gp: DataFrame, weights: DataFrame | None = None, growth: float = 1.6, most_rounds: int | None = None) -> tuple[DataFrame, list[tuple[int, int]]]:
     """(combined gp, [(bound, merges) of each round]): rounds over a rising bound on the rows that a merge may add.
 
-    Groups of equal lists are joined in a round before the others, all at once.
+    Groups of equal lists are joined in a round before the others, all at once; only different lists are stored or
+    exploded. ``gp`` is read up to three times: one that is dear to make is to be cut before.
     Within a bound rounds repeat until no merge is left; the bound then grows by ``growth`` to the next at which one
     is. Ends when no pair of groups has a gain: there is no target number of clusters. Every round merges at least
     the best pair, so it ends; ``most_rounds`` raises beyond so many. Only pairs with a group that a round merged are
     looked at again. Ties are broken by ids, so the result does not depend on the partitioning. With ``weights``
     sizes, and n of the result, are sums of weights. Each round is cut from its lineage.
     """
-    gp = settle(with_sizes(gp, weights))
     joined, merges = join_equal(gp)
     done: list[tuple[int, int]] = [(0, merges)] if merges else []
     bound = 0
-    if merges:
-        gp = settle(with_sizes(joined, weights))
+    gp = settle(with_sizes(settle(joined) if merges else gp, weights))
     c = settle(paying(gp, weights))
     while (least := c.agg(F.min("added")).first()[0]) is not None:
         if most_rounds is not None and len(done) >= most_rounds:
@@ -417,5 +419,5 @@ def refresh(gp: DataFrame, p: DataFrame, weights: DataFrame | None = None) -> Da
     marked = cut(still_valid(gp, p))
     kept = with_sizes(marked.where("covers"), weights)
     loose = marked.where(~F.col("covers")).select(F.explode("own").alias("member")).select(F.col("member").alias("group_id"), "member")
-    anew, _ = combine(group_pattern(p, loose), weights)
+    anew, _ = combine(settle(group_pattern(p, loose)), weights)
     return kept.unionByName(anew.select("group_id", "idx", "own", "n"))

@@ -367,6 +367,24 @@ def test_equal_lists_are_joined_in_one_round(spark):
     assert sorted((r.group_id, len(r.own), r.n) for r in pieces) == [(g, 5, 10) for g in (0, 1, 2, 3, 20, 21, 22, 23)]
 
 
+def test_equal_lists_are_exploded_once(spark, monkeypatch):
+    """Sizes are added up for each different list, not for each group, and no list is broadcast."""
+    lists = spark.createDataFrame([(g, list(range(g % 4, 400, 4)), [g]) for g in range(400)], "group_id long, idx array<long>, own array<long>")
+    weights = spark.createDataFrame([(m, 1 + m % 3) for m in range(400)], "member long, weight long")
+    seen, sizes = [], combine.with_sizes
+
+    def counted(gp, w):
+        seen.append(gp.count())
+        out = sizes(gp, w)
+        assert "strategy=merge" in out._jdf.queryExecution().analyzed().toString()
+        return out
+
+    monkeypatch.setattr(combine, "with_sizes", counted)
+    after, rounds = combine.combine(lists, weights)
+    assert rounds == [(0, 396)] and seen == [4]
+    assert {r.group_id: (len(r.own), r.n) for r in after.collect()} == {g: (100, sum(1 + m % 3 for m in range(g, 400, 4))) for g in range(4)}
+
+
 def test_pairs_that_pay_are_all_among_those_counted(spark):
     """Groups of several members, members without an owner or with two, and ids of many blocks."""
     draw = np.random.default_rng(7)
