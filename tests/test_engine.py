@@ -434,6 +434,60 @@ def test_components_make_a_group_each(spark):
     assert got == {x: 0 for e in path for x in e} | {x: 100 for e in star for x in e if x != 500} | {500: 500}
 
 
+def test_members_of_sets_are_counted_by_tiles(spark, monkeypatch):
+    """Pairs of a set over several batches, repeated and null members, ids below zero and of far tiles; no pair is a row of a shuffle."""
+    for name, v in (("MET", 8), ("MET_ROWS", 50), ("MET_PAIRS", 90)):
+        monkeypatch.setattr(workloads, name, v)
+    draw = np.random.default_rng(8)
+    sets = [(int(k), int(m)) for k, m in zip(draw.integers(0, 60, 400), draw.integers(-9, 30, 400), strict=True)] + [(99, 3 * m) for m in range(70)] + [(5, 10**12), (6, 10**12)]
+    got = workloads.met_in_sets(spark.createDataFrame([*sets, (None, 1), (1, None)], "key long, member long"))
+    assert "Join" not in got._jdf.queryExecution().optimizedPlan().toString()
+    want = {}
+    for k in {k for k, _ in sets}:
+        held = {m for j, m in sets if j == k}
+        for x in held:
+            for y in held - {x}:
+                want[x, y] = want.get((x, y), 0) + 1
+    rows_got = got.collect()
+    assert {(r.row, r.col): r.val for r in rows_got} == want and len(rows_got) == len(want)
+
+
+def test_entries_go_to_groups_as_parts_of_columns(spark, monkeypatch):
+    """Rows without a column, columns without a diagonal, stored zeros and small entries; entries meet no join as rows."""
+    from nearfield.operators import submatrix
+
+    entries = [(0, 1, 2.0), (1, 0, 2.0), (1, 1, 3.0), (2, 1, 0.5), (3, 4, 0.0), (4, 3, 1e-3), (5, 5, 0.0), (7, 6, 4.0)]
+    m = spark.createDataFrame(entries, "row long, col long, val double").repartition(3)
+    dense = np.zeros((8, 8))
+    for i, j, v in entries:
+        dense[i, j] = v
+    monkeypatch.setattr(submatrix, "places", None)
+    for tol in (0.0, 0.1):
+        kept = np.where((np.abs(dense) > tol) | np.eye(8, dtype=bool), dense, 0.0)
+        stored = (np.abs(dense) > tol) | np.eye(8, dtype=bool)
+        for strategy in ("halo", "gather"):
+            groups = spark.createDataFrame([(0, i) for i in range(8)], "group_id long, member long")
+            out = submatrix.submatrix_apply(m, MatFn.poly((0.0, 0.0, 1.0)), groups, drop_tol=tol, result_pattern="merged", strategy=strategy)
+            assert out.columns == ["row", "col", "val"] and np.allclose(to_dense(out, 8), kept @ kept) and out.count() == 64
+            own = submatrix.submatrix_apply(m, MatFn.poly((0.0, 1.0)), drop_tol=tol, strategy=strategy).collect()
+            assert {(r.row, r.col): r.val for r in own} == {(int(i), int(j)): kept[i, j] for i, j in np.argwhere(stored)}
+    assert submatrix.column_parts(m.coalesce(1), ["val"]).count() == 8
+
+
+def test_a_task_joins_what_its_places_connect(spark, monkeypatch):
+    monkeypatch.setattr(patterns, "JOINED", 40)
+    draw = np.random.default_rng(9)
+    places = [(i, j) for b in range(4) for i, j in draw.integers(50 * b, 50 * b + 50, (300, 2)).tolist()] + [(500, 500)]
+    e = spark.createDataFrame(places, "a long, b long").repartition(2)
+    assert patterns.contracted(e).count() <= 2 * 201
+    got = {r.node: r.component for r in patterns.components(e.toDF("row", "col")).collect()}
+    least = {}
+    for b in range(5):
+        nodes = sorted({x for p in places for x in p if (x // 50 == b if b < 4 else x == 500)})
+        least |= dict.fromkeys(nodes, nodes[0])
+    assert got == least
+
+
 def test_a_product_of_blocks_over_several_tiles(spark, monkeypatch):
     monkeypatch.setattr(matrix, "TILE", 8)
     a, b = banded(30, 1, 9), banded(30, 2, 3)
