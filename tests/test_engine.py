@@ -488,6 +488,25 @@ def test_a_task_joins_what_its_places_connect(spark, monkeypatch):
     assert got == least
 
 
+def test_blocks_are_made_and_multiplied_in_parts(spark, monkeypatch):
+    """Entries of a block in several tasks, ids of far blocks and below zero; a task sends a row for each block or tile that it meets."""
+    monkeypatch.setattr(matrix, "PACKED", 20)
+    monkeypatch.setattr(matrix, "FILLED", 3)
+    monkeypatch.setattr(matrix, "TILE", 8)
+    a = banded(22, 4, 6)
+    entries = [(int(i) * 3 - 10, int(j) * 3 - 10, float(a[i, j])) for i, j in np.argwhere(a)]
+    m = spark.createDataFrame(entries, "row long, col long, val double").repartition(5)
+    b = matrix.blocks_of(m, 4)
+    assert "map_from_entries" not in b._jdf.queryExecution().analyzed().toString()
+    assert {(r.bi * 4 + k // 4, r.bj * 4 + k % 4): v for r in b.collect() for k, v in enumerate(r.v) if v} == {(i, j): v for i, j, v in entries}
+    got = matrix.multiply_blocks(cut(b), cut(b), 4)
+    assert "data#" in got._jdf.queryExecution().analyzed().toString()
+    square = a @ a
+    want = {(int(i) * 3 - 10, int(j) * 3 - 10): square[i, j] for i, j in np.argwhere(square)}
+    found = {(r.row, r.col): r.val for r in got.collect()}
+    assert found.keys() >= {k for k, v in want.items() if abs(v) > 1e-9} and all(abs(found.get(k, 0) - want.get(k, 0)) < 1e-9 for k in found.keys() | want.keys())
+
+
 def test_a_product_of_blocks_over_several_tiles(spark, monkeypatch):
     monkeypatch.setattr(matrix, "TILE", 8)
     a, b = banded(30, 1, 9), banded(30, 2, 3)
